@@ -1,9 +1,9 @@
 """Toxicity by the nearest labelled examples, under exact TF-IDF cosine.
 
 Fitting takes a bounded sample of labelled rows (`per_class` of each label, by
-least hash of the id).  Terms are words and word beginnings of 4 and 5 bytes,
-lower-cased; the vocabulary is the `terms` terms that the sample ties most
-firmly to the toxic label.  Document frequencies of that vocabulary are counted
+least hash of the id).  Terms are runs of letters and digits, lower-cased, and their beginnings of 4
+to 8 bytes; the vocabulary is the `terms` terms that the sample ties most
+firmly to the toxic label, of those whose documents carry it in at least `least_precision` of cases.  Document frequencies of that vocabulary are counted
 over all documents.  The examples form an inverted index whose postings are cut
 in blocks of examples, each with the greatest weight that a term has in it.
 
@@ -42,7 +42,8 @@ class ToxicityConfig:
     per_class: int = 10_000
     terms: int = 2048
     least_documents: int = 5
-    least_score: float = 4.0
+    least_score: float = 3.0
+    least_precision: float = 0.7
     neighbours: int = 15
     softening: float = 0.1
     block: int = 64
@@ -50,27 +51,31 @@ class ToxicityConfig:
     seed: int = 5
 
 
-_BEGINNINGS = (4, 5)
+# Lengths in bytes of the word beginnings that are terms of their own.
+_BEGINNINGS = (4, 5, 6, 7, 8)
+_LETTER = np.zeros(256, bool)
+_LETTER[[*range(48, 58), *range(65, 91), *range(97, 123), *range(128, 256)]] = True
 
 
 def term_hashes(texts: ts.Texts) -> tuple[np.ndarray, np.ndarray]:
-    """(row, term) of every term occurrence: words, and beginnings of longer words."""
-    words = ts.scan_words(texts, folded=True)
-    row = words.row
-    rows, terms = [row], [words.hashes]
+    """(row, term) of every term occurrence: runs of letters and digits, and beginnings of longer ones."""
+    starts, ends = ts.run_bounds(_LETTER[texts.buf], texts.offsets)
+    row = np.repeat(np.arange(texts.rows), np.diff(np.searchsorted(starts, texts.offsets)))
+    rows, terms = [], []
     at = 0
-    starts, ends = words.starts, words.ends
     while at < len(starts):
         to = max(at + 1, int(np.searchsorted(ends, starts[at] + ts.BLOCK, "right")))
         low = starts[at]
         hasher = ts.RunHasher(texts.buf[low : ends[to - 1]], folded=True)
+        terms.append(hasher(starts[at:to] - low, ends[at:to] - low))
+        rows.append(row[at:to])
         for n in _BEGINNINGS:
             long = np.flatnonzero(ends[at:to] - starts[at:to] > n)
             first = starts[at:to][long] - low
             terms.append(ts.mix(hasher(first, first + n) + np.uint64(n)))
             rows.append(row[at:to][long])
         at = to
-    return np.concatenate(rows), np.concatenate(terms)
+    return np.concatenate(rows or [row]), np.concatenate(terms or [np.zeros(0, np.uint64)])
 
 
 def vectors(texts: ts.Texts, vocabulary: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -232,6 +237,7 @@ def fit(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: st
     # at most 2 * per_class rows of two numbers
     sample = texts.join(F.broadcast(spark.createDataFrame([(r.id, r.label) for r in picked], "id long, label int")), "id")
     taken = {v: sum(r.label == v for r in picked) for v in (0, 1)}
+    share_of = {v: sizes.get(v, 0) / max(taken[v], 1) for v in (0, 1)}
     totals = sample.groupBy("label").agg(F.count("*").alias("n")).collect()
     seen = {r.label: r.n for r in totals}
     p_all, n_all = seen.get(1, 0), seen.get(0, 0)
@@ -239,7 +245,8 @@ def fit(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: st
     p, n = F.col("p") + 0.5, F.col("d") - F.col("p") + 0.5
     odds = F.log(p / (F.lit(p_all + 1) - p)) - F.log(n / (F.lit(n_all + 1) - n))
     firm = odds / F.sqrt(1 / p + 1 / n)
-    chosen = counts.where((F.col("p") >= config.least_documents) & (firm >= config.least_score)).orderBy(firm.desc(), "term").limit(config.terms)
+    precise = p * share_of[1] >= config.least_precision * (p * share_of[1] + n * share_of[0])
+    chosen = counts.where((F.col("p") >= config.least_documents) & (firm >= config.least_score) & precise).orderBy(firm.desc(), "term").limit(config.terms)
     vocabulary = np.sort(np.array([r.term for r in chosen.select("term").collect()], np.int64).view(np.uint64))
 
     rows = sorted(sample.mapInArrow(_vector_rows(vocabulary), "id long, label int, terms array<int>, counts array<int>").collect(), key=lambda r: (r.terms[:1], r.id, r.terms, r.counts))
@@ -247,7 +254,6 @@ def fit(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: st
     for r in texts.mapInArrow(_frequencies(vocabulary), "term long, n long").groupBy("term").agg(F.sum("n").alias("n")).collect():
         held[r.term] = r.n
     idf = np.log((held[-1] + 1) / (held[:-1] + 1)) + 1
-    share_of = {v: sizes.get(v, 0) / max(taken[v], 1) for v in (0, 1)}
     plain = [r for r in rows if not r.terms]
     weight = sum(share_of[r.label] for r in plain)
     rate = (sum(share_of[r.label] * r.label for r in plain) / weight) if weight else sizes.get(1, 0) / sum(sizes.values())
