@@ -1,11 +1,784 @@
-"""All queries of the engine by name, each with the SQL it is compared with."""
+"""All queries of the engine by name, each with the SQL it is compared with.
+
+Every query runs over whole tables.  Graphs whose triangles are many are
+returned as sums by vertex; the checks of single methods return triangles.
+"""
 
 from __future__ import annotations
 
+from collections.abc import Callable
+from math import ceil
+
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from . import oracle as sql
+from .costs import balance, formulas, profile
+from .functions.colours import bit, colour, refined
+from .functions.small_bias import SmallBiasSpace, field_columns
+from .model import MemoryModel
+from .operators import base, baselines, canonical, cells, cliques, cone, consume, hubs, recursive, relational, steered, target
+from .plans import choose
+from .sources import generate, graphs
+from .streaming import incremental, windows
+from .tables import stored
+
+Query = Callable[[SparkSession, str], DataFrame]
+QUERIES: dict[str, Query] = {}
+SQL: dict[str, str] = {}
+
+
+def add(name: str, oracle: str | None = None) -> Callable[[Query], Query]:
+    def keep(query: Query) -> Query:
+        QUERIES[name] = query
+        if oracle is not None:
+            SQL[name] = oracle
+        return query
+
+    return keep
+
+
+def pairs(spark: SparkSession, d: str, graph: str) -> DataFrame:
+    return graphs.GRAPHS[graph](spark, d)
+
+
+def edges(spark: SparkSession, d: str, graph: str) -> DataFrame:
+    return stored(canonical.canonical_edges(pairs(spark, d, graph)), f"edges-{graph}")
+
+
+def ranked(spark: SparkSession, d: str, graph: str) -> DataFrame:
+    return stored(canonical.orient(edges(spark, d, graph), keep_degrees=True), f"ranked-{graph}")
+
+
+def memory(n: int, c: int) -> MemoryModel:
+    return MemoryModel.for_colours(n, c)
+
+
+def ranked_with(spark: SparkSession, d: str, graph: str, c: int) -> tuple[DataFrame, int, MemoryModel]:
+    r = ranked(spark, d, graph)
+    n = r.count()
+    return r, n, memory(n, c)
+
+
+# ---- canonical form -------------------------------------------------------------------------------------------------
+
+
+@add("canonical_edges", sql.edges("cps", "select u, v from e"))
+def _(spark, d):
+    return canonical.canonical_edges(pairs(spark, d, "cps"))
+
+
+@add("degrees", sql.edges("cps", "select id, deg from d"))
+def _(spark, d):
+    return canonical.degrees(canonical.canonical_edges(pairs(spark, d, "cps")))
+
+
+@add("oriented_edges", sql.edges("cps", "select lo, hi, deg_lo, deg_hi from o"))
+def _(spark, d):
+    return canonical.orient(canonical.canonical_edges(pairs(spark, d, "cps")), keep_degrees=True)
+
+
+@add("vertex_rank", sql.edges("cps", "select id, row_number() over (order by deg, id) - 1 as rank from d"))
+def _(spark, d):
+    return canonical.dense_rank_ids(canonical.degrees(edges(spark, d, "cps")))
+
+
+@add("successor_lists", sql.edges("sells", "select lo, to_json(list(hi order by hi)) as succ from o group by lo"))
+def _(spark, d):
+    lists = canonical.successor_lists(canonical.orient(edges(spark, d, "sells")))
+    return lists.select("lo", F.concat(F.lit("["), F.array_join("succ", ","), F.lit("]")).alias("succ"))
+
+
+@add("array_intersect_triangles", sql.triangles("sells", "select lo, hi, count(t.c) as common from o left join t on t.a = lo and t.b = hi group by lo, hi"))
+def _(spark, d):
+    o = canonical.orient(edges(spark, d, "sells"))
+    lists = canonical.successor_lists(o)
+    both = o.join(lists.toDF("lo", "s1"), "lo", "left").join(lists.toDF("hi", "s2"), "hi", "left")
+    return both.select("lo", "hi", F.coalesce(F.size(F.array_intersect("s1", "s2")), F.lit(0)).cast("long").alias("common")).withColumn("common", F.greatest("common", F.lit(0)))
+
+
+# ---- triangles at vertices and base edges ---------------------------------------------------------------------------
+
+_TOP_VERTEX = "(select id from d order by deg desc, id limit 1)"
+
+
+@add("triangles_at_vertex", sql.triangles("cps", f"select a, b, c from t where {_TOP_VERTEX} in (a, b, c)"))
+def _(spark, d):
+    r = ranked(spark, d, "cps")
+    top = r.select(F.col("deg_hi").alias("deg"), F.col("hi").alias("id")).agg(F.max(F.struct("deg", (-F.col("id")).alias("n"))).alias("m")).first()
+    return cone.triangles_at(r, -top.m.n)
+
+
+def _hub_sql(graph: str, c: int, tail: str) -> str:
+    n = "(select count(*) from o)"
+    m = f"greatest(1, ceil({n} / {c * c}.0))"
+    return sql.triangles(graph, tail, f"h as (select id, deg from d where deg * deg > {n} * {m})")
+
+
+@add("hub_triangles", _hub_sql("cbt", 32, "select a, b, c from t where a in (select id from h) or b in (select id from h) or c in (select id from h)"))
+def _(spark, d):
+    r, n, mm = ranked_with(spark, d, "cbt", 32)
+    return cone.triangles_at_set(hubs.mark_hubs(r, hubs.least_hub_degree(n, mm.m)))
+
+
+@add("hub_vertices", _hub_sql("cbt", 32, "select id, deg from h"))
+def _(spark, d):
+    e = edges(spark, d, "cbt")
+    n = e.count()
+    return hubs.hub_vertices(canonical.degrees(e), hubs.least_hub_degree(n, memory(n, 32).m))
+
+
+@add("hub_edge_split", _hub_sql("cbt", 32, "select lo, hi, lo in (select id from h) or hi in (select id from h) as at_hub from o"))
+def _(spark, d):
+    r, n, mm = ranked_with(spark, d, "cbt", 32)
+    _, at, rest = hubs.split_hubs(r, n, mm.m)
+    return at.select("lo", "hi", F.lit(True).alias("at_hub")).unionByName(rest.select("lo", "hi", F.lit(False).alias("at_hub")))
+
+
+@add("hub_edge_split_fixed", sql.edges("cbt", "select lo, hi, deg_hi >= 100 as at_hub from o"))
+def _(spark, d):
+    r, n, mm = ranked_with(spark, d, "cbt", 32)
+    _, at, rest = hubs.split_hubs(r, n, mm.m, threshold=100)
+    return at.select("lo", "hi", F.lit(True).alias("at_hub")).unionByName(rest.select("lo", "hi", F.lit(False).alias("at_hub")))
+
+
+def _third(df: DataFrame) -> DataFrame:
+    """A given set of base edges: those whose lower end's id is a multiple of 3."""
+    return df.where("lo % 3 = 0")
+
+
+_BASE_SQL = sql.triangles("cbt", "select a, b, c from t where b % 3 = 0")
+
+
+def _by_base(mode: str) -> Query:
+    def query(spark, d):
+        r, n, mm = ranked_with(spark, d, "cbt", 2)
+        e = r.select("lo", "hi")
+        return base.triangles_by_base(e, _third(e), mm, mode=mode)
+
+    return query
+
+
+add("base_edge_triangles", _BASE_SQL)(_by_base("scan"))
+add("base_edge_scan", _BASE_SQL)(_by_base("scan"))
+add("base_edge_keyed", _BASE_SQL)(_by_base("keyed"))
+
+
+@add("base_edge_tip_filter", sql.triangles("cbt", "select a, b, c from t where b % 3 = 0 and a % 2 = 1"))
+def _(spark, d):
+    r, n, mm = ranked_with(spark, d, "cbt", 2)
+    e = r.select("lo", "hi")
+    return base.triangles_by_base(e, _third(e), mm, tip_filter=F.col("a") % 2 == 1)
+
+
+# ---- colours --------------------------------------------------------------------------------------------------------
+
+
+@add("poly4_colours", sql.edges("cps", f"select id, {sql.colour('id', 8, 1)} as colour from d"))
+def _(spark, d):
+    return canonical.degrees(edges(spark, d, "cps")).select("id", colour(F.col("id"), 8, 1).alias("colour"))
+
+
+@add("colour_bits", sql.edges("cps", f"select id, cast({sql.bit('id', 1, 1)} as integer) as b1, cast({sql.bit('id', 2, 1)} as integer) as b2 from d"))
+def _(spark, d):
+    return canonical.degrees(edges(spark, d, "cps")).select("id", bit(F.col("id"), 1, 1).alias("b1"), bit(F.col("id"), 2, 1).alias("b2"))
+
+
+@add("refined_colours", sql.edges("cps", f"select id, {sql.refined('id', 3, 1)} as colour from d"))
+def _(spark, d):
+    return canonical.degrees(edges(spark, d, "cps")).select("id", refined(F.col("id"), 3, 1).alias("colour"))
+
+
+@add("decimal_colours", sql.edges("cps", "select id, cast(((({k[0]}::hugeint * id + {k[1]}) % {p} * id + {k[2]}) % {p} * id + {k[3]}) % {p} % 8 + 1 as integer) as colour from d".format(k=sql.coefficients(1, prime=2**61 - 1), p=2**61 - 1)))
+def _(spark, d):
+    return canonical.degrees(edges(spark, d, "cps")).select("id", colour(F.col("id"), 8, 1, "wide").alias("colour"))
+
+
+@add("colour_family_balance")
+def _(spark, d):
+    e = edges(spark, d, "cps")
+    deg = canonical.degrees(e)
+    parts = [deg.groupBy(F.lit(f).alias("family"), colour(F.col("id"), 8, 1, f).alias("colour")).agg(F.count("*").alias("n")) for f in ("poly4", "poly2", "xxhash", "modulo", "constant")]
+    out = parts[0]
+    for p in parts[1:]:
+        out = out.unionByName(p)
+    return out
+
+
+# ---- cells ----------------------------------------------------------------------------------------------------------
+
+
+def _cells(graph: str, c: int, **options) -> Query:
+    def query(spark, d):
+        r, n, mm = ranked_with(spark, d, graph, c)
+        return cells.enumerate_cells(r, mm, edges=n, **options)
+
+    return query
+
+
+add("cells_triangles", sql.triangles("cps"))(_cells("cps", 4))
+add("cells_join_kernel", sql.triangles("cbt"))(_cells("cbt", 8, kernel="join"))
+add("cells_arrow_kernel", sql.triangles("cbt"))(_cells("cbt", 8, kernel="arrow"))
+add("cells_single", sql.triangles("sells"))(_cells("sells", 1))
+add("cells_no_hub_step", sql.triangles("cbt"))(_cells("cbt", 32, hub_step=False))
+add("cells_plain_hash", sql.triangles("cbt"))(_cells("cbt", 8, family="xxhash"))
+
+
+@add("cell_plan", sql.edges("cps", "select count(*) as edges, cast(greatest(1, ceil(count(*) / 36.0)) as bigint) as memory, cast(6 as bigint) as colours, cast(8 as bigint) as colours_pow2 from o"))
+def _(spark, d):
+    r, n, mm = ranked_with(spark, d, "cps", 6)
+    plan = cells.CellPlan.make(n, mm)
+    power = cells.CellPlan.make(n, mm, power_of_two=True)
+    return spark.createDataFrame([(n, mm.m, plan.colours, power.colours)], "edges long, memory long, colours long, colours_pow2 long")
+
+
+@add("weak_enumeration_dedup", sql.triangles("cbt"))
+def _(spark, d):
+    r, n, mm = ranked_with(spark, d, "cbt", 32)
+    return cells.enumerate_cells(r, mm, edges=n, exactly_once=False).dropDuplicates(["a", "b", "c"])
+
+
+@add("triangle_count", sql.triangles("cps", "select count(*) as triangles from t"))
+def _(spark, d):
+    return _cells("cps", 4)(spark, d).agg(F.count("*").alias("triangles"))
+
+
+@add("exactly_once", sql.triangles("cbt", "select count(*) as n_rows, count(*) as n_distinct from t"))
+def _(spark, d):
+    return consume.exactly_once(_cells("cbt", 32)(spark, d))
+
+
+def _painted(r: DataFrame, c: int) -> DataFrame:
+    return r.select("lo", "hi", colour(F.col("lo"), c, 1).alias("x_lo"), colour(F.col("hi"), c, 1).alias("x_hi"))
+
+
+_C = {v: sql.colour(v, 4, 1) for v in ("a", "b", "c", "lo", "hi")}
+
+
+@add("target_triangles", sql.triangles("cps", f"select a, b, c from t where {_C['a']} = 1 and {_C['b']} = 2 and {_C['c']} = 3"))
+def _(spark, d):
+    return target.enumerate_target(_painted(ranked(spark, d, "cps"), 4), (1, 2, 3))
+
+
+@add("compatible_edges", sql.edges("cps", f"select lo, hi from (select lo, hi, {_C['lo']} as x, {_C['hi']} as y from o) where (x, y) in ((1, 2), (2, 3), (1, 3))"))
+def _(spark, d):
+    p = _painted(ranked(spark, d, "cps"), 4).withColumns({"z0": F.lit(1), "z1": F.lit(2), "z2": F.lit(3)})
+    return p.where(target.compatible()).select("lo", "hi")
+
+
+# ---- recursion ------------------------------------------------------------------------------------------------------
+
+
+@add("recursive_triangles", sql.triangles("cbt"))
+def _(spark, d):
+    return recursive.enumerate_recursive(ranked(spark, d, "cbt"), base_size=4096)
+
+
+@add("recursive_base_case", sql.triangles("sells"))
+def _(spark, d):
+    return recursive.enumerate_recursive(ranked(spark, d, "sells"), depth=0)
+
+
+@add("recursive_plain", sql.triangles("sells"))
+def _(spark, d):
+    return baselines.recursive_plain(ranked(spark, d, "sells"))
+
+
+@add("recursive_level_jump", sql.triangles("cps"))
+def _(spark, d):
+    return recursive.level_cells(ranked(spark, d, "cps"), 2, 1)
+
+
+_ROOT_HUBS = sql.edges("hub", "select 1 as z0, 1 as z1, 1 as z2, id, deg as sub_deg, (select count(*) from o) as sub_edges from d where deg * 8 >= (select count(*) from o)")
+
+
+@add("local_hubs_level", _ROOT_HUBS)
+def _(spark, d):
+    return recursive.local_hubs(recursive.root_level(ranked(spark, d, "hub")))
+
+
+@add("local_hub_triangles", sql.triangles("hub", "select a, b, c from t where exists (select 1 from d where id in (a, b, c) and deg * 8 >= (select count(*) from o))"))
+def _(spark, d):
+    level = recursive.root_level(ranked(spark, d, "hub"))
+    return recursive.local_hub_triangles(recursive.mark_local_hubs(level, recursive.local_hubs(level)), 0, 1).select("a", "b", "c")
+
+
+_LEVEL1 = f"""k as (select lo, hi, {sql.refined('lo', 1, 1)} as x, {sql.refined('hi', 1, 1)} as y from o),
+z as (select z0, z1, z2 from (select unnest([1, 2]) as z0), (select unnest([1, 2]) as z1), (select unnest([1, 2]) as z2)),
+lv as (select z0, z1, z2, lo, hi, x, y from k, z where (x = z0 and y = z1) or (x = z1 and y = z2) or (x = z0 and y = z2))"""
+
+
+def _level_one(spark: SparkSession, d: str, graph: str) -> DataFrame:
+    return recursive.levels(ranked(spark, d, graph), 1, 1, local_hub_step=False, prune=False)[1]
+
+
+@add("child_subproblem_sizes", sql.edges("cps", "select z0, z1, z2, count(*) as n from lv group by z0, z1, z2", _LEVEL1))
+def _(spark, d):
+    return profile.child_subproblem_sizes(_level_one(spark, d, "cps"))
+
+
+@add("live_subproblems", sql.edges("cps", "select z0, z1, z2, lo, hi from lv semi join (select z0, z1, z2 from lv group by z0, z1, z2 having bool_or(x = z0 and y = z1) and bool_or(x = z1 and y = z2) and bool_or(x = z0 and y = z2)) g using (z0, z1, z2)", _LEVEL1))
+def _(spark, d):
+    return recursive.live_subproblems(_level_one(spark, d, "cps")).select("z0", "z1", "z2", "lo", "hi")
+
+
+@add("recursive_stub_sizes", sql.edges("hub", "select 1 as z0, 1 as z1, 1 as z2, count(*) as n, cast(sum(cast(deg_lo * 8 >= (select count(*) from o) as integer) + cast(deg_hi * 8 >= (select count(*) from o) as integer)) as bigint) as stubs from o"))
+def _(spark, d):
+    level = recursive.root_level(ranked(spark, d, "hub"))
+    stubs = recursive.stub_edges(level, recursive.local_hubs(level))
+    return stubs.groupBy("z0", "z1", "z2").agg(F.count("*").alias("n"), F.sum((F.col("s_lo") < 0).cast("long") + (F.col("s_hi") < 0).cast("long")).alias("stubs"))
+
+
+def _level_rows_sql(depth: int, tail: str, graph: str = "cps") -> str:
+    parts = []
+    for i in range(depth + 1):
+        rng = ", ".join(str(x) for x in range(1, 2**i + 1))
+        parts.append(
+            f"select {i} as level, z0, z1, z2, count(*) as n, sum(cast(x = z0 and y = z1 as integer)) as r0, sum(cast(x = z0 and y = z2 as integer)) as r1, sum(cast(x = z1 and y = z2 as integer)) as r2 "
+            f"from (select {sql.refined('lo', i, 1)} as x, {sql.refined('hi', i, 1)} as y from o) k, (select unnest([{rng}]) as z0) q0, (select unnest([{rng}]) as z1) q1, (select unnest([{rng}]) as z2) q2 "
+            "where (x = z0 and y = z1) or (x = z1 and y = z2) or (x = z0 and y = z2) group by z0, z1, z2"
+        )
+    return sql.edges(graph, tail, "lv as (" + " union all ".join(parts) + ")")
+
+
+def _three_levels(spark: SparkSession, d: str) -> list[DataFrame]:
+    return recursive.levels(ranked(spark, d, "cps"), 1, 3, local_hub_step=False, prune=False)
+
+
+@add("rows_per_level", _level_rows_sql(3, "select level, cast(sum(n) as bigint) as n_rows from lv group by level"))
+def _(spark, d):
+    return profile.rows_per_level(_three_levels(spark, d))
 
-def queries() -> dict:
-    return {}
+
+@add("level_profile", _level_rows_sql(3, "select level, cast(floor(ln((select count(*) from o)::double / n) / ln(4.0) + 1e-9) as bigint) as band, count(*) as subproblems from lv group by 1, 2"))
+def _(spark, d):
+    lv = _three_levels(spark, d)
+    return profile.level_profile(lv, lv[0].count())
+
+
+@add("tail_share", _level_rows_sql(3, "select level, count(*) as subproblems, cast(sum(cast(n * pow(4.0, level) >= 9.0 * (select count(*) from o) as integer)) as bigint) as oversized from lv group by level"))
+def _(spark, d):
+    lv = _three_levels(spark, d)
+    return profile.tail_share(lv, lv[0].count())
+
+
+@add("role_class_moments", _level_rows_sql(3, "select level, round(sum(r0 + r1 + r2) / (3.0 * pow(8, level)), 6) as mean_size, round((select count(*) from o) / pow(4.0, level), 6) as expected, round(sum(r0 * r0 + r1 * r1 + r2 * r2) / (3.0 * pow(8, level)) - pow(sum(r0 + r1 + r2) / (3.0 * pow(8, level)), 2), 2) as variance from lv group by level"))
+def _(spark, d):
+    lv = _three_levels(spark, d)
+    n = lv[0].count()
+    parts = []
+    for i, level in enumerate(lv):
+        roles = profile.role_class_sizes(level)
+        cells_ = 3.0 * 8**i
+        total = F.sum(F.col("tip_mid") + F.col("tip_top") + F.col("base"))
+        square = F.sum(sum((F.col(x) * F.col(x) for x in ("tip_mid", "tip_top", "base")), F.lit(0)))
+        parts.append(roles.agg(F.lit(i).alias("level"), F.round(total / cells_, 6).alias("mean_size"), F.round(F.lit(n / 4.0**i), 6).alias("expected"), F.round(square / cells_ - F.pow(total / cells_, F.lit(2)), 2).alias("variance")))
+    out = parts[0]
+    for p in parts[1:]:
+        out = out.unionByName(p)
+    return out
+
+
+@add("local_hub_cap")
+def _(spark, d):
+    return profile.local_hub_cap(recursive.levels(ranked(spark, d, "cbt"), 1, 3))
+
+
+# ---- steered colouring ----------------------------------------------------------------------------------------------
+
+
+def _steered(spark: SparkSession, d: str, graph: str, c: int, accept: str = "first_chunk"):
+    e = edges(spark, d, graph)
+    r = stored(canonical.orient(e, keep_degrees=True), "ranked")
+    n = r.count()
+    return r, canonical.degrees(e), memory(n, c), n
+
+
+@add("steered_triangles", sql.triangles("cbt"))
+def _(spark, d):
+    r, deg, mm, n = _steered(spark, d, "cbt", 8)
+    return steered.enumerate_steered(r, deg, mm, edges=n)
+
+
+@add("steered_unsteered", sql.triangles("cbt"))
+def _(spark, d):
+    r, deg, mm, n = _steered(spark, d, "cbt", 8)
+    return steered.enumerate_steered(r, deg, mm, edges=n, accept="first")
+
+
+@add("small_bias_bits")
+def _(spark, d):
+    ranks = canonical.dense_rank_ids(canonical.degrees(edges(spark, d, "sells")))
+    space = SmallBiasSpace(8, 0.5) if ranks.count() <= 256 else SmallBiasSpace(16, 0.5)
+    columns = field_columns(ranks, space)
+    return columns.select("rank", *[space.bit(F.col("column"), j).alias(f"b{j}") for j in range(4)])
+
+
+@add("steered_bit_scores")
+def _(spark, d):
+    r, deg, mm, n = _steered(spark, d, "cbt", 8)
+    columned, space = steered.with_columns(r, deg, steered.default_alpha(8))
+    start = columned.withColumn("x_lo", F.lit(1)).withColumn("x_hi", F.lit(1))
+    return steered.scores(start, space, list(range(32)))
+
+
+@add("potential_levels")
+def _(spark, d):
+    r, deg, mm, n = _steered(spark, d, "cbt", 8)
+    _, _, chosen = steered.steered_classes(r, deg, mm, edges=n)
+    rows = [(i + 1, chosen.members[i], str(chosen.potentials[i]), chosen.potentials[i] <= chosen.caps[i]) for i in range(len(chosen.members))]
+    return spark.createDataFrame(rows, "level int, member int, scaled_potential string, under_cap boolean")
+
+
+@add("steered_invariant")
+def _(spark, d):
+    r, deg, mm, n = _steered(spark, d, "cbt", 8)
+    _, classed, _ = steered.steered_classes(r, deg, mm, edges=n)
+    return balance.pair_mass(classed).select("pair_mass", (F.col("pair_mass") < F.lit(2.718281828 * n * mm.m)).alias("under_guarantee"))
+
+
+@add("steered_alpha", "select cast(2 as bigint) as colours, 1.0::double as alpha union all select 4, 0.5 union all select 8, round(1 / 3.0::double, 6) union all select 16, 0.25")
+def _(spark, d):
+    return spark.createDataFrame([(c, round(steered.default_alpha(c), 6)) for c in (2, 4, 8, 16)], "colours long, alpha double")
+
+
+# ---- baselines ------------------------------------------------------------------------------------------------------
+
+
+def _oriented(spark: SparkSession, d: str, graph: str) -> DataFrame:
+    return ranked(spark, d, graph).select("lo", "hi")
+
+
+add("naive_triangles", sql.triangles("cps"))(lambda spark, d: baselines.naive_triangles(_oriented(spark, d, "cps")))
+add("sort_wedge_triangles", sql.triangles("cps"))(lambda spark, d: baselines.sort_wedge_triangles(_oriented(spark, d, "cps")))
+add("sort_wedge_merge", sql.triangles("cbt"))(lambda spark, d: baselines.sort_wedge_triangles(_oriented(spark, d, "cbt"), strict=True))
+add("nested_loop_triangles", sql.triangles("conv"))(lambda spark, d: baselines.nested_loop_triangles(_oriented(spark, d, "conv")))
+add("brute_triangles", sql.triangles("conv"))(lambda spark, d: baselines.brute_triangles(_oriented(spark, d, "conv")))
+
+
+@add("base_scan_triangles", sql.triangles("cbt"))
+def _(spark, d):
+    r, n, mm = ranked_with(spark, d, "cbt", 2)
+    return baselines.base_scan_triangles(r.select("lo", "hi"), mm)
+
+
+# ---- cliques and patterns -------------------------------------------------------------------------------------------
+
+
+def _clique_sql(graph: str, k: int) -> str:
+    froms, wheres = [], []
+    for i in range(k):
+        for j in range(i + 1, k):
+            froms.append(f"o e{i}{j}")
+            wheres += [f"e{i}{j}.lo = {f'e0{i}.hi' if i else 'e01.lo'}", f"e{i}{j}.hi = e0{j}.hi"]
+    names = ", ".join(["e01.lo as v0", *[f"e0{i}.hi as v{i}" for i in range(1, k)]])
+    return sql.edges(graph, f"select {names} from {', '.join(froms)} where {' and '.join(wheres)}")
+
+
+add("four_cliques", _clique_sql("coact", 4))(lambda spark, d: cliques.enumerate_cliques(_oriented(spark, d, "coact"), 4, colours=2))
+add("five_cliques", _clique_sql("coact", 5))(lambda spark, d: cliques.enumerate_cliques(_oriented(spark, d, "coact"), 5, colours=2))
+add("clique_by_growth", _clique_sql("coact", 4))(lambda spark, d: cliques.cliques_by_growth(_oriented(spark, d, "coact"), 4))
+add("four_cycles", sql.edges("vec", "select x.u as a, x.v as b, z.u as c, w.v as d from s x join s z on z.v = x.v and z.u > x.u join s y on y.u = z.u and y.v > x.v join s w on w.u = x.u and w.v = y.v where x.u < x.v and w.u < w.v", "s as (select lo as u, hi as v from o union all select hi, lo from o)"))(
+    lambda spark, d: cliques.four_cycles(_oriented(spark, d, "vec"))
+)
+
+# ---- three-table joins ----------------------------------------------------------------------------------------------
+
+_REJOIN = "select distinct x.{0}, x.{1}, y.{2} from (select distinct {0}, {1} from r) x join (select distinct {1}, {2} from r) y using ({1}) join (select distinct {0}, {2} from r) z on z.{0} = x.{0} and z.{2} = y.{2}"
+_SELLS_ON = ("l_suppkey", "p_brand", "p_type")
+_CPS_ON = ("o_custkey", "l_partkey", "l_suppkey")
+
+
+def _sells_rejoin(spark: SparkSession, d: str, **options) -> DataFrame:
+    rows = graphs.sells_rows(spark, d)
+    return relational.three_way_join(*relational.decompose(rows, _SELLS_ON), _SELLS_ON, **options)
+
+
+add("sells_join", f"with r as ({sql._SELLS}) " + _REJOIN.format(*_SELLS_ON))(lambda spark, d: _sells_rejoin(spark, d, shares=(2, 2, 2)))
+add("three_way_unequal", f"with r as ({sql._SELLS}) " + _REJOIN.format(*_SELLS_ON))(lambda spark, d: _sells_rejoin(spark, d, shares=relational.best_shares((2500, 150, 600), 16)))
+add("three_way_projection", f"with r as ({sql._SELLS}), j as ({_REJOIN.format(*_SELLS_ON)}) select distinct l_suppkey, p_type from j")(lambda spark, d: _sells_rejoin(spark, d, shares=(2, 2, 2), project=["l_suppkey", "p_type"]))
+
+
+@add("sells_decomposition", f"with r as ({sql._SELLS}) select 'xy' as side, count(*) as n from (select distinct l_suppkey, p_brand from r) union all select 'yz', count(*) from (select distinct p_brand, p_type from r) union all select 'xz', count(*) from (select distinct l_suppkey, p_type from r)")
+def _(spark, d):
+    parts = relational.decompose(graphs.sells_rows(spark, d), _SELLS_ON)
+    named = [p.agg(F.lit(s).alias("side"), F.count("*").alias("n")) for s, p in zip(("xy", "yz", "xz"), parts, strict=True)]
+    return named[0].unionByName(named[1]).unionByName(named[2])
+
+
+def _spurious(rows_sql: str, on: tuple[str, ...]) -> str:
+    return f"with r as ({rows_sql}), j as ({_REJOIN.format(*on)}) select (select count(*) from r) as true_rows, (select count(*) from j) as joined_rows, (select count(*) from j) - (select count(*) from r) as spurious_rows"
+
+
+add("sells_spurious", _spurious(sql._SELLS, _SELLS_ON))(lambda spark, d: relational.is_join_of_projections(graphs.sells_rows(spark, d), _SELLS_ON))
+add("w_sells_slice", _spurious(sql._SLICE, _SELLS_ON))(lambda spark, d: relational.is_join_of_projections(graphs.sells_rows(spark, d, True), _SELLS_ON))
+add("w_cps", _spurious(sql._CPS, _CPS_ON))(lambda spark, d: relational.is_join_of_projections(graphs.cps_rows(spark, d), _CPS_ON))
+
+# ---- measures -------------------------------------------------------------------------------------------------------
+
+
+def _classed(spark: SparkSession, d: str, graph: str, c: int) -> tuple[DataFrame, int, MemoryModel]:
+    r, n, mm = ranked_with(spark, d, graph, c)
+    low = hubs.mark_hubs(r, hubs.least_hub_degree(n, mm.m)).where(~hubs.touches_hub())
+    return cells.coloured(low.select("lo", "hi"), cells.CellPlan.make(n, mm, colours=c)), n, mm
+
+
+def _class_sql(graph: str, c: int, tail: str) -> str:
+    n = "(select count(*) from o)"
+    low = f"k as (select lo, hi, {sql.colour('lo', c, 1)} as k_lo, {sql.colour('hi', c, 1)} as k_hi from o where deg_hi * deg_hi <= {n} * greatest(1, ceil({n} / {c * c}.0)))"
+    return sql.edges(graph, tail, low)
+
+
+add("class_sizes", _class_sql("cps", 8, "select k_lo, k_hi, count(*) as n from k group by k_lo, k_hi"))(lambda spark, d: balance.class_sizes(_classed(spark, d, "cps", 8)[0]))
+_ROUTE = """cc as (select distinct (k_lo - 1) * 16 + (k_hi - 1) * 4 + f as cell, lo, hi from k, (select unnest([0, 1, 2, 3]) as f) union
+select (k_lo - 1) * 16 + f * 4 + (k_hi - 1), lo, hi from k, (select unnest([0, 1, 2, 3]) as f) union select f * 16 + (k_lo - 1) * 4 + (k_hi - 1), lo, hi from k, (select unnest([0, 1, 2, 3]) as f))"""
+
+
+def _cell_sql(graph: str, tail: str) -> str:
+    return _class_sql(graph, 4, "").rstrip() + ", " + _ROUTE + " " + tail
+
+
+add("cell_sizes", _cell_sql("cbt", "select cast(cell as bigint) as cell, count(*) as n from cc group by cell"))(lambda spark, d: balance.cell_sizes(_classed(spark, d, "cbt", 4)[0], 4))
+add("peak_cell", _cell_sql("cbt", "select max(n) as peak_edges from (select count(*) as n from cc group by cell)"))(lambda spark, d: balance.peak_cell(_classed(spark, d, "cbt", 4)[0], 4))
+
+
+@add("cell_replication", _cell_sql("cbt", "select cast(4 as bigint) as colours, round(count(*) / (select count(*) from k)::double, 6) as copies, cast(10 as bigint) as expected from cc"))
+def _(spark, d):
+    classed, _, _ = _classed(spark, d, "cbt", 4)
+    n = classed.count()
+    return cells.routed_once(classed, 4).agg(F.lit(4).cast("long").alias("colours"), F.round(F.count("*") / F.lit(n), 6).alias("copies"), F.lit(formulas.replication(4)).cast("long").alias("expected"))
+
+
+add("pair_mass", _class_sql("cps", 8, "select cast(sum(n * (n - 1) / 2) as bigint) as pair_mass from (select count(*) as n from k group by k_lo, k_hi)".replace("/ 2", "// 2")))(lambda spark, d: balance.pair_mass(_classed(spark, d, "cps", 8)[0]))
+add(
+    "pair_mass_split",
+    _class_sql("cps", 8, """select pair_mass, adjacent, pair_mass - adjacent as apart from (select cast(sum(n * (n - 1) // 2) as bigint) as pair_mass from (select count(*) as n from k group by k_lo, k_hi)),
+    (select cast(sum(n * (n - 1) // 2) as bigint) as adjacent from (select count(*) as n from (select k_lo, k_hi, lo as v from k union all select k_lo, k_hi, hi from k) group by k_lo, k_hi, v))"""),
+)(lambda spark, d: balance.pair_mass_split(_classed(spark, d, "cps", 8)[0]))
+
+
+@add(
+    "pair_mass_bound",
+    _class_sql("cps", 8, """select round(cast(m as double) / 64 + a / 8.0::double, 6) as expected_bound, cast(n * mem as bigint) as edges_times_memory
+    from (select count(*) as n, count(*) * (count(*) - 1) // 2 as m, greatest(1, ceil(count(*) / 64.0)) as mem from o),
+    (select cast(coalesce(sum(deg * (deg - 1) // 2), 0) as double) as a from (select count(*) as deg from (select lo as v from k union all select hi from k) group by v))"""),
+)
+def _(spark, d):
+    classed, n, mm = _classed(spark, d, "cps", 8)
+    return balance.pair_mass_bound(canonical.degrees(classed.select("lo", "hi")), n, 8, mm.m)
+
+
+@add("hub_report", _hub_sql("cbt", 32, "select count(*) as hubs, cast(coalesce(sum(deg), 0) as bigint) as hub_ends, cast(64 as bigint) as hub_limit from h"))
+def _(spark, d):
+    e = edges(spark, d, "cbt")
+    n = e.count()
+    return balance.hub_report(canonical.degrees(e), hubs.least_hub_degree(n, memory(n, 32).m), 32)
+
+
+@add("triangle_cap", sql.triangles("cps", "select t.n as triangles, cast(floor(sqrt(2) / 3 * pow(o.n, 1.5)) as bigint) as most, t.n <= floor(sqrt(2) / 3 * pow(o.n, 1.5)) as holds from (select count(*) as n from t) t, (select count(*) as n from o) o"))
+def _(spark, d):
+    r = ranked(spark, d, "cps")
+    most = formulas.max_triangles(r.count())
+    return baselines.naive_triangles(r.select("lo", "hi")).agg(F.count("*").alias("triangles")).select("triangles", F.lit(most).cast("long").alias("most"), (F.col("triangles") <= most).alias("holds"))
+
+
+_B = 64
+_MEMORIES = (2, 4, 8, 16)
+_SWEEP = "s as (select c, n, greatest(1, ceil(n / (c * c)::double)) as m from (select unnest([2, 4, 8, 16]) as c), (select count(*) as n from o))"
+
+
+@add("io_predictions", sql.edges("cps", "select cast(c as bigint) as colours, round(pow(n, 1.5) / (sqrt(m) * 64), 2) as cells_io, round(n::double * n / (m * 64), 2) as scan_io from s", _SWEEP))
+def _(spark, d):
+    n = edges(spark, d, "cps").count()
+    rows = [(c, round(formulas.predicted_io("cells", n, memory(n, c)), 2), round(formulas.predicted_io("base_scan", n, memory(n, c)), 2)) for c in _MEMORIES]
+    return spark.createDataFrame(rows, "colours long, cells_io double, scan_io double")
+
+
+@add("io_gain", sql.edges("cps", "select cast(c as bigint) as colours, round(least(sqrt(n / m), sqrt(m)), 6) as gain from s", _SWEEP))
+def _(spark, d):
+    n = edges(spark, d, "cps").count()
+    return spark.createDataFrame([(c, round(formulas.gain(n, memory(n, c)), 6)) for c in _MEMORIES], "colours long, gain double")
+
+
+@add("io_sort_formula", sql.edges("cps", "select cast(c as bigint) as colours, round(n * greatest(1, log2(greatest(n / 64.0::double, 1))) / (64 * greatest(1, log2(m))) + n / 64.0::double, 4) as sort_io from s", _SWEEP))
+def _(spark, d):
+    n = edges(spark, d, "cps").count()
+    return spark.createDataFrame([(c, round(formulas.sort_io(n, memory(n, c)), 4)) for c in _MEMORIES], "colours long, sort_io double")
+
+
+@add("io_lower_bound", sql.triangles("cps", "select cast(c as bigint) as colours, round(t.n / (sqrt(m) * 64) + pow(t.n, 2.0::double / 3) / 64, 4) as lower_bound from s, (select count(*) as n from t) t", _SWEEP))
+def _(spark, d):
+    r = ranked(spark, d, "cps")
+    n, t = r.count(), baselines.naive_triangles(r.select("lo", "hi")).count()
+    return spark.createDataFrame([(c, round(formulas.lower_bound_io(t, memory(n, c)), 4)) for c in _MEMORIES], "colours long, lower_bound double")
+
+
+def _cells_ledger(spark: SparkSession, d: str, graph: str, c: int) -> formulas.IoLedger:
+    r, n, mm = ranked_with(spark, d, graph, c)
+    marked = hubs.mark_hubs(r, hubs.least_hub_degree(n, mm.m))
+    ends = F.array(F.when(F.col("hub_lo"), F.col("lo")), F.when(F.col("hub_hi"), F.col("hi")))
+    n_hubs = marked.select(F.explode(F.array_compact(ends)).alias("h")).distinct().count()
+    classed = cells.coloured(marked.where(~hubs.touches_hub()).select("lo", "hi"), cells.CellPlan.make(n, mm, colours=c))
+    size = {(x.k_lo, x.k_hi): x.n for x in balance.class_sizes(classed).collect()}  # at most c * c rows
+    ledger = formulas.IoLedger(mm).vertex_triangles("hubs", n, n_hubs).sort("classes", n)
+    for p in range(1, c + 1):
+        for q in range(1, c + 1):
+            for s in range(1, c + 1):
+                held = sum(size.get(k, 0) for k in {(p, q), (p, s), (q, s)})
+                ledger.base_edges("cells", size.get((q, s), 0), held)
+    return ledger
+
+
+@add("io_ledger_cells")
+def _(spark, d):
+    rows = []
+    for c in (2, 4, 8):
+        ledger = _cells_ledger(spark, d, "cps", c)
+        scan = formulas.IoLedger(ledger.mm)
+        n = edges(spark, d, "cps").count()
+        scan.base_edges("all", n, n)
+        rows.append((c, ledger.total(), scan.total(), formulas.predicted_io("cells", n, ledger.mm)))
+    return spark.createDataFrame(rows, "colours long, cells_transfers double, base_scan_transfers double, predicted double")
+
+
+@add("io_ledger_recursive")
+def _(spark, d):
+    levels = _three_levels(spark, d)
+    n = levels[0].count()
+    mm = memory(n, 4)
+    rows = []
+    for i, level in enumerate(levels):
+        total = 0.0
+        for x in profile.child_subproblem_sizes(level).collect():  # at most 8^level rows
+            total += ceil(x.n / mm.b) if x.n <= mm.m else formulas.IoLedger(mm).sort("split", x.n).total()
+        rows.append((i, total))
+    return spark.createDataFrame(rows, "level int, transfers double")
+
+
+@add("io_regularity")
+def _(spark, d):
+    n = edges(spark, d, "cps").count()
+    at = {m: formulas.predicted_io("cells", n, MemoryModel(m)) for m in (n // 64, 2 * (n // 64), 4 * (n // 64))}
+    return spark.createDataFrame([(m, round(q, 6)) for m, q in formulas.regularity(at).items()], "memory long, ratio double")
+
+
+@add("work_rows", sql.triangles("cps", "select w.n as wedges, t.n as triangles, w.n <= pow(o.n, 1.5) as optimal from (select cast(sum(k * (k - 1) // 2) as bigint) as n from (select count(*) as k from o group by lo)) w, (select count(*) as n from t) t, (select count(*) as n from o) o"))
+def _(spark, d):
+    r = ranked(spark, d, "cps")
+    n, w = choose.statistics(r)
+    return baselines.naive_triangles(r.select("lo", "hi")).agg(F.lit(w).cast("long").alias("wedges"), F.count("*").alias("triangles"), F.lit(w <= n**1.5).alias("optimal"))
+
+
+@add("model_checks", sql.edges("cps", "select cast(c as bigint) as colours, n >= m as memory_below_edges, m >= 4096 as tall_cache, m >= pow(n, 0.25) as polynomial_memory from s", _SWEEP))
+def _(spark, d):
+    n = edges(spark, d, "cps").count()
+    rows = [(c, *memory(n, c).validate(n).values()) for c in _MEMORIES]
+    return spark.createDataFrame(rows, "colours long, memory_below_edges boolean, tall_cache boolean, polynomial_memory boolean")
+
+
+@add("search_memory", sql.edges("cps", "select cast(c as bigint) as colours, round(pow(greatest(1, log2(v)), 2) * pow(greatest(1, log2(greatest(n / m, 2))), 2), 4) as counters from s, (select count(*)::double as v from d)", _SWEEP))
+def _(spark, d):
+    e = edges(spark, d, "cps")
+    n, v = e.count(), canonical.degrees(e).count()
+    return spark.createDataFrame([(c, round(formulas.search_memory(v, n, memory(n, c)), 4)) for c in _MEMORIES], "colours long, counters double")
+
+
+# ---- workloads ------------------------------------------------------------------------------------------------------
+
+
+def _per_vertex(graph: str, c: int) -> tuple[str, Query]:
+    tail = "select id, count(*) as triangles from (select a as id from t union all select b from t union all select c from t) group by id"
+    return sql.triangles(graph, tail), lambda spark, d: consume.vertex_triangles(_cells(graph, c)(spark, d))
+
+
+for _name, _graph, _c in (
+    ("w_copurchase", "copurchase", 4), ("w_sells_full", "sells", 2), ("w_coact", "coact", 2), ("w_docline", "docline", 2), ("w_vec", "vec", 2), ("w_clique", "cosupply", 2),
+    ("w_nation_cliques", "nation", 4), ("w_hub", "hub", 4), ("w_mixed_hubs", "cbt", 32), ("w_pages", "pages", 2), ("w_links", "links", 2), ("w_triangle_free", "bip", 4),
+    ("w_utk", "utk", 4), ("w_conv", "conv", 2), ("w_labelled_docs", "labelled_docs", 2), ("w_bench_docs", "bench_docs", 2),
+):
+    _sql, _query = _per_vertex(_graph, _c)
+    add(_name, _sql)(_query)
+
+
+@add("w_memory_sweep", sql.triangles("cbt", "select cast(c as bigint) as colours, (select count(*) from t) as triangles from (select unnest([2, 4, 8, 32]) as c)"))
+def _(spark, d):
+    r = ranked(spark, d, "cbt")
+    n = r.count()
+    parts = [cells.enumerate_cells(r, memory(n, c), edges=n).agg(F.lit(c).cast("long").alias("colours"), F.count("*").alias("triangles")) for c in (2, 4, 8, 32)]
+    out = parts[0]
+    for p in parts[1:]:
+        out = out.unionByName(p)
+    return out
+
+
+_PER = "per as (select id, count(*) as n from (select a as id from t union all select b from t union all select c from t) group by id)"
+add("vertex_triangles", sql.triangles("cbt", "select id, n as triangles from per", _PER))(lambda spark, d: consume.vertex_triangles(_cells("cbt", 4)(spark, d)))
+add("clustering", sql.triangles("cbt", "select d.id, d.deg, coalesce(per.n, 0) as triangles, round(case when d.deg > 1 then 2 * coalesce(per.n, 0) / (d.deg * (d.deg - 1))::double else 0 end, 6) as local_clustering from d left join per on per.id = d.id", _PER))(
+    lambda spark, d: consume.clustering(_cells("cbt", 4)(spark, d), canonical.degrees(edges(spark, d, "cbt")))
+)
+add("transitivity", sql.triangles("cbt", "select t.n as triangles, w.n as wedges, round(3 * t.n / w.n::double, 6) as transitivity from (select count(*) as n from t) t, (select cast(sum(deg * (deg - 1) // 2) as bigint) as n from d) w"))(
+    lambda spark, d: consume.transitivity(_cells("cbt", 4)(spark, d), canonical.degrees(edges(spark, d, "cbt")))
+)
+_SUPPORT = "sp as (select lo, hi, count(*) as n from (select a as lo, b as hi from t union all select a, c from t union all select b, c from t) group by lo, hi)"
+add("edge_support", sql.triangles("cbt", "select o.lo, o.hi, coalesce(sp.n, 0) as support from o left join sp on sp.lo = o.lo and sp.hi = o.hi", _SUPPORT))(
+    lambda spark, d: consume.edge_support(_cells("cbt", 4)(spark, d), _oriented(spark, d, "cbt"))
+)
+add("truss_round", sql.triangles("cbt", "select lo, hi from sp where n >= 10", _SUPPORT))(lambda spark, d: consume.truss_round(_cells("cbt", 4)(spark, d), _oriented(spark, d, "cbt"), 12))
+
+
+@add("method_plan")
+def _(spark, d):
+    rows = []
+    for graph in ("cps", "copurchase", "hub", "cbt"):
+        r = ranked(spark, d, graph)
+        n, w = choose.statistics(r)
+        rows += [(graph, c, choose.choose(r, memory(n, c)), n, w) for c in (2, 4, 8, 16)]
+    return spark.createDataFrame(rows, "graph string, colours long, method string, edges long, wedges long")
+
+
+# ---- generators and streams -----------------------------------------------------------------------------------------
+
+
+def _whole(spark: SparkSession, raw: DataFrame, c: int = 2) -> DataFrame:
+    r = stored(canonical.orient(canonical.canonical_edges(raw), keep_degrees=True), "ranked")
+    n = r.count()
+    return cells.enumerate_cells(r, memory(n, c), edges=n).agg(F.count("*").alias("triangles"))
+
+
+add("gen_clique", "select cast(30 * 29 * 28 // 6 as bigint) as triangles")(lambda spark, d: _whole(spark, generate.clique(spark, 30)))
+add("gen_wheel", "select cast(50 as bigint) as triangles")(lambda spark, d: _whole(spark, generate.wheel(spark, 50)))
+add("gen_tripartite", "select cast(5 * 6 * 7 as bigint) as triangles")(lambda spark, d: _whole(spark, generate.tripartite(spark, 5, 6, 7)))
+add("gen_three_hubs", "select cast(61 as bigint) as triangles")(lambda spark, d: _whole(spark, generate.three_hubs(spark, 20), 8))
+
+
+@add("stream_incremental_replay", sql.edges("vec", "select cast(greatest(x.n, y.n, z.n) as integer) as batch, count(*) as triangles from b x join b y on y.u = x.v join b z on z.u = x.u and z.v = y.v group by 1", "b as (select u, v, (u + v) % 5 as n from e)"))
+def _(spark, d):
+    return incremental.replay(edges(spark, d, "vec").withColumn("n", (F.col("u") + F.col("v")) % 5), "n", 5)
+
+
+def _events(spark: SparkSession, d: str) -> DataFrame:
+    return graphs.table(spark, d, "events").select("user_id", "event_type", "ts")
+
+
+add("win_tumbling", "select time_bucket(interval '10 minutes', ts, timestamp '1970-01-01') as start, event_type, count(*) as n from events group by 1, 2")(lambda spark, d: windows.tumbling(_events(spark, d), "ts", "10 minutes", "event_type"))
+add("win_sliding", "select s as start, count(*) as n from (select unnest([time_bucket(interval '5 minutes', ts, timestamp '1970-01-01'), time_bucket(interval '5 minutes', ts, timestamp '1970-01-01') - interval '5 minutes']) as s from events) group by s")(
+    lambda spark, d: windows.sliding(_events(spark, d), "ts", "10 minutes", "5 minutes")
+)
+add(
+    "win_session",
+    """with g as (select user_id, ts, case when ts - lag(ts) over w < interval '30 minutes' then 0 else 1 end as fresh from events window w as (partition by user_id order by ts)),
+    s as (select user_id, ts, sum(fresh) over (partition by user_id order by ts rows unbounded preceding) as k from g)
+    select user_id, min(ts) as start, max(ts) + interval '30 minutes' as "end", count(*) as n from s group by user_id, k""",
+)(lambda spark, d: windows.sessions(_events(spark, d), "ts", "30 minutes", "user_id"))
+
+
+def queries() -> dict[str, Query]:
+    from .relations import RELATIONS, relation_query
+
+    return QUERIES | {name: relation_query(text) for name, text in RELATIONS.items()}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    from .relations import DUCK, RELATIONS
+
+    return SQL | RELATIONS | DUCK

@@ -1 +1 @@
-
+"""Cost and balance measures of the methods."""

@@ -1 +1 @@
-
+"""Column functions: colour families, bits and roles."""

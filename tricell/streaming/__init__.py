@@ -1 +1 @@
-
+"""Edges that arrive over time."""
