@@ -13,6 +13,8 @@ of the empty form; repeated rows share a group; an empty table gives no rows.
 
 from __future__ import annotations
 
+from collections.abc import Callable
+
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -26,29 +28,41 @@ def canonical(text: Column) -> Column:
     """The canonical form of a text."""
     plain = F.octet_length(text) == F.char_length(text)
     composed = F.when(plain, text).otherwise(F.reflect(F.lit("com.ibm.icu.text.Normalizer"), F.lit("compose"), text, F.lit(False)))
-    return F.trim(F.regexp_replace(F.lower(composed), r"\s+", " "))
+    spaced = F.lower(composed)
+    for blank in "\t\n\x0b\x0c\r":
+        spaced = F.replace(spaced, F.lit(blank), F.lit(" "))
+    # most texts hold no two blanks in a row, so the pattern is the exception
+    return evaluated_once(spaced, lambda s: F.trim(F.when(F.contains(s, F.lit("  ")), F.regexp_replace(s, " +", " ")).otherwise(s)))
+
+
+def evaluated_once(value: Column, use: Callable[[Column], Column]) -> Column:
+    """`use(value)`, where `value` is computed once though `use` may name it often."""
+    return F.transform(F.array(value), use)[0]
 
 
 def digest(form: Column) -> Column:
     """128 bits of a canonical form, in hexadecimal."""
-    halves = [F.lpad(F.lower(F.hex(F.xxhash64(F.lit(salt), form))), 16, "0") for salt in _SALTS]
-    return F.concat(*halves)
+    half = lambda salt, s: F.lpad(F.lower(F.hex(F.xxhash64(F.lit(salt), s))), 16, "0")
+    return evaluated_once(form, lambda s: F.concat(*[half(salt, s) for salt in _SALTS]))
 
 
-def collisions(docs: DataFrame, id_col: str, text_col: str, digest_col: str) -> DataFrame:
-    """(digest, form, variant) of each canonical form that shares its digest with a lesser form.
+def collisions(docs: DataFrame, digests: DataFrame, id_col: str, text_col: str) -> DataFrame:
+    """(fingerprint, form, variant) of each canonical form that shares its digest with a lesser form.
 
-    Only documents whose digest occurs twice are compared, each with one
-    representative of its digest; equal forms are summed up before any shuffle
-    of what differs.  The result is empty unless the hash collides.
+    `digests` has id and fingerprint of all of `docs`.  Only documents whose
+    digest occurs twice are read again; each is compared with one representative
+    of its digest.  The result is empty unless the hash collides.
     """
-    repeated = docs.groupBy(digest_col).agg(F.count("*").alias("n"), F.min(id_col).alias("rep")).where("n > 1")
-    members = docs.join(repeated, digest_col).withColumn("form", canonical(F.col(text_col)))
-    chosen = members.where(F.col(id_col).eqNullSafe(F.col("rep"))).groupBy(digest_col).agg(F.min("form").alias("rep_form"))
-    odd = members.join(chosen, digest_col).where("form <> rep_form")
-    forms = odd.select(digest_col, "form").distinct()
-    order = Window.partitionBy(digest_col).orderBy("form")
-    return forms.withColumn("variant", F.row_number().over(order))
+    repeated = digests.groupBy("fingerprint").agg(F.count("*").alias("n"), F.min("id").alias("rep")).where("n > 1")
+    pairs = digests.join(repeated, "fingerprint").select("fingerprint", "id", "rep")
+    texts = docs.select(F.col(id_col).alias("id"), F.coalesce(F.col(text_col), F.lit("")).alias("text"))
+    members = texts.join(pairs.select("id", "fingerprint", "rep").distinct(), "id").withColumn("form", canonical(F.col("text")))
+    # rows that share an id may differ in text, so the digest is checked again
+    members = materialise(members.where(digest(F.col("form")) == F.col("fingerprint")).select("fingerprint", "form", (F.col("id") == F.col("rep")).alias("chosen")), "forms")
+    rep = members.where("chosen").groupBy("fingerprint").agg(F.min("form").alias("rep_form"))
+    odd = members.join(rep, "fingerprint").where("form <> rep_form")
+    order = Window.partitionBy("fingerprint").orderBy("form")
+    return odd.select("fingerprint", "form").distinct().withColumn("variant", F.row_number().over(order))
 
 
 def fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -59,9 +73,9 @@ def fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     """
     docs = docs.select([c for c in docs.columns if c != "fingerprint"])
     text = F.coalesce(F.col(text_col), F.lit(""))
+    digests = materialise(docs.select(F.col(id_col).alias("id"), digest(canonical(text)).alias("fingerprint")), "digests")
+    clashes = materialise(collisions(docs, digests, id_col, text_col), "collisions")
     hashed = docs.withColumn("fingerprint", digest(canonical(text)))
-    slim = hashed.select(F.col(id_col).alias("_id"), text.alias("_text"), "fingerprint")
-    clashes = materialise(collisions(slim, "_id", "_text", "fingerprint"), "collisions")
     if clashes.isEmpty():
         return hashed
     named = clashes.select(F.col("fingerprint").alias("_digest"), F.col("form").alias("_form"), "variant")

@@ -37,6 +37,7 @@ def op3_canonical_fingerprint(spark: SparkSession, sf_dir: str) -> DataFrame:
     rows = rows.withColumn("n_chars", n.cast("long")).withColumn("edited", F.concat(F.substring("text", F.lit(1), n - cut), F.substring("next_text", F.lit(1), cut)))
     own, edited = fingerprint.canonical(F.col("text")), fingerprint.canonical(F.col("edited"))
     rows = rows.withColumn("edited_fingerprint", fingerprint.digest(edited))
+    # the forms are compared only where the fingerprints agree
     same = F.when(F.col("fingerprint") != F.col("edited_fingerprint"), 0.0).when(own == edited, 1.0).otherwise(0.0)
     return rows.select(
         "doc_id", "n_chars", F.sha2("edited", 256).alias("edited_sha256"), "fingerprint", "edited_fingerprint",
