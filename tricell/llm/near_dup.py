@@ -9,9 +9,11 @@
    compared one after the other, and a pair is given up once the posterior
    probability that its similarity reaches the threshold falls under `miss`.
    Survivors are compared on their full sets.
-4. Buckets that still hold several components are compared in blocks of
-   bounded size, members outside the bucket's largest component against all
-   members; again signature first, then full sets.
+4. In buckets that still hold several groups, the members outside the largest
+   one are compared with all members, in blocks of bounded size: first by
+   signature, which says what groups a member might belong to; then each such
+   group with its outsiders on full sets.  A block yields a forest of links,
+   never all pairs.
 5. Components of all links that the full sets confirm.
 
 No step emits all pairs of a group, caps a bucket or leaves candidates out.
@@ -51,7 +53,7 @@ class NearDupConfig:
     bands: int = 40
     batch: int = 40
     miss: float = 1e-7
-    block: int = 2048
+    block: int = 512
     seed: int = 7
 
     @property
@@ -89,11 +91,28 @@ def surviving(left: np.ndarray, right: np.ndarray, steps: list[tuple[int, int]])
     return alive, matches[alive]
 
 
+def _permutations(config: NearDupConfig) -> tuple[np.ndarray, np.ndarray]:
+    random = np.random.Generator(np.random.PCG64(config.seed))
+    factors = random.integers(1, 2**63, config.positions, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
+    return factors, random.integers(0, 2**63, config.positions, dtype=np.uint64)
+
+
+def _minima(grams: np.ndarray, heads: np.ndarray, factors: np.ndarray, masks: np.ndarray) -> np.ndarray:
+    """For each non-empty set that begins at one of `heads`, its least value under each permutation."""
+    out = np.empty((len(heads), len(factors)), np.uint64)
+    for k in range(len(factors)):
+        out[:, k] = np.minimum.reduceat((grams ^ masks[k]) * factors[k], heads)
+    return out
+
+
+def _low_bits(minima: np.ndarray) -> np.ndarray:
+    """16 bits of each minimum, enough to compare positions."""
+    return (ts.mix(minima) & np.uint64(0xFFFF)).astype(np.uint16)
+
+
 def _signer(config: NearDupConfig) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]:
     def sign(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        random = np.random.Generator(np.random.PCG64(config.seed))
-        factors = random.integers(1, 2**63, config.positions, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
-        masks = random.integers(0, 2**63, config.positions, dtype=np.uint64)
+        factors, masks = _permutations(config)
         for batch in batches:
             for texts in ts.text_blocks(batch.column("text")):
                 grams, ptr = ts.shingle_sets(texts, config.width)
@@ -103,14 +122,13 @@ def _signer(config: NearDupConfig) -> Callable[[Iterator[pa.RecordBatch]], Itera
                 minima = np.zeros((texts.rows, config.positions), np.uint64)
                 d1, d2 = np.zeros(texts.rows, np.uint64), np.zeros(texts.rows, np.uint64)
                 if len(full):
-                    for k in range(config.positions):
-                        minima[full, k] = np.minimum.reduceat((grams ^ masks[k]) * factors[k], heads)
+                    minima[full] = _minima(grams, heads, factors, masks)
                     d1[full] = np.add.reduceat(ts.mix(grams ^ np.uint64(0x5851F42D4C957F2D)), heads)
                     d2[full] = np.bitwise_xor.reduceat(ts.mix(grams + np.uint64(0x14057B7EF767814F)), heads)
                 keys = np.zeros((texts.rows, config.bands), np.uint64)
                 for k in range(config.rows):
                     keys = ts.mix(keys * np.uint64(3) + minima[:, k :: config.rows] + np.arange(config.bands, dtype=np.uint64))
-                low = (ts.mix(minima) & np.uint64(0xFFFF)).astype(np.uint16)
+                low = _low_bits(minima)
                 yield pa.RecordBatch.from_arrays(
                     [
                         batch.column("id").slice(texts.first, texts.rows),
@@ -151,48 +169,92 @@ def _pair_pruner(config: NearDupConfig):
     return prune
 
 
-def _block_pruner(config: NearDupConfig):
-    """Rows arrive sorted by (key, i, j): the outsiders and the members of one block after the other."""
+def grouped(batches: Iterator[pa.RecordBatch], keys: tuple[str, ...]) -> Iterator[pa.Table]:
+    """The runs of equal keys of a sorted stream, each as one table."""
+    held: list[pa.RecordBatch] = []
+    last: tuple | None = None
+    for batch in batches:
+        if not batch.num_rows:
+            continue
+        marks = np.stack([batch.column(c).to_numpy() for c in keys], 1)
+        cuts = np.flatnonzero((marks[1:] != marks[:-1]).any(1)) + 1
+        at = 0
+        for to in [*cuts, len(marks)]:
+            if held and tuple(marks[at]) != last:
+                yield pa.Table.from_batches(held).combine_chunks()
+                held = []
+            held.append(batch.slice(at, to - at))
+            last = tuple(marks[at])
+            at = to
+    if held:
+        yield pa.Table.from_batches(held).combine_chunks()
+
+
+def _touching(config: NearDupConfig):
+    """For the outsiders of each block, the components that hold a member which no batch rules out."""
     steps = least_matches(config)
 
-    def survivors(block: pa.Table) -> pa.RecordBatch | None:
-        block = block.combine_chunks()
-        ids, comps = block.column("rep").to_numpy(), block.column("component").to_numpy()
-        outside = block.column("outside").to_numpy(zero_copy_only=False).astype(bool)
-        sigs = _signatures(block.column("sig").combine_chunks(), config)
-        mine, all_ = np.flatnonzero(outside), np.flatnonzero(~outside)
-        found = []
-        for x in mine:
-            rest = all_[comps[all_] != comps[x]]
-            kept, matches = surviving(np.broadcast_to(sigs[x], (len(rest), sigs.shape[1])), sigs[rest], steps)
-            if len(kept):
-                y = rest[kept]
-                found.append((np.full(len(y), ids[x]), ids[y], np.full(len(y), comps[x]), comps[y], matches))
-        if not found:
-            return None
-        return pa.RecordBatch.from_arrays([pa.array(np.concatenate(c)) for c in zip(*found, strict=True)], ["a", "b", "ca", "cb", "matches"])
-
-    def prune(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held: list[pa.RecordBatch] = []
-        last = None
-        for batch in batches:
-            if not batch.num_rows:
-                continue
-            marks = np.stack([batch.column(c).to_numpy() for c in ("key", "i", "j")], 1)
-            cuts = np.flatnonzero((marks[1:] != marks[:-1]).any(1)) + 1
-            at = 0
-            for to in [*cuts, len(marks)]:
-                if last is not None and held and tuple(marks[at]) != last:
-                    if (out := survivors(pa.Table.from_batches(held))) is not None:
-                        yield out
-                    held = []
-                held.append(batch.slice(at, to - at))
-                last = tuple(marks[at])
-                at = to
-        if held and (out := survivors(pa.Table.from_batches(held))) is not None:
-            yield out
-
-    return prune
+    def touch(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for block in grouped(batches, ("key", "i", "j")):
+            ids, labels = block.column("rep").to_numpy(), block.column("label").to_numpy()
+            outside = block.column("outside").to_numpy(zero_copy_only=False).astype(bool)
+            sigs = _signatures(block.column("sig").combine_chunks(), config)
+            members = np.flatnonzero(~outside)
+            found: list[tuple[int, int]] = []
+            for x in np.flatnonzero(outside):
+                rest = members[labels[members] != labels[x]]
+                kept, _ = surviving(np.broadcast_to(sigs[x], (len(rest), sigs.shape[1])), sigs[rest], steps)
+                found += [(int(ids[x]), int(c)) for c in np.unique(labels[rest[kept]])]
+            if found:
+                yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in zip(*found, strict=True)], ["rep", "target"])
+
+    return touch
+
+
+def _linker(config: NearDupConfig):
+    """Links between components of each block, confirmed on full sets; no more than connect what is connected."""
+    steps = least_matches(config)
+    factors, masks = _permutations(config)
+
+    def link(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for block in grouped(batches, ("target", "i", "j")):
+            ids, labels = block.column("rep").to_numpy(), block.column("label").to_numpy()
+            outside = block.column("outside").to_numpy(zero_copy_only=False).astype(bool)
+            sets: list[np.ndarray] = []
+            for texts in ts.text_blocks(block.column("text")):
+                grams, ptr = ts.shingle_sets(texts, config.width)
+                sets += [grams[ptr[r] : ptr[r + 1]] for r in range(texts.rows)]
+            sigs = np.stack([_low_bits(_minima(x, np.zeros(1, np.int64), factors, masks))[0] for x in sets])
+            root = {int(c): int(c) for c in labels}
+
+            def find(c: int, root: dict[int, int] = root) -> int:
+                while root[c] != c:
+                    root[c] = root[root[c]]
+                    c = root[c]
+                return c
+
+            members = np.flatnonzero(~outside)
+            found: list[tuple[int, int]] = []
+            for x in np.flatnonzero(outside):
+                rest = members[(labels[members] != labels[x]) & (ids[members] != ids[x])]
+                kept, matches = surviving(np.broadcast_to(sigs[x], (len(rest), sigs.shape[1])), sigs[rest], steps)
+                for y in rest[kept][np.argsort(-matches, kind="stable")]:
+                    a, b = find(int(labels[x])), find(int(labels[y]))
+                    if a != b and similar(sets[x], sets[y], config.percent):
+                        root[max(a, b)] = min(a, b)
+                        found.append((int(ids[x]), int(ids[y])))
+            if found:
+                yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in zip(*found, strict=True)], ["a", "b"])
+
+    return link
+
+
+def similar(x: np.ndarray, y: np.ndarray, percent: int) -> bool:
+    """Whether two sets of hashes reach the similarity; never if they share nothing."""
+    if 100 * min(len(x), len(y)) < percent * max(len(x), len(y)):
+        return False
+    both = len(np.intersect1d(x, y, True))
+    return both > 0 and 100 * both >= percent * (len(x) + len(y) - both)
 
 
 def _set_verifier(config: NearDupConfig):
@@ -208,9 +270,7 @@ def _set_verifier(config: NearDupConfig):
                         grams, ptr = ts.shingle_sets(texts, config.width)
                         found += [grams[ptr[r] : ptr[r + 1]] for r in range(texts.rows)]
                     sets.append(found)
-                for r, (x, y) in enumerate(zip(*sets, strict=True)):
-                    both = len(np.intersect1d(x, y, True))
-                    links[first + r] = 100 * both >= config.percent * (len(x) + len(y) - both) and both > 0
+                links[first : first + part.num_rows] = [similar(x, y, config.percent) for x, y in zip(*sets, strict=True)]
             yield batch.select(["a", "b"]).filter(pa.array(links))
 
     return verify
@@ -226,72 +286,65 @@ def _confirm(pairs: DataFrame, texts: DataFrame, config: NearDupConfig) -> DataF
     return pairs.join(a, "a").join(b, "b").select("a", "b", "text_a", "text_b").mapInArrow(_set_verifier(config), "a long, b long")
 
 
-def _pivot_pairs(bands: DataFrame) -> tuple[DataFrame, DataFrame]:
-    """The members of buckets of two or more, and each member with the bucket's pivot, the member of most company."""
-    sizes = bands.groupBy("key").agg(F.count("*").alias("n")).where("n > 1")
-    company = bands.join(sizes, "key").groupBy("rep").agg(F.sum("n").alias("company"))
-    shared = bands.join(sizes.select("key"), "key", "left_semi").join(company, "rep")
-    shared = materialise(shared, "buckets")
-    pivots = shared.groupBy("key").agg(F.max(F.struct("company", (-F.col("rep")).alias("low"))).alias("top")).select("key", (-F.col("top.low")).alias("pivot"))
-    return shared.select("key", "rep"), shared.join(pivots, "key").where("rep <> pivot").select(
-        F.least("rep", "pivot").alias("a"), F.greatest("rep", "pivot").alias("b")
-    ).distinct()
-
-
-def _blocks(buckets: DataFrame, labels: DataFrame, sigs: DataFrame, config: NearDupConfig) -> DataFrame:
-    """Members of buckets with several components, dealt to blocks of bounded size."""
-    named = buckets.join(labels, F.col("rep") == F.col("id"), "left").select("key", "rep", F.coalesce("component", "rep").alias("component"))
-    named = materialise(named, "named")
-    parts = named.groupBy("key", "component").agg(F.count("*").alias("n"))
-    mixed = (
-        parts.groupBy("key")
-        .agg(F.count("*").alias("k"), F.sum("n").alias("size"), F.max(F.struct("n", "component")).alias("top"))
-        .where("k > 1 and size > 2")
-        .select(
-            "key",
-            F.col("top.component").alias("largest"),
-            F.ceil(F.col("size") / config.block).cast("int").alias("nj"),
-            F.ceil((F.col("size") - F.col("top.n")) / config.block).cast("int").alias("ni"),
-        )
+def _pivot_pairs(sized: DataFrame) -> DataFrame:
+    """Each bucket member with the bucket's pivot, the member of most company, as (a, b), a < b."""
+    company = sized.groupBy("rep").agg(F.sum("n").alias("company"))
+    top = F.max(F.struct("company", (-F.col("rep")).alias("low")))
+    pivots = sized.join(company, "rep").groupBy("key").agg(top.alias("top")).select("key", (-F.col("top.low")).alias("pivot"))
+    pairs = sized.join(pivots, "key").where("rep <> pivot")
+    return pairs.select(F.least("rep", "pivot").alias("a"), F.greatest("rep", "pivot").alias("b")).distinct()
+
+
+def _near_labels(links: DataFrame) -> DataFrame:
+    """(rep, label): the least id within two links; rows with equal labels are connected."""
+    both = links.select("a", "b").unionByName(links.select(F.col("b").alias("a"), F.col("a").alias("b")))
+    one = both.groupBy("a").agg(F.min("b").alias("m")).select("a", F.least("a", "m").alias("m"))
+    two = both.join(one.toDF("b", "m"), "b").groupBy("a").agg(F.min("m").alias("far"))
+    return two.join(one, "a").select(F.col("a").alias("rep"), F.least("far", "m").alias("label"))
+
+
+def _deal(rows: DataFrame, key: str, config: NearDupConfig) -> DataFrame:
+    """Rows (key, rep, label, outside) dealt to blocks (key, i, j) of bounded size.
+
+    Of `ni` parts of the outsiders and `nj` of the members, each meets each.
+    """
+    sizes = rows.groupBy(key).agg(F.count_if("outside").alias("out"), F.count_if(~F.col("outside")).alias("members"))
+    parts = sizes.select(key, F.ceil(F.col("out") / config.block).cast("int").alias("ni"), F.ceil(F.col("members") / config.block).cast("int").alias("nj"))
+    slot = F.abs(F.xxhash64("rep") % (1 << 40))
+    own = F.when(F.col("outside"), slot % F.col("ni")).otherwise(slot % F.col("nj")).cast("int")
+    others = F.explode(F.sequence(F.lit(0), F.when(F.col("outside"), F.col("nj")).otherwise(F.col("ni")) - 1))
+    dealt = rows.join(parts, key).where("ni > 0 and nj > 0").select(key, "rep", "label", "outside", own.alias("own"), others.alias("other"))
+    return dealt.select(
+        key, "rep", "label", "outside", F.when(F.col("outside"), F.col("own")).otherwise(F.col("other")).alias("i"),
+        F.when(F.col("outside"), F.col("other")).otherwise(F.col("own")).alias("j"),
     )
+
+
+def _in_blocks(rows: DataFrame, key: str) -> DataFrame:
+    return rows.repartition(key, "i", "j").sortWithinPartitions(key, "i", "j")
+
+
+def _late_links(sized: DataFrame, links: DataFrame, sigs: DataFrame, texts: DataFrame, config: NearDupConfig) -> DataFrame:
+    """Links between members of one bucket that the pivots have left apart."""
+    labels = materialise(_near_labels(links), "labels")
+    named = sized.where("n > 2").join(labels, "rep", "left").select("key", "rep", F.coalesce("label", "rep").alias("label"))
+    named = materialise(named, "named")
+    parts = named.groupBy("key", "label").agg(F.count("*").alias("n"))
+    mixed = parts.groupBy("key").agg(F.count("*").alias("k"), F.max(F.struct("n", "label")).alias("top")).where("k > 1").select("key", F.col("top.label").alias("largest"))
     rows = named.join(mixed, "key")
-    slot = F.abs(F.xxhash64("rep"))
-    outside = (
-        rows.where("component <> largest")
-        .withColumn("i", (slot % F.col("ni")).cast("int"))
-        .withColumn("j", F.explode(F.sequence(F.lit(0), F.col("nj") - 1)))
-        .withColumn("outside", F.lit(True))
-    )
-    inside = (
-        rows.withColumn("j", (slot % F.col("nj")).cast("int"))
-        .withColumn("i", F.explode(F.sequence(F.lit(0), F.col("ni") - 1)))
-        .withColumn("outside", F.lit(False))
-    )
-    columns = ["key", "i", "j", "rep", "component", "outside"]
-    dealt = outside.select(columns).unionByName(inside.select(columns))
-    return dealt.join(sigs.select(F.col("id").alias("rep"), "sig"), "rep")
-
-
-def _link_rest(found: DataFrame, links: DataFrame, labels: DataFrame, known: DataFrame, config: NearDupConfig) -> tuple[DataFrame, DataFrame]:
-    """Confirm the likeliest pair between any two components first, then what still lies between two."""
-    first = materialise(found.groupBy("ca", "cb").agg(F.max(F.struct("matches", "a", "b")).alias("top")).select("top.a", "top.b"), "first")
-    added = materialise(_confirm(first, known, config), "late")
-    if not added.isEmpty():
-        links = links.unionByName(added)
-        labels = materialise(connected_components(links), "labels")
-    la, lb = labels.toDF("a", "na"), labels.toDF("b", "nb")
-    rest = (
-        found.join(first, ["a", "b"], "left_anti")
-        .join(la, "a", "left")
-        .join(lb, "b", "left")
-        .where("coalesce(na, a) <> coalesce(nb, b)")
-        .select("a", "b")
-    )
-    added = materialise(_confirm(rest, known, config), "late")
-    if not added.isEmpty():
-        links = links.unionByName(added)
-        labels = materialise(connected_components(links), "labels")
-    return links, labels
+    outside = rows.where("label <> largest").select("key", "rep", "label", F.lit(True).alias("outside"))
+    dealt = _deal(outside.unionByName(rows.select("key", "rep", "label", F.lit(False).alias("outside"))), "key", config)
+    touching = _in_blocks(dealt.join(sigs.toDF("rep", "sig"), "rep"), "key").mapInArrow(_touching(config), "rep long, target long").distinct()
+    touching = materialise(touching, "touching")
+    if touching.isEmpty():
+        return links.select("a", "b").where("false")
+    own = labels.toDF("rep", "own")
+    outside = touching.join(own, "rep", "left").select("target", "rep", F.coalesce("own", "rep").alias("label"), F.lit(True).alias("outside"))
+    targets = touching.select("target").distinct()
+    members = targets.join(labels.toDF("rep", "target"), "target").unionByName(targets.select("target", F.col("target").alias("rep"))).distinct()
+    members = members.select("target", "rep", F.col("target").alias("label"), F.lit(False).alias("outside"))
+    dealt = _deal(outside.unionByName(members), "target", config)
+    return _in_blocks(dealt.join(texts.toDF("rep", "text"), "rep"), "target").mapInArrow(_linker(config), "a long, b long")
 
 
 def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", config: NearDupConfig = NearDupConfig()) -> DataFrame:
@@ -310,27 +363,18 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
         .select(F.col("rep").alias("a"), F.col("id").alias("b"))
     )
     reps = materialise(alive.join(sets.select(F.col("rep").alias("id")).distinct(), "id", "left_semi").select("id", "keys", "sig"), "reps")
-    bands = reps.select(F.col("id").alias("rep"), F.explode("keys").alias("key"))
     sigs = reps.select("id", "sig").dropDuplicates(["id"])
-    buckets, pairs = _pivot_pairs(bands)
+    bands = reps.select(F.col("id").alias("rep"), F.explode("keys").alias("key"))
+    sizes = bands.groupBy("key").agg(F.count("*").alias("n")).where("n > 1")
+    sized = materialise(bands.join(sizes, "key"), "buckets")
 
     a, b = sigs.toDF("a", "sig_a"), sigs.toDF("b", "sig_b")
-    close = materialise(pairs.join(a, "a").join(b, "b").select("a", "b", "sig_a", "sig_b").mapInArrow(_pair_pruner(config), "a long, b long"), "close")
+    compared = _pivot_pairs(sized).join(a, "a").join(b, "b").select("a", "b", "sig_a", "sig_b")
+    close = compared.mapInArrow(_pair_pruner(config), "a long, b long")
     known = texts.where("id is not null")
-    links = materialise(copies.unionByName(_confirm(close, known, config)), "linked")
-
-    labels = materialise(connected_components(links), "labels")
-    found = (
-        _blocks(buckets, labels, sigs, config)
-        .repartition("key", "i", "j")
-        .sortWithinPartitions("key", "i", "j")
-        .mapInArrow(_block_pruner(config), "a long, b long, ca long, cb long, matches int")
-    )
-    tried = close.select("a", "b")
-    found = found.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b"), F.least("ca", "cb").alias("ca"), F.greatest("ca", "cb").alias("cb"), "matches").distinct()
-    found = materialise(found.join(tried, ["a", "b"], "left_anti"), "found")
-    if not found.isEmpty():
-        links, labels = _link_rest(found, links, labels, known, config)
+    links = materialise(_confirm(close, known, config), "linked")
+    late = _late_links(sized, links, sigs, known, config)
+    labels = connected_components(copies.unionByName(links).unionByName(late))
     component = F.coalesce("component", "id")
     return signed.select("id", "n_shingles").join(labels, "id", "left").select(
         F.col("id").alias(id_col), "n_shingles", component.alias("component_id"), F.col("id").eqNullSafe(component).alias("kept")
