@@ -79,7 +79,8 @@ def fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     if clashes.isEmpty():
         return hashed
     named = clashes.select(F.col("fingerprint").alias("_digest"), F.col("form").alias("_form"), "variant")
-    joined = hashed.join(named, (F.col("fingerprint") == F.col("_digest")) & (canonical(text) == F.col("_form")), "left")
+    own = hashed.withColumn("_own", canonical(text))
+    joined = own.join(named, (F.col("fingerprint") == F.col("_digest")) & (F.col("_own") == F.col("_form")), "left")
     variant = F.when(F.col("variant").isNotNull(), F.concat("fingerprint", F.lit(":"), F.col("variant"))).otherwise(F.col("fingerprint"))
     return joined.withColumn("fingerprint", variant).select(*docs.columns, "fingerprint")
 
