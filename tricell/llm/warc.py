@@ -204,11 +204,13 @@ def write_archive(pages: DataFrame, base: str | None = None, id_col: str = "page
     )
     fs = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(base).getFileSystem(spark.sparkContext._jsc.hadoopConfiguration())
     path = spark.sparkContext._jvm.org.apache.hadoop.fs.Path
+    if fs.exists(path(f"{base}/manifest")):
+        raise FileExistsError(f"{base} holds an archive already")
     fs.mkdirs(path(base))
     hidden = f"{base}/_manifest-{uuid.uuid4().hex}"
     ordered.mapInArrow(_writer(base, config), "file string, records long, bytes long").write.json(hidden)
     if not fs.rename(path(hidden), path(f"{base}/manifest")):
-        raise OSError(f"the manifest of {base} exists already")
+        raise OSError(f"the manifest of {base} could not be committed")
     return base
 
 
