@@ -637,7 +637,7 @@ def _(spark, d):
         scan = formulas.IoLedger(ledger.mm)
         n = edges(spark, d, "cps").count()
         scan.base_edges("all", n, n)
-        rows.append((c, ledger.total(), scan.total(), formulas.predicted_io("cells", n, ledger.mm)))
+        rows.append((c, float(ledger.total()), float(scan.total()), float(formulas.predicted_io("cells", n, ledger.mm))))
     return spark.createDataFrame(rows, "colours long, cells_transfers double, base_scan_transfers double, predicted double")
 
 
@@ -651,7 +651,7 @@ def _(spark, d):
         total = 0.0
         for x in profile.child_subproblem_sizes(level).collect():  # at most 8^level rows
             total += ceil(x.n / mm.b) if x.n <= mm.m else formulas.IoLedger(mm).sort("split", x.n).total()
-        rows.append((i, total))
+        rows.append((i, float(total)))
     return spark.createDataFrame(rows, "level int, transfers double")
 
 
