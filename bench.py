@@ -58,7 +58,7 @@ def main() -> None:
         e = r.select("lo", "hi")
         run(f"{g}_naive", lambda e=e: baselines.naive_triangles(e))
         run(f"{g}_sort_wedge", lambda e=e: baselines.sort_wedge_triangles(e))
-        for c in (2, 4, 8):
+        for c in (2, 4):
             mm = MemoryModel.for_colours(n, c)
             run(f"{g}_cells_c{c}", lambda r=r, n=n, mm=mm: cells.enumerate_cells(r, mm, edges=n))
         run(f"{g}_planned_c4", lambda r=r, n=n: choose.enumerate_planned(r, MemoryModel.for_colours(n, 4)))

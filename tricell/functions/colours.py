@@ -68,13 +68,13 @@ def refined(x: Column, level: int, seed: int) -> Column:
     return z.cast("int")
 
 
-def role_cells(role: str, low: Column, high: Column, c: int) -> Column:
-    """The cells that need an edge in one role: two colours are its own, the third is free."""
+def role_cell(role: str, low: Column, high: Column, free: Column, c: int) -> Column:
+    """The cell that an edge serves in one role for a value 0..c-1 of the free colour."""
     a, b = (low - 1).cast("long"), (high - 1).cast("long")
     if role == "tip_mid":
-        return F.explode(F.transform(F.sequence(F.lit(0), F.lit(c - 1)), lambda k: (a * c + b) * c + k))
+        return (a * c + b) * c + free
     if role == "tip_top":
-        return F.explode(F.transform(F.sequence(F.lit(0), F.lit(c - 1)), lambda k: (a * c + k) * c + b))
+        return (a * c + free) * c + b
     if role == "base":
-        return F.explode(F.transform(F.sequence(F.lit(0), F.lit(c - 1)), lambda k: (k * c + a) * c + b))
+        return (free * c + a) * c + b
     raise ValueError(f"no role {role!r}")

@@ -16,7 +16,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..functions.colours import colour, role_cells
+from ..functions.colours import colour, role_cell
 from ..model import MemoryModel, co_partitioned
 from .cone import triangles_at_set
 from .hubs import least_hub_degree, mark_hubs, touches_hub
@@ -49,7 +49,8 @@ def coloured(edges: DataFrame, plan: CellPlan) -> DataFrame:
 
 def routed(classed: DataFrame, c: int, role: str) -> DataFrame:
     """(cell, lo, hi): each edge once for each cell that it serves in this role."""
-    return classed.select(role_cells(role, F.col("k_lo"), F.col("k_hi"), c).alias("cell"), "lo", "hi")
+    spread = classed.select("lo", "hi", "k_lo", "k_hi", F.explode(F.sequence(F.lit(0), F.lit(c - 1))).alias("free"))
+    return spread.select(role_cell(role, F.col("k_lo"), F.col("k_hi"), F.col("free"), c).alias("cell"), "lo", "hi")
 
 
 def join_kernel(classed: DataFrame, c: int, partitions: int | None = None) -> DataFrame:
@@ -109,23 +110,14 @@ def arrow_kernel(classed: DataFrame, c: int) -> DataFrame:
 
 def routed_once(classed: DataFrame, c: int) -> DataFrame:
     """(cell, lo, hi, k_lo, k_hi): each edge once for each cell that needs it in any role: 3c - 2 copies."""
-    cells = F.explode(
-        F.array_distinct(
-            F.flatten(
-                F.array(
-                    *[
-                        F.transform(F.sequence(F.lit(0), F.lit(c - 1)), fill)
-                        for fill in (
-                            lambda k: ((F.col("k_lo") - 1).cast("long") * c + (F.col("k_hi") - 1)) * c + k,
-                            lambda k: ((F.col("k_lo") - 1).cast("long") * c + k) * c + (F.col("k_hi") - 1),
-                            lambda k: (k.cast("long") * c + (F.col("k_lo") - 1)) * c + (F.col("k_hi") - 1),
-                        )
-                    ]
-                )
-            )
-        )
-    )
-    return classed.select(cells.alias("cell"), "lo", "hi", "k_lo", "k_hi")
+    own = lambda role: role_cell(role, F.col("k_lo"), F.col("k_hi"), F.col("free"), c)
+    lo, hi, free = F.col("k_lo") - 1, F.col("k_hi") - 1, F.col("free")
+    # where two roles of one edge name the same cell, only one of them keeps it
+    top = F.when((free != lo) & (free != hi), own("tip_top"))
+    base = F.when((lo != hi) | (free != lo), own("base"))
+    spread = classed.select("lo", "hi", "k_lo", "k_hi", F.explode(F.sequence(F.lit(0), F.lit(c - 1))).alias("free"))
+    named = spread.select("lo", "hi", "k_lo", "k_hi", F.explode(F.array_compact(F.array(own("tip_mid"), top, base))).alias("cell"))
+    return named.select("cell", "lo", "hi", "k_lo", "k_hi")
 
 
 def enumerate_cells(
