@@ -92,6 +92,9 @@ def vectors(texts: ts.Texts, vocabulary: np.ndarray) -> tuple[np.ndarray, np.nda
 class BlockMaxIndex:
     """Unit vectors of examples by term, with the greatest weight of each term in each block of examples."""
 
+    #: blocks that are visited before any bound is compared
+    first = 8
+
     def __init__(self, n_terms: int, example: np.ndarray, term: np.ndarray, weight: np.ndarray, block: int):
         self.block = block
         self.n = int(example.max()) + 1 if len(example) else 0
@@ -103,25 +106,35 @@ class BlockMaxIndex:
         np.maximum.at(self.most, (term, example // block), weight)
 
     def nearest(self, terms: np.ndarray, weights: np.ndarray, k: int, without: int = -1) -> list[tuple[float, int]]:
-        """The k examples of greatest cosine over 0, ties by least number."""
+        """The k examples of greatest cosine over 0, ties by least number.
+
+        The blocks of the greatest bounds come first; of the others, those
+        whose bound reaches the k-th best similarity found there.
+        """
         if not self.n or not len(terms):
             return []
         bound = weights @ self.most[terms]
+        parts = [slice(self.ptr[t], self.ptr[t + 1]) for t in terms]
+        example = np.concatenate([self.example[p] for p in parts])
+        value = np.concatenate([w * self.weight[p] for p, w in zip(parts, weights, strict=True)])
+        block = example // self.block
+        order = np.argsort(-bound, kind="stable")
         best: list[tuple[float, int]] = []
-        slices = [(self.example[self.ptr[t] : self.ptr[t + 1]], self.weight[self.ptr[t] : self.ptr[t + 1]]) for t in terms]
-        for b in np.argsort(-bound, kind="stable"):
+        rest = order
+        for last in (False, True):
             # a hair of slack keeps ties on the bound in play
-            if bound[b] <= 0 or (len(best) == k and bound[b] < best[-1][0] - 1e-9):
+            least = best[-1][0] - 1e-8 if len(best) == k else 0.0
+            visit = rest[(bound[rest] > 0) & (bound[rest] >= least)] if last else order[: self.first]
+            rest = order[self.first :]
+            if not len(visit):
                 break
-            low = b * self.block
-            scores = np.zeros(self.block)
-            for (ids, values), w in zip(slices, weights, strict=True):
-                i, j = np.searchsorted(ids, (low, low + self.block))
-                scores[ids[i:j] - low] += w * values[i:j]
-            if 0 <= without - low < self.block:
-                scores[without - low] = 0
-            hits = np.flatnonzero(scores > 0)
-            best += [(round(float(scores[h]), 9), int(low + h)) for h in hits]
+            chosen = np.zeros(len(bound), bool)
+            chosen[visit] = True
+            held = chosen[block]
+            found, at = np.unique(example[held], return_inverse=True)
+            scores = np.round(np.bincount(at, weights=value[held], minlength=len(found)), 9)
+            keep = (scores > 0) & (found != without)
+            best += zip(scores[keep].tolist(), found[keep].tolist(), strict=True)
             best.sort(key=lambda x: (-x[0], x[1]))
             del best[k:]
         return best
