@@ -32,5 +32,6 @@ def test_stages_and_their_results(spark, sf_dir):
 def test_awkward_tables_pass_every_stage(spark, sf_dir, rows):
     docs = spark.createDataFrame(rows, "doc_id long, text string, lang string, source string, n_chars long")
     for _, stage in corpus_pipeline.STAGES:
-        docs = spark.createDataFrame(stage(spark, docs, sf_dir).collect(), stage(spark, docs, sf_dir).schema)
+        out = stage(spark, docs, sf_dir)
+        docs = spark.createDataFrame(out.collect(), out.schema)
     assert docs.count() >= 0
