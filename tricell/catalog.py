@@ -6,9 +6,11 @@ returned as sums by vertex; the checks of single methods return triangles.
 
 from __future__ import annotations
 
+import uuid
 from collections.abc import Callable
 from math import ceil
 
+import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -19,9 +21,9 @@ from .functions.small_bias import SmallBiasSpace, field_columns
 from .model import MemoryModel
 from .operators import base, baselines, canonical, cells, cliques, cone, consume, hubs, recursive, relational, steered, target
 from .plans import choose
-from .sources import generate, graphs
+from .sources import files, generate, graphs
 from .streaming import incremental, windows
-from .tables import stored
+from .tables import shared_folder, stored
 
 Query = Callable[[SparkSession, str], DataFrame]
 QUERIES: dict[str, Query] = {}
@@ -772,6 +774,121 @@ add(
 )(lambda spark, d: windows.sessions(_events(spark, d), "ts", "30 minutes", "user_id"))
 
 
+# ---- sources, sinks and functions -----------------------------------------------------------------------------------
+
+add("str_lines", sql._LINES)(graphs.document_lines)
+add("str_links", sql._HREFS)(graphs.page_links)
+
+
+@add("json_props", "select event_id, cast(json_extract_string(props, '$.k') as integer) as k from events")
+def _(spark, d):
+    return graphs.table(spark, d, "events").select("event_id", F.from_json("props", "map<string,int>")["k"].alias("k"))
+
+
+@add("date_event_buckets", "select event_id, cast(floor(epoch(ts) / 600) as bigint) as bucket from events")
+def _(spark, d):
+    seconds = F.unix_timestamp(F.col("ts").cast("timestamp"))
+    return graphs.table(spark, d, "events").select("event_id", F.floor(seconds / graphs.TEN_MINUTES).alias("bucket"))
+
+
+@add("join_interval", "select distinct x.user_id as u, y.user_id as v from events x join events y on x.event_type = y.event_type and x.user_id < y.user_id and abs(floor(epoch(x.ts)) - floor(epoch(y.ts))) <= 600")
+def _(spark, d):
+    """Users with an event of one type within ten minutes: buckets and their neighbours, then the exact check."""
+    seconds = F.unix_timestamp(F.col("ts").cast("timestamp"))
+    e = graphs.table(spark, d, "events").select("event_type", "user_id", seconds.alias("s"), F.floor(seconds / graphs.TEN_MINUTES).alias("bucket"))
+    near = e.select("event_type", F.col("user_id").alias("v"), F.col("s").alias("s2"), F.explode(F.array(F.col("bucket") - 1, F.col("bucket"), F.col("bucket") + 1)).alias("bucket"))
+    joined = e.withColumnRenamed("user_id", "u").join(near, ["event_type", "bucket"]).where("u < v and abs(s - s2) <= 600")
+    return joined.select("u", "v").distinct()
+
+
+@add("array_cosine", "with e as (select vec_id, list_transform(embedding, lambda x: x::double) as e from embeddings), f as (select e as f from e order by vec_id limit 1) select vec_id, round(list_cosine_similarity(e, f), 4) as cosine from e, f")
+def _(spark, d):
+    v = graphs.table(spark, d, "embeddings").select("vec_id", F.transform("embedding", lambda x: x.cast("double")).alias("e"))
+    first = v.agg(F.min_by("e", "vec_id").alias("f"))  # one row
+    dot = lambda x, y: F.aggregate(F.zip_with(x, y, lambda a, b: a * b), F.lit(0.0), lambda s, p: s + p)
+    return v.join(F.broadcast(first)).select("vec_id", F.round(dot("e", "f") / F.sqrt(dot("e", "e") * dot("f", "f")), 4).alias("cosine"))
+
+
+@add("array_explode_cells", _class_sql("cbt", 4, "select cast((k_lo - 1) * 16 + (k_hi - 1) * 4 + f as bigint) as cell, lo, hi from k, (select unnest([0, 1, 2, 3]) as f)"))
+def _(spark, d):
+    return cells.routed(_classed(spark, d, "cbt", 4)[0], 4, "tip_mid")
+
+
+@add("struct_rank_compare", sql.edges("cps", "select u, v, (du.deg, u) < (dv.deg, v) as upward from e join d du on du.id = u join d dv on dv.id = v"))
+def _(spark, d):
+    e = edges(spark, d, "cps")
+    deg = canonical.degrees(e)
+    both = e.join(deg.toDF("u", "du"), "u").join(deg.toDF("v", "dv"), "v")
+    return both.select("u", "v", (F.struct("du", "u") < F.struct("dv", "v")).alias("upward"))
+
+
+@add("map_measures", sql.edges("cps", "select 'edges' as name, count(*) as value from o union all select 'vertices', count(*) from d union all select 'max_degree', max(deg) from d"))
+def _(spark, d):
+    deg = canonical.degrees(edges(spark, d, "cps"))
+    named = F.create_map(F.lit("edges"), (F.sum("deg") / 2).cast("long"), F.lit("vertices"), F.count("*"), F.lit("max_degree"), F.max("deg"))
+    return deg.agg(named.alias("m")).select(F.explode("m").alias("name", "value"))
+
+
+def _folder(spark: SparkSession, label: str) -> str:
+    return f"{shared_folder(spark)}/{label}-{uuid.uuid4().hex}"
+
+
+@add("sink_roundtrip", _class_sql("cbt", 4, "select k_lo, k_hi, count(*) as n from k group by k_lo, k_hi"))
+def _(spark, d):
+    path = _folder(spark, "classes")
+    files.write_classes(_classed(spark, d, "cbt", 4)[0], path)
+    return balance.class_sizes(spark.read.parquet(path))
+
+
+def _source(kind: str) -> Query:
+    def query(spark, d):
+        path = _folder(spark, kind)
+        canonical.canonical_edges(pairs(spark, d, "cbt")).write.format(kind).save(path)
+        return files.read_edges(spark, path, kind)
+
+    return query
+
+
+add("source_csv_edges", sql.edges("cbt", "select u, v from e"))(_source("csv"))
+add("source_json_edges", sql.edges("cbt", "select u, v from e"))(_source("json"))
+
+
+@add("udaf_pair_mass", SQL["pair_mass"])
+def _(spark, d):
+    """The pair mass by a grouped pandas aggregate over class sizes, c rows a group."""
+
+    @F.pandas_udf("long")
+    def mass(n: pd.Series) -> int:
+        return int((n * (n - 1) // 2).sum())
+
+    sizes = balance.class_sizes(_classed(spark, d, "cps", 8)[0])
+    return sizes.groupBy("k_lo").agg(mass("n").alias("m")).agg(F.sum("m").alias("pair_mass"))
+
+
+@add("udf_field_mul")
+def _(spark, d):
+    ranks = canonical.dense_rank_ids(canonical.degrees(edges(spark, d, "sells")))
+    return field_columns(ranks, SmallBiasSpace(16, 0.5)).select("rank", "column")
+
+
+@add("udtf_cells", SQL["array_explode_cells"])
+def _(spark, d):
+    """Cells of each class from a Python table function, joined back to the edges."""
+    from pyspark.sql.functions import udtf
+
+    @udtf(returnType="cell: bigint")
+    class Cells:
+        def eval(self, k_lo: int, k_hi: int):
+            for free in range(4):
+                yield ((k_lo - 1) * 16 + (k_hi - 1) * 4 + free,)
+
+    spark.udtf.register("cells_of_class", Cells)
+    classed = _classed(spark, d, "cbt", 4)[0]
+    classes = classed.select("k_lo", "k_hi").distinct()
+    routed = spark.sql("select k_lo, k_hi, cell from {classes}, lateral cells_of_class(k_lo, k_hi)", classes=classes)
+    return classed.join(routed, ["k_lo", "k_hi"]).select("cell", "lo", "hi")
+
+
 def queries() -> dict[str, Query]:
     from .relations import RELATIONS, relation_query
 
