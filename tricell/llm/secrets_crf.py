@@ -305,7 +305,7 @@ def _windows(config: CrfConfig):
                 spans = base_spans(texts)
                 tags = _weak_tags(t, spans)
                 ptr = np.searchsorted(t.row, np.arange(texts.rows + 1))
-                out_f, out_t = [], []
+                cut: list[np.ndarray] = []
                 for r in range(texts.rows):
                     low, high = ptr[r], ptr[r + 1]
                     if low == high:
@@ -315,9 +315,13 @@ def _windows(config: CrfConfig):
                     hard = low + np.argsort(-(t.ends[low:high] - t.starts[low:high]), kind="stable")[:2]
                     even = np.linspace(low, high - 1, 2).astype(int)
                     for c in dict.fromkeys([*marks[: config.windows - 4], *hard, *even]):
-                        which = np.arange(max(low, c - config.reach), min(high, c + config.reach + 1))
-                        out_f.append(surroundings(texts, t, which).ravel().tolist())
-                        out_t.append(tags[which].tolist())
+                        cut.append(np.arange(max(low, c - config.reach), min(high, c + config.reach + 1)))
+                if not cut:
+                    continue
+                which = np.concatenate(cut)
+                ends = np.cumsum([len(w) for w in cut])[:-1]
+                out_f = [f.ravel().tolist() for f in np.split(surroundings(texts, t, which), ends)]
+                out_t = [w.tolist() for w in np.split(tags[which], ends)]
                 yield pa.RecordBatch.from_arrays([pa.array(out_f, pa.list_(pa.int32())), pa.array(out_t, pa.list_(pa.int32()))], ["features", "tags"])
 
     return make
