@@ -465,6 +465,34 @@ def test_block_max_search_equals_a_full_scan():
         assert [i for _, i in got] == order or np.allclose(sorted(scores[[i for _, i in got]]), sorted(scores[order]), atol=2e-9)
 
 
+def test_every_term_of_an_example_counts(spark):
+    rows = [(i, prose(i, 50), "a") for i in range(12)]
+    docs = make(spark, rows)
+    model = toxicity.fit(docs, toy_labels(spark, [(i, int(i < 2)) for i in range(12)]))
+    got = {r.doc_id: r for r in toxicity.score_documents(docs, model, evidence=True).collect()}
+    for i in range(12):
+        best = got[i].evidence[0]
+        assert (best.example, best.toxic) == (i, int(i < 2)) and best.similarity == pytest.approx(1)
+
+
+def test_search_of_many_documents_equals_a_full_scan():
+    r = np.random.default_rng(3)
+    n, terms, k = 400, 3000, 15
+    dense = r.random((n, terms)) * (r.random((n, terms)) < np.minimum(0.9, 20 / np.arange(1, terms + 1)))
+    dense[dense.sum(1) == 0, 0] = 1
+    dense[200:230] = dense[7]
+    dense /= np.sqrt((dense**2).sum(1, keepdims=True))
+    e, t = np.nonzero(dense)
+    index = toxicity.BlockMaxIndex(terms, e, t, dense[e, t], 16)
+    assert 0 < len(index.post_at) < len(e)
+    got = index.nearest_of_each(np.searchsorted(e, np.arange(n + 1)), t, dense[e, t], k, list(range(n)))
+    for d in range(n):
+        scores = np.round(dense @ dense[d], 9)
+        order = sorted((i for i in range(n) if scores[i] > 0 and i != d), key=lambda i: (-scores[i], i))[:k]
+        assert np.allclose([s for s, _ in got[d]], scores[order], atol=2e-9)
+        assert all(i != d for _, i in got[d]) and np.allclose(scores[[i for _, i in got[d]]], scores[order], atol=2e-9)
+
+
 def test_calibration_rises():
     raw = np.array([0.1, 0.2, 0.3, 0.4, 0.5])
     x, y = toxicity.monotone(raw, np.array([0, 1, 0, 1, 1.0]), np.ones(5))
