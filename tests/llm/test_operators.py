@@ -159,6 +159,14 @@ def test_fingerprints(spark, awkward, nothing):
     assert fingerprint.fingerprints(awkward[0]).columns.count("fingerprint") == 1
 
 
+def test_case_and_white_space_fold_in_full(spark):
+    blanks = [chr(c) for c in (0x85, 0xA0, 0x1680, *range(0x2000, 0x200B), 0x2028, 0x2029, 0x202F, 0x205F, 0x3000)]
+    same = ["Straße ΛΌΓΟΣ", "STRASSE λόγος", "strasse λόγοσ", *[f"{b}straße{b} {b}λόγος{b}" for b in blanks]]
+    rows = [(i, t, "a") for i, t in enumerate(same)] + [(100, "strase λόγος", "a"), (101, "strasse\u200bλόγος", "a")]
+    got = {r.doc_id: r.fingerprint for r in fingerprint.fingerprints(make(spark, rows)).collect()}
+    assert len({got[i] for i in range(len(same))}) == 1 and len(set(got.values())) == 3
+
+
 @pytest.mark.parametrize("per_bucket", [1, 2, 100])
 def test_the_next_row_of_any_bucketing(spark, per_bucket):
     ids = [3, 4, 9, 1000, 1001, 50_000, -7]

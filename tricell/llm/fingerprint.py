@@ -1,8 +1,9 @@
 """Canonical exact digests of documents, in DataFrame functions only.
 
-The canonical form of a text is its Unicode composition (NFC, by the ICU
-library that Spark ships, called only for texts outside ASCII), in lower case,
-with each run of white space as one space and none at the ends.  Its
+The canonical form of a text is its Unicode composition (NFC), with case folded
+in full and each run of white space (Unicode's White_Space) as one space and
+none at the ends.  Composition and folding are by the ICU library that Spark
+ships, called only for texts outside ASCII.  Its
 fingerprint is 128 bits wide: two xxhash64 values that start from different
 seeds.  Rows with equal fingerprints are compared byte by byte, so two
 different canonical forms never share a group.
@@ -22,13 +23,18 @@ from .storage import materialise
 
 # Fixed salts of the two halves of a fingerprint.
 _SALTS = ("first half", "second half")
+# White space outside ASCII, as a character class.
+_WIDE_BLANKS = r"\x{85}\x{A0}\x{1680}\x{2000}-\x{200A}\x{2028}\x{2029}\x{202F}\x{205F}\x{3000}"
 
 
 def canonical(text: Column) -> Column:
     """The canonical form of a text."""
     plain = F.octet_length(text) == F.char_length(text)
-    composed = F.when(plain, text).otherwise(F.reflect(F.lit("com.ibm.icu.text.Normalizer"), F.lit("compose"), text, F.lit(False)))
-    spaced = F.lower(composed)
+    icu = lambda owner, call, s, option: F.reflect(F.lit(f"com.ibm.icu.{owner}"), F.lit(call), s, F.lit(option))
+    # folding takes texts apart first, as marks under case change otherwise depend on how they were composed
+    folded = icu("lang.UCharacter", "foldCase", icu("text.Normalizer", "decompose", text, False), True)
+    composed = icu("text.Normalizer", "compose", folded, False)
+    spaced = F.when(plain, F.lower(text)).otherwise(F.regexp_replace(composed, f"[{_WIDE_BLANKS}]", " "))
     for blank in "\t\n\x0b\x0c\r":
         spaced = F.replace(spaced, F.lit(blank), F.lit(" "))
     # most texts hold no two blanks in a row, so the pattern is the exception
