@@ -505,3 +505,79 @@ def test_calibration_rises():
     raw = np.array([0.1, 0.2, 0.3, 0.4, 0.5])
     x, y = toxicity.monotone(raw, np.array([0, 1, 0, 1, 1.0]), np.ones(5))
     assert (np.diff(y) > 0).all() and (np.diff(x) > 0).all() and y[0] == 0 and y[-1] == 1
+
+
+def thue_morse(n, letters="ab"):
+    return "".join(letters[bin(i).count("1") % 2] for i in range(n))
+
+
+@pytest.mark.parametrize("n", [1 << 10, 1 << 13])
+def test_long_runs_of_different_bytes_stay_apart(spark, n):
+    """Words and lines on which hashes that are linear in the bytes collide."""
+    one, two = thue_morse(n), thue_morse(n, "ba")
+    block = next(ts.text_blocks(pa.array([f"{one} {two} {one}"])))
+    words = ts.scan_words(block)
+    assert words.hashes[0] == words.hashes[2] != words.hashes[1]
+    assert ts.numbered_runs(block.buf, words.starts, words.ends).tolist() in ([0, 1, 0], [1, 0, 1])
+    lines = host_rules.apply_host_rules(make(spark, [(1, f"{one}\n{two}\n{one}", "h"), (2, f"{one} {one} {one} {two} {two} {two} ", "h")])).collect()
+    assert [(r.n_dup_lines, r.n_repeat_words) for r in sorted(lines, key=lambda r: r.doc_id)] == [(1, 0), (0, 0)]
+    got = near_dup.near_duplicates(make(spark, [(1, one, "h"), (2, two, "h"), (3, one, "h")])).collect()
+    assert {r.doc_id: r.component_id for r in got} == {1: 1, 2: 2, 3: 1}
+    stats = qda.document_statistics(block)
+    assert stats[0][qda.FEATURES.index("distinct_words")] == pytest.approx(2 / 3)
+    assert len(set(toxicity.term_hashes(block)[1].tolist())) == 2
+
+
+def test_equal_hashes_do_not_make_equal_runs():
+    buf = np.frombuffer(b"abcdefghij" * 3 + b"abcdefghiX", np.uint8)
+    starts = np.array([0, 10, 20, 30, 5])
+    ends = np.array([10, 20, 30, 40, 10])
+    number = ts.numbered_runs(buf, starts, ends, np.zeros(5, np.uint64))
+    assert number[0] == number[1] == number[2] and len(set(number.tolist())) == 3
+
+
+@pytest.mark.parametrize("seed", range(4))
+def test_hashes_of_runs_depend_on_their_bytes_only(seed):
+    r = random.Random(seed)
+    data = bytes(r.choice(b"ab") for _ in range(4000))
+    cuts = sorted(r.sample(range(4000), 300)) + [4000]
+    buf = np.frombuffer(data, np.uint8)
+    starts, ends = np.array(cuts[:-1]), np.array(cuts[1:])
+    hashes = ts.run_hashes(buf, starts, ends)
+    alone = [int(ts.run_hashes(np.frombuffer(data[a:b], np.uint8), np.array([0]), np.array([b - a]))[0]) for a, b in zip(starts, ends)]
+    assert hashes.tolist() == alone
+    pieces = [data[a:b] for a, b in zip(starts, ends)]
+    assert len(set(alone)) == len(set(pieces))
+    number = ts.numbered_runs(buf, starts, ends)
+    assert all((number[i] == number[j]) == (pieces[i] == pieces[j]) for i, j in itertools.combinations(range(len(pieces)), 2))
+
+
+def test_blocks_out_of_reach_are_not_read():
+    """Two languages without a common term: a search in one passes over blocks of the other."""
+    r = np.random.default_rng(11)
+    n, terms = 512, 400
+    dense = np.zeros((n, terms))
+    for e in range(n):
+        half = terms // 2 * (e % 2)
+        dense[e, half + r.choice(terms // 2, 30, replace=False)] = r.random(30) + 0.1
+    dense /= np.sqrt((dense**2).sum(1, keepdims=True))
+    e, t = np.nonzero(dense)
+    index = toxicity.BlockMaxIndex(terms, e, t, dense[e, t], 16)
+    q = np.flatnonzero(dense[6])
+    got = index.nearest(q, dense[6, q], 5)
+    scores = np.round(dense @ dense[6], 9)
+    assert got[0] == (pytest.approx(1), 6)
+    assert np.allclose([s for s, _ in got], np.sort(scores)[::-1][:5], atol=2e-9)
+    assert index.skipped >= n // 16 // 4 and index.read + index.skipped == n // 16
+
+
+def test_vectors_equal_a_plain_tf_idf(spark):
+    """Weights of examples, against counts by dictionary."""
+    rows = [(i, " ".join(prose(i % 7, 30).split() + prose(100 + i, 20).split()), "a") for i in range(24)]
+    model = toxicity.fit(make(spark, rows), toy_labels(spark, [(i, int(i % 3 == 0)) for i in range(16)]), config=toxicity.ToxicityConfig(sharpness=0.0))
+    counts = [{w: t.split().count(w) for w in t.split()} for _, t, _ in rows]
+    idf = lambda w: np.log((len(rows) + 1) / (sum(w in c for c in counts) + 1)) + 1
+    for e, i in enumerate(model.ids.tolist()):
+        weight = sorted((1 + np.log(n)) * idf(w) for w, n in counts[i].items())
+        got = model.units(np.array([0, model.ptr[e + 1] - model.ptr[e]]), model.term[model.ptr[e] : model.ptr[e + 1]], model.count[model.ptr[e] : model.ptr[e + 1]])
+        assert np.allclose(np.sort(got), np.array(weight) / np.sqrt(np.sum(np.square(weight))))

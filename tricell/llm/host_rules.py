@@ -7,12 +7,15 @@ documents with it.  A document is kept if it passes its own rules and its
 host's verdict.
 
 The texts are read once; counts by host are summed before they are shuffled,
-so a host with a third of all rows costs one row a task.
+so a host with a third of all rows costs one row a task.  Lines and words are
+grouped by hash and then compared byte by byte.
 
 Defined results: a null text has no words and fails; rows with a null host
 form one host of their own; repeated rows each count; with fewer than two
 hosts, or no spread between them, the prior weighs one document; an empty table
-gives no rows.
+gives no rows; columns of the table are never part of the result, so none can
+clash.  A text is scanned whole by one task, at about 100 bytes of memory for
+each of its own.
 """
 
 from __future__ import annotations
@@ -42,19 +45,21 @@ class HostRules:
     host_limit: float = 0.6
 
 
-def repeated_words(words: ts.Words, window: int) -> np.ndarray:
-    """For each row, how many words lie in a window of that many words that occurs twice or more in the row."""
+def repeated_words(words: ts.Words, number: np.ndarray, window: int) -> np.ndarray:
+    """For each row, how many words lie in a window of that many words that occurs twice or more in the row.
+
+    `number` says which word each is.
+    """
     out = np.zeros(len(words.ptr) - 1, np.int64)
     n = len(words.hashes)
     if n < window:
         return out
-    grams = np.zeros(n - window + 1, np.uint64)
-    for k in range(window):
-        grams = ts.mix(grams * np.uint64(3) + words.hashes[k : n - window + 1 + k] + np.uint64(k + 1))
     row = words.row
     valid = np.flatnonzero(row[: n - window + 1] == row[window - 1 :])
-    order = valid[np.lexsort((grams[valid], row[valid]))]
-    same = (grams[order][1:] == grams[order][:-1]) & (row[order][1:] == row[order][:-1])
+    grams = ts.window_numbers(number, words.ptr, valid, window)
+    by_gram = np.lexsort((grams, row[valid]))
+    order, grams = valid[by_gram], grams[by_gram]
+    same = (grams[1:] == grams[:-1]) & (row[order][1:] == row[order][:-1])
     twice = np.zeros(len(order), bool)
     twice[1:] |= same
     twice[:-1] |= same
@@ -73,41 +78,39 @@ def duplicate_lines(texts: ts.Texts, words: ts.Words) -> np.ndarray:
     starts, ends = ts.run_bounds(texts.buf != 10, texts.offsets)
     held = np.searchsorted(words.starts, ends) > np.searchsorted(words.starts, starts)
     starts, ends = starts[held], ends[held]
-    hashes = np.empty(len(starts), np.uint64)
-    at = 0
-    while at < len(starts):
-        to = max(at + 1, int(np.searchsorted(ends, starts[at] + ts.BLOCK, "right")))
-        low = starts[at]
-        hashes[at:to] = ts.RunHasher(texts.buf[low : ends[to - 1]])(starts[at:to] - low, ends[at:to] - low)
-        at = to
+    line = ts.numbered_runs(texts.buf, starts, ends)
     row = np.searchsorted(texts.offsets, starts, "right") - 1
-    order = np.lexsort((hashes, row))
-    same = (hashes[order][1:] == hashes[order][:-1]) & (row[order][1:] == row[order][:-1])
+    order = np.lexsort((line, row))
+    same = (line[order][1:] == line[order][:-1]) & (row[order][1:] == row[order][:-1])
     np.add.at(out, row[order][1:][same], 1)
     return out
 
 
-def _measure(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    for batch in batches:
-        for texts in ts.text_blocks(batch.column("text")):
-            words = ts.scan_words(texts)
-            points = ts.code_points(texts.buf)
-            inside = np.zeros(len(texts.buf) + 1, np.int64)
-            np.cumsum(_SYMBOL[texts.buf], out=inside[1:])
-            chars = np.zeros(len(words.starts) + 1, np.int64)
-            np.cumsum(points[words.ends] - points[words.starts], out=chars[1:])
-            yield pa.RecordBatch.from_arrays(
-                [
-                    batch.column("id").slice(texts.first, texts.rows),
-                    batch.column("host").slice(texts.first, texts.rows),
-                    pa.array(words.counts.astype(np.int64)),
-                    pa.array(np.diff(chars[words.ptr])),
-                    pa.array(np.diff(inside[texts.offsets])),
-                    pa.array(duplicate_lines(texts, words)),
-                    pa.array(repeated_words(words, 3)),
-                ],
-                ["id", "host", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words"],
-            )
+def _measurer(window: int):
+    def measure(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for texts in ts.text_blocks(batch.column("text")):
+                words = ts.scan_words(texts)
+                number = ts.numbered_runs(texts.buf, words.starts, words.ends, words.hashes)
+                points = ts.code_points(texts.buf)
+                inside = np.zeros(len(texts.buf) + 1, np.int64)
+                np.cumsum(_SYMBOL[texts.buf], out=inside[1:])
+                chars = np.zeros(len(words.starts) + 1, np.int64)
+                np.cumsum(points[words.ends] - points[words.starts], out=chars[1:])
+                yield pa.RecordBatch.from_arrays(
+                    [
+                        batch.column("id").slice(texts.first, texts.rows),
+                        batch.column("host").slice(texts.first, texts.rows),
+                        pa.array(words.counts.astype(np.int64)),
+                        pa.array(np.diff(chars[words.ptr])),
+                        pa.array(np.diff(inside[texts.offsets])),
+                        pa.array(duplicate_lines(texts, words)),
+                        pa.array(repeated_words(words, number, window)),
+                    ],
+                    ["id", "host", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words"],
+                )
+
+    return measure
 
 
 _MEASURES = "id long, host string, n_words long, word_chars long, n_symbols long, n_dup_lines long, n_repeat_words long"
@@ -142,7 +145,7 @@ def apply_host_rules(docs: DataFrame, id_col: str = "doc_id", text_col: str = "t
     """One row for each row of `docs`: measures, base_failed, the host's counts and rate, kept."""
     rows = docs.select(F.col(id_col).cast("long").alias("id"), F.col(host_col).cast("string").alias("host"), F.col(text_col).alias("text"))
     failed = (F.col("n_words") < rules.min_words) | (100 * F.col("n_repeat_words") > rules.repeat_percent * F.col("n_words"))
-    measured = materialise(rows.mapInArrow(_measure, _MEASURES).withColumn("base_failed", failed), "measured")
+    measured = materialise(rows.mapInArrow(_measurer(rules.window), _MEASURES).withColumn("base_failed", failed), "measured")
     hosts = judge_hosts(measured, rules).withColumnRenamed("host", "named")
     joined = measured.join(hosts, F.col("host").eqNullSafe(F.col("named")), "left")
     return joined.select(

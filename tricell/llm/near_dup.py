@@ -1,8 +1,8 @@
 """Near-duplicate documents: banded MinHash with sequential Bayesian verification.
 
-1. One pass over the texts gives each document its shingle set's size and
-   digest, a signature and its band keys; only these are stored.
-2. Documents with equal sets are linked to the least id of the set, so a
+1. One pass over the texts gives each document its shingle set's size, the
+   SHA-256 of its words, a signature and its band keys; only these are stored.
+2. Documents of equal words are linked to the least id among them, so a
    group of copies costs one row from here on.
 3. In each band bucket every member is compared with one pivot (the member
    that shares most buckets), first by signature: batches of positions are
@@ -12,15 +12,18 @@
 4. In buckets that still hold several groups, the members outside the largest
    one are compared with all members, in blocks of bounded size: first by
    signature, which says what groups a member might belong to; then each such
-   group with its outsiders on full sets.  A block yields a forest of links,
-   never all pairs.
+   group with its outsiders on full sets.  A block holds a bounded number of
+   shingles and yields a forest of links, never all pairs.
 5. Components of all links that the full sets confirm.
 
+Signatures are made of shingle hashes; a link is made of equal bytes only.
 No step emits all pairs of a group, caps a bucket or leaves candidates out.
 
 Defined results: a null or wordless text has an empty set and no link; a row
 with a null id is kept, with a null component; rows that share an id are one
-node; copies of a row give equal output rows; an empty table gives no rows.
+node; copies of a row give equal output rows; an empty table gives no rows;
+no column of the table but id and text is read, so none can clash.  A text is
+scanned whole by one task.
 """
 
 from __future__ import annotations
@@ -31,12 +34,13 @@ from math import comb
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from . import textscan as ts
 from .components import connected_components
-from .storage import materialise
+from .storage import free_name, materialise
 
 
 @dataclass(frozen=True)
@@ -54,6 +58,7 @@ class NearDupConfig:
     batch: int = 40
     miss: float = 1e-7
     block: int = 512
+    shingles_a_block: int = 1 << 18
     seed: int = 7
 
     @property
@@ -115,16 +120,13 @@ def _signer(config: NearDupConfig) -> Callable[[Iterator[pa.RecordBatch]], Itera
         factors, masks = _permutations(config)
         for batch in batches:
             for texts in ts.text_blocks(batch.column("text")):
-                grams, ptr = ts.shingle_sets(texts, config.width)
+                words = ts.scan_words(texts, folded=True)
+                grams, ptr = ts.shingle_sets(words, config.width)
                 n = np.diff(ptr)
                 full = np.flatnonzero(n)
-                heads = ptr[:-1][full]
                 minima = np.zeros((texts.rows, config.positions), np.uint64)
-                d1, d2 = np.zeros(texts.rows, np.uint64), np.zeros(texts.rows, np.uint64)
                 if len(full):
-                    minima[full] = _minima(grams, heads, factors, masks)
-                    d1[full] = np.add.reduceat(ts.mix(grams ^ np.uint64(0x5851F42D4C957F2D)), heads)
-                    d2[full] = np.bitwise_xor.reduceat(ts.mix(grams + np.uint64(0x14057B7EF767814F)), heads)
+                    minima[full] = _minima(grams, ptr[:-1][full], factors, masks)
                 keys = np.zeros((texts.rows, config.bands), np.uint64)
                 for k in range(config.rows):
                     keys = ts.mix(keys * np.uint64(3) + minima[:, k :: config.rows] + np.arange(config.bands, dtype=np.uint64))
@@ -133,20 +135,19 @@ def _signer(config: NearDupConfig) -> Callable[[Iterator[pa.RecordBatch]], Itera
                     [
                         batch.column("id").slice(texts.first, texts.rows),
                         pa.array(n.astype(np.int64)),
-                        pa.array(d1.view(np.int64)),
-                        pa.array(d2.view(np.int64)),
+                        pa.array(ts.word_digests(texts, words), pa.binary()),
                         pa.ListArray.from_arrays(
                             np.arange(0, texts.rows * config.bands + 1, config.bands, dtype=np.int32), keys.view(np.int64).ravel()
                         ),
                         pa.array([r.tobytes() for r in low], pa.binary()),
                     ],
-                    ["id", "n_shingles", "d1", "d2", "keys", "sig"],
+                    ["id", "n_shingles", "digest", "keys", "sig"],
                 )
 
     return sign
 
 
-_SIGNED = "id long, n_shingles long, d1 long, d2 long, keys array<long>, sig binary"
+_SIGNED = "id long, n_shingles long, digest binary, keys array<long>, sig binary"
 
 
 def _signatures(column: pa.Array, config: NearDupConfig) -> np.ndarray:
@@ -220,9 +221,10 @@ def _linker(config: NearDupConfig):
         for block in grouped(batches, ("target", "i", "j")):
             ids, labels = block.column("rep").to_numpy(), block.column("label").to_numpy()
             outside = block.column("outside").to_numpy(zero_copy_only=False).astype(bool)
+            whole = block.column("text").combine_chunks()
             sets: list[np.ndarray] = []
-            for texts in ts.text_blocks(block.column("text")):
-                grams, ptr = ts.shingle_sets(texts, config.width)
+            for texts in ts.text_blocks(whole):
+                grams, ptr = ts.shingle_sets(ts.scan_words(texts, folded=True), config.width)
                 sets += [grams[ptr[r] : ptr[r + 1]] for r in range(texts.rows)]
             sigs = np.stack([_low_bits(_minima(x, np.zeros(1, np.int64), factors, masks))[0] for x in sets])
             root = {int(c): int(c) for c in labels}
@@ -240,7 +242,7 @@ def _linker(config: NearDupConfig):
                 kept, matches = surviving(np.broadcast_to(sigs[x], (len(rest), sigs.shape[1])), sigs[rest], steps)
                 for y in rest[kept][np.argsort(-matches, kind="stable")]:
                     a, b = find(int(labels[x])), find(int(labels[y]))
-                    if a != b and similar(sets[x], sets[y], config.percent):
+                    if a != b and similar(sets[x], sets[y], config.percent) and alike(whole.take(pa.array([x, y])), config)[0]:
                         root[max(a, b)] = min(a, b)
                         found.append((int(ids[x]), int(ids[y])))
             if found:
@@ -257,21 +259,23 @@ def similar(x: np.ndarray, y: np.ndarray, percent: int) -> bool:
     return both > 0 and 100 * both >= percent * (len(x) + len(y) - both)
 
 
+def alike(column: pa.Array, config: NearDupConfig) -> list[bool]:
+    """Whether the first and second half of a column of texts, one by one, are similar; shingles are compared by their bytes."""
+    texts = next(ts.text_blocks(column, 1 << 62))
+    grams, ptr = ts.exact_shingle_sets(texts, config.width)
+    n = texts.rows // 2
+    return [similar(grams[ptr[r] : ptr[r + 1]], grams[ptr[n + r] : ptr[n + r + 1]], config.percent) for r in range(n)]
+
+
 def _set_verifier(config: NearDupConfig):
     def verify(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            links = np.zeros(batch.num_rows, bool)
-            for first in range(0, batch.num_rows, 64):
-                part = batch.slice(first, 64)
-                sets: list[list[np.ndarray]] = []
-                for side in ("text_a", "text_b"):
-                    found: list[np.ndarray] = []
-                    for texts in ts.text_blocks(part.column(side)):
-                        grams, ptr = ts.shingle_sets(texts, config.width)
-                        found += [grams[ptr[r] : ptr[r + 1]] for r in range(texts.rows)]
-                    sets.append(found)
-                links[first : first + part.num_rows] = [similar(x, y, config.percent) for x, y in zip(*sets, strict=True)]
-            yield batch.select(["a", "b"]).filter(pa.array(links))
+            links: list[bool] = []
+            a, b = batch.column("text_a"), batch.column("text_b")
+            size = pc.add(pc.fill_null(pc.binary_length(a), 0), pc.fill_null(pc.binary_length(b), 0)).to_numpy()
+            for low, high in ts.cuts(size):
+                links += alike(pa.concat_arrays([a.slice(low, high - low), b.slice(low, high - low)]), config)
+            yield batch.select(["a", "b"]).filter(pa.array(links, pa.bool_()))
 
     return verify
 
@@ -291,6 +295,8 @@ def _pivot_pairs(sized: DataFrame) -> DataFrame:
     company = sized.groupBy("rep").agg(F.sum("n").alias("company"))
     top = F.max(F.struct("company", (-F.col("rep")).alias("low")))
     pivots = sized.join(company, "rep").groupBy("key").agg(top.alias("top")).select("key", (-F.col("top.low")).alias("pivot"))
+    # stored, so that the join below may split a bucket over many tasks
+    pivots = materialise(pivots, "pivots")
     pairs = sized.join(pivots, "key").where("rep <> pivot")
     return pairs.select(F.least("rep", "pivot").alias("a"), F.greatest("rep", "pivot").alias("b")).distinct()
 
@@ -303,17 +309,18 @@ def _near_labels(links: DataFrame) -> DataFrame:
     return two.join(one, "a").select(F.col("a").alias("rep"), F.least("far", "m").alias("label"))
 
 
-def _deal(rows: DataFrame, key: str, config: NearDupConfig) -> DataFrame:
-    """Rows (key, rep, label, outside) dealt to blocks (key, i, j) of bounded size.
+def _deal(rows: DataFrame, key: str, limit: int) -> DataFrame:
+    """Rows (key, rep, label, outside, size) dealt to blocks (key, i, j) with about `limit` of each side's sizes.
 
     Of `ni` parts of the outsiders and `nj` of the members, each meets each.
     """
-    sizes = rows.groupBy(key).agg(F.count_if("outside").alias("out"), F.count_if(~F.col("outside")).alias("members"))
-    parts = sizes.select(key, F.ceil(F.col("out") / config.block).cast("int").alias("ni"), F.ceil(F.col("members") / config.block).cast("int").alias("nj"))
+    side = lambda own: F.ceil(F.sum(F.when(own, F.col("size")).otherwise(0)) / limit).cast("int")
+    parts = rows.groupBy(key).agg(side(F.col("outside")).alias("ni"), side(~F.col("outside")).alias("nj"))
+    parts = materialise(parts.where("ni > 0 and nj > 0"), "parts")
     slot = F.abs(F.xxhash64("rep") % (1 << 40))
     own = F.when(F.col("outside"), slot % F.col("ni")).otherwise(slot % F.col("nj")).cast("int")
     others = F.explode(F.sequence(F.lit(0), F.when(F.col("outside"), F.col("nj")).otherwise(F.col("ni")) - 1))
-    dealt = rows.join(parts, key).where("ni > 0 and nj > 0").select(key, "rep", "label", "outside", own.alias("own"), others.alias("other"))
+    dealt = rows.join(parts, key).select(key, "rep", "label", "outside", own.alias("own"), others.alias("other"))
     return dealt.select(
         key, "rep", "label", "outside", F.when(F.col("outside"), F.col("own")).otherwise(F.col("other")).alias("i"),
         F.when(F.col("outside"), F.col("other")).otherwise(F.col("own")).alias("j"),
@@ -324,7 +331,7 @@ def _in_blocks(rows: DataFrame, key: str) -> DataFrame:
     return rows.repartition(key, "i", "j").sortWithinPartitions(key, "i", "j")
 
 
-def _late_links(sized: DataFrame, links: DataFrame, sigs: DataFrame, texts: DataFrame, config: NearDupConfig) -> DataFrame:
+def _late_links(sized: DataFrame, links: DataFrame, sigs: DataFrame, sizes: DataFrame, texts: DataFrame, config: NearDupConfig) -> DataFrame:
     """Links between members of one bucket that the pivots have left apart."""
     labels = materialise(_near_labels(links), "labels")
     named = sized.where("n > 2").join(labels, "rep", "left").select("key", "rep", F.coalesce("label", "rep").alias("label"))
@@ -333,7 +340,8 @@ def _late_links(sized: DataFrame, links: DataFrame, sigs: DataFrame, texts: Data
     mixed = parts.groupBy("key").agg(F.count("*").alias("k"), F.max(F.struct("n", "label")).alias("top")).where("k > 1").select("key", F.col("top.label").alias("largest"))
     rows = named.join(mixed, "key")
     outside = rows.where("label <> largest").select("key", "rep", "label", F.lit(True).alias("outside"))
-    dealt = _deal(outside.unionByName(rows.select("key", "rep", "label", F.lit(False).alias("outside"))), "key", config)
+    rows = outside.unionByName(rows.select("key", "rep", "label", F.lit(False).alias("outside")))
+    dealt = _deal(rows.withColumn("size", F.lit(1)), "key", config.block)
     touching = _in_blocks(dealt.join(sigs.toDF("rep", "sig"), "rep"), "key").mapInArrow(_touching(config), "rep long, target long").distinct()
     touching = materialise(touching, "touching")
     if touching.isEmpty():
@@ -343,7 +351,8 @@ def _late_links(sized: DataFrame, links: DataFrame, sigs: DataFrame, texts: Data
     targets = touching.select("target").distinct()
     members = targets.join(labels.toDF("rep", "target"), "target").unionByName(targets.select("target", F.col("target").alias("rep"))).distinct()
     members = members.select("target", "rep", F.col("target").alias("label"), F.lit(False).alias("outside"))
-    dealt = _deal(outside.unionByName(members), "target", config)
+    heavy = sizes.select(F.col("id").alias("rep"), F.greatest("n_shingles", F.lit(config.shingles_a_block // config.block)).alias("size"))
+    dealt = _deal(outside.unionByName(members).join(heavy, "rep"), "target", config.shingles_a_block)
     return _in_blocks(dealt.join(texts.toDF("rep", "text"), "rep"), "target").mapInArrow(_linker(config), "a long, b long")
 
 
@@ -355,17 +364,19 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     texts = docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).alias("text"))
     signed = materialise(texts.mapInArrow(_signer(config), _SIGNED), "signed")
     alive = signed.where("n_shingles > 0 and id is not null")
-    sets = alive.groupBy("n_shingles", "d1", "d2").agg(F.min("id").alias("rep"), F.count("*").alias("copies"))
+    # sides of joins on a key that many rows may share are stored first: then the join may split such a key
+    sets = materialise(alive.groupBy("digest").agg(F.min("id").alias("rep"), F.count("*").alias("copies")), "sets")
     copies = (
-        alive.select("id", "n_shingles", "d1", "d2")
-        .join(sets.where("copies > 1").select("n_shingles", "d1", "d2", "rep"), ["n_shingles", "d1", "d2"])
+        alive.select("id", "digest")
+        .join(sets.where("copies > 1").select("digest", "rep"), "digest")
         .where("id <> rep")
         .select(F.col("rep").alias("a"), F.col("id").alias("b"))
     )
-    reps = materialise(alive.join(sets.select(F.col("rep").alias("id")).distinct(), "id", "left_semi").select("id", "keys", "sig"), "reps")
+    reps = alive.join(sets.select(F.col("rep").alias("id")).distinct(), "id", "left_semi").select("id", "n_shingles", "keys", "sig")
+    reps = materialise(reps, "reps")
     sigs = reps.select("id", "sig").dropDuplicates(["id"])
     bands = reps.select(F.col("id").alias("rep"), F.explode("keys").alias("key"))
-    sizes = bands.groupBy("key").agg(F.count("*").alias("n")).where("n > 1")
+    sizes = materialise(bands.groupBy("key").agg(F.count("*").alias("n")).where("n > 1"), "bucket-sizes")
     sized = materialise(bands.join(sizes, "key"), "buckets")
 
     a, b = sigs.toDF("a", "sig_a"), sigs.toDF("b", "sig_b")
@@ -373,7 +384,7 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     close = compared.mapInArrow(_pair_pruner(config), "a long, b long")
     known = texts.where("id is not null")
     links = materialise(_confirm(close, known, config), "linked")
-    late = _late_links(sized, links, sigs, known, config)
+    late = _late_links(sized, links, sigs, reps.groupBy("id").agg(F.max("n_shingles").alias("n_shingles")), known, config)
     labels = connected_components(copies.unionByName(links).unionByName(late))
     component = F.coalesce("component", "id")
     return signed.select("id", "n_shingles").join(labels, "id", "left").select(
@@ -388,6 +399,6 @@ def keep_one_of_each(docs: DataFrame, id_col: str = "doc_id", text_col: str = "t
     """
     verdicts = near_duplicates(docs, id_col, text_col, config).where(f"kept and {id_col} is not null").select(id_col).distinct()
     columns = docs.columns
-    turn = Window.partitionBy(id_col).orderBy(F.col(text_col).asc_nulls_last())
-    named = docs.where(F.col(id_col).isNotNull()).join(verdicts, id_col, "left_semi").withColumn("_turn", F.row_number().over(turn))
-    return named.where("_turn = 1").select(columns).unionByName(docs.where(F.col(id_col).isNull()).select(columns))
+    turn, first = Window.partitionBy(id_col).orderBy(F.col(text_col).asc_nulls_last()), free_name(docs, "turn")
+    named = docs.where(F.col(id_col).isNotNull()).join(verdicts, id_col, "left_semi").withColumn(first, F.row_number().over(turn))
+    return named.where(F.col(first) == 1).select(columns).unionByName(docs.where(F.col(id_col).isNull()).select(columns))

@@ -84,9 +84,10 @@ def document_statistics(texts: ts.Texts) -> np.ndarray:
     upper, lower = by_row(_UPPER), by_row(_LOWER)
     lines = np.maximum(by_row(_member("\n")) + 1, 1)
     row = words.row
-    order = np.lexsort((words.hashes, row))
+    number = ts.numbered_runs(buf, words.starts, words.ends, words.hashes)
+    order = np.lexsort((number, row))
     fresh = np.ones(len(order), bool)
-    fresh[1:] = (words.hashes[order][1:] != words.hashes[order][:-1]) | (row[order][1:] != row[order][:-1])
+    fresh[1:] = (number[order][1:] != number[order][:-1]) | (row[order][1:] != row[order][:-1])
     distinct = np.bincount(row[order][fresh], minlength=texts.rows)
     letters = np.zeros(len(buf) + 1, np.int64)
     np.cumsum(_UPPER[buf] | _LOWER[buf] | _DIGIT[buf] | (buf >= 128), out=letters[1:])
@@ -100,7 +101,7 @@ def document_statistics(texts: ts.Texts) -> np.ndarray:
     return np.stack(
         [
             np.log1p(n), np.log(mean), np.log1p(spread), np.log1p(longest), share(by_row(_SYMBOL), total), share(upper, np.maximum(upper + lower, 1)),
-            share(by_row(_DIGIT), total), share(by_row(_PUNCTUATION), total), share(duplicate_lines(texts, words), lines), share(repeated_words(words, 3), some),
+            share(by_row(_DIGIT), total), share(by_row(_PUNCTUATION), total), share(duplicate_lines(texts, words), lines), share(repeated_words(words, number, 3), some),
             distinct / some, np.log1p(n / lines), share(by_word(ends), some), share(by_word(first), some), share(by_word(bare), some), share(by_word(loud), some),
         ],
         axis=1,

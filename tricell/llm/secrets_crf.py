@@ -174,8 +174,7 @@ def surroundings(texts: ts.Texts, t: Tokens, which: np.ndarray) -> np.ndarray:
     charset = _parts(t.shape)[1]
     left = np.where(has_before, charset[np.maximum(before, 0)], _CHARSETS)
     right = np.where(has_after, charset[np.minimum(after, n - 1)], _CHARSETS)
-    hasher = ts.RunHasher(texts.buf, folded=True)
-    words = hasher(t.starts[np.maximum(before, 0)], t.ends[np.maximum(before, 0)]) if n else np.zeros(0, np.uint64)
+    words = ts.run_hashes(ts.fold_case(texts.buf), t.starts[np.maximum(before, 0)], t.ends[np.maximum(before, 0)]) if n else np.zeros(0, np.uint64)
     key = np.isin(words, _keyword_hashes()) & has_before
     digits = (np.bincount(t.row, weights=_parts(t.shape)[2] > 0, minlength=texts.rows) / np.maximum(np.bincount(t.row, minlength=texts.rows), 1))[t.row[which]]
     firm = np.searchsorted([0.02, 0.1, 0.3], digits, "right")
@@ -186,7 +185,7 @@ def surroundings(texts: ts.Texts, t: Tokens, which: np.ndarray) -> np.ndarray:
 def _keyword_hashes() -> np.ndarray:
     data = "".join(_KEYWORDS).encode()
     ends = np.cumsum([len(k) for k in _KEYWORDS])
-    return ts.RunHasher(np.frombuffer(data, np.uint8), folded=True)(np.concatenate([[0], ends[:-1]]), ends)
+    return ts.run_hashes(np.frombuffer(data, np.uint8), np.concatenate([[0], ends[:-1]]), ends)
 
 
 @dataclass

@@ -2,31 +2,31 @@
 
 Words are maximal runs of bytes outside space and 0x09-0x0D; in UTF-8 no byte
 of a multi-byte character falls in that set, so byte scanning equals the
-code-point rule ``[^\\x20\\x09-\\x0D]+``.  A word's 64-bit hash is a polynomial
-over per-byte random values modulo 2^64, read off a running sum, so hashing a
-batch takes a fixed number of numpy passes and no Python loop over words.
+code-point rule ``[^\\x20\\x09-\\x0D]+``.  A run's 64-bit hash chains its 8-byte
+lanes through a finaliser, one numpy pass a lane for all runs at once; long runs
+are cut in pieces whose hashes are hashed again.  Where equality decides a
+result, `numbered_runs` compares the bytes of runs with equal hashes.
 """
 
 from __future__ import annotations
 
 from collections.abc import Iterator
 from dataclasses import dataclass
+from hashlib import sha256
 
 import numpy as np
 import pyarrow as pa
 
 U64 = np.uint64
 BLOCK = 1 << 20
-_RANDOM = np.random.Generator(np.random.PCG64(20240229))
-_BYTE_VALUE = _RANDOM.integers(1, 2**63, 256, dtype=np.uint64)
-_BYTE_VALUE_FOLDED = _BYTE_VALUE.copy()
-_BYTE_VALUE_FOLDED[65:91] = _BYTE_VALUE[97:123]
-_BASE = U64(0x9E3779B97F4A7C15 | 1)
-_BASE_INVERSE = U64(pow(int(_BASE), -1, 2**64))
 IS_SPACE = np.zeros(256, bool)
 IS_SPACE[[9, 10, 11, 12, 13, 32]] = True
-_powers = np.ones(1, np.uint64)
-_inverses = np.ones(1, np.uint64)
+_FOLDED = np.arange(256, dtype=np.uint8)
+_FOLDED[65:91] += 32
+#: longest run that is hashed lane by lane; a longer one is hashed over its pieces' hashes
+_PIECE = 64
+#: by number of bytes: the lane's bits that belong to the run
+_LANE_BITS = np.array([(1 << 8 * n) - 1 for n in range(9)], np.uint64)
 
 
 def mix(x: np.ndarray) -> np.ndarray:
@@ -38,30 +38,92 @@ def mix(x: np.ndarray) -> np.ndarray:
     return x ^ (x >> U64(31))
 
 
-def _power_tables(n: int) -> tuple[np.ndarray, np.ndarray]:
-    global _powers, _inverses
-    if len(_powers) <= n:
-        size = max(n + 1, BLOCK + 4096)
-        steps = np.full(size, _BASE, np.uint64)
-        steps[0] = 1
-        _powers = np.multiply.accumulate(steps)
-        steps[1:] = _BASE_INVERSE
-        _inverses = np.multiply.accumulate(steps)
-    return _powers, _inverses
+def _lanes(buf: np.ndarray) -> np.ndarray:
+    """The eight bytes from each position on, as one number; past the end there are zeros."""
+    padded = np.zeros(len(buf) + 8, np.uint8)
+    padded[: len(buf)] = buf
+    return np.ndarray(len(buf) + 1, "<u8", padded, strides=(1,))
 
 
-class RunHasher:
-    """Hashes of byte ranges of one buffer; equal bytes give equal hashes."""
+def fold_case(buf: np.ndarray) -> np.ndarray:
+    """A-Z as a-z."""
+    return _FOLDED[buf]
 
-    def __init__(self, buf: np.ndarray, folded: bool = False):
-        powers, self._inverses = _power_tables(len(buf))
-        values = (_BYTE_VALUE_FOLDED if folded else _BYTE_VALUE)[buf]
-        values *= powers[: len(buf)]
-        self._sums = np.zeros(len(buf) + 1, np.uint64)
-        np.cumsum(values, out=self._sums[1:])
 
-    def __call__(self, starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
-        return mix((self._sums[ends] - self._sums[starts]) * self._inverses[starts])
+def _chained(lanes: np.ndarray, starts: np.ndarray, size: np.ndarray) -> np.ndarray:
+    """Hashes of runs of at most `_PIECE` bytes: every lane goes through the finaliser with all before it."""
+    out = mix(size.astype(np.uint64) + U64(0x9E3779B97F4A7C15))
+    left = np.arange(len(starts))
+    for at in range(0, int(size.max(initial=0)), 8):
+        left = left[size[left] > at]
+        lane = lanes[starts[left] + at] & _LANE_BITS[np.minimum(size[left] - at, 8)]
+        out[left] = mix((out[left] + U64(0xD1B54A32D192ED03)) ^ mix(lane + U64(at + 1)))
+    return out
+
+
+def run_hashes(buf: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
+    """64-bit hashes of byte ranges; equal bytes give equal hashes."""
+    size = ends - starts
+    long = np.flatnonzero(size > _PIECE)
+    lanes = _lanes(buf)
+    if not len(long):
+        return _chained(lanes, starts, size)
+    out = np.empty(len(starts), np.uint64)
+    short = np.flatnonzero(size <= _PIECE)
+    out[short] = _chained(lanes, starts[short], size[short])
+    pieces = -(-size[long] // _PIECE)
+    first = np.cumsum(pieces) - pieces
+    head = np.repeat(starts[long], pieces) + _PIECE * (np.arange(pieces.sum()) - np.repeat(first, pieces))
+    parts = _chained(lanes, head, np.minimum(head + _PIECE, np.repeat(ends[long], pieces)) - head)
+    out[long] = mix(run_hashes(parts.view(np.uint8), 8 * first, 8 * (first + pieces)) ^ mix(size[long].astype(np.uint64)))
+    return out
+
+
+def equal_runs(buf: np.ndarray, starts: np.ndarray, ends: np.ndarray, others: np.ndarray, other_ends: np.ndarray) -> np.ndarray:
+    """Whether the bytes of each range equal those of its other, compared lane by lane."""
+    size = ends - starts
+    same = size == other_ends - others
+    lanes = _lanes(buf)
+    for low, high in cuts(np.where(same, -(-size // 8), 0)):
+        rows = np.arange(low, high)[same[low:high]]
+        n = -(-size[rows] // 8)
+        at = 8 * (np.arange(n.sum()) - np.repeat(np.cumsum(n) - n, n))
+        row = np.repeat(rows, n)
+        kept = _LANE_BITS[np.minimum(size[row] - at, 8)]
+        same[row[((lanes[starts[row] + at] ^ lanes[others[row] + at]) & kept) != 0]] = False
+    return same
+
+
+def cuts(n: np.ndarray) -> Iterator[tuple[int, int]]:
+    """Ranges of rows that have about `BLOCK` of `n` together; a row of more comes alone."""
+    total, at = np.cumsum(n), 0
+    while at < len(n):
+        to = max(at + 1, int(np.searchsorted(total, (total[at - 1] if at else 0) + BLOCK, "right")))
+        yield at, to
+        at = to
+
+
+def numbered_runs(buf: np.ndarray, starts: np.ndarray, ends: np.ndarray, hashes: np.ndarray | None = None) -> np.ndarray:
+    """A number for each range, equal if and only if the bytes are.
+
+    Ranges are grouped by hash; then each is compared with its group's first.
+    """
+    if not len(starts):
+        return np.zeros(0, np.int64)
+    hashes = run_hashes(buf, starts, ends) if hashes is None else hashes
+    _, first, number = np.unique(hashes, return_index=True, return_inverse=True)
+    rep = first[number]
+    later = np.flatnonzero(rep != np.arange(len(rep)))
+    same = equal_runs(buf, starts[later], ends[later], starts[rep[later]], ends[rep[later]])
+    taken: dict[bytes, int] = {}
+    for i in later[~same]:  # ranges whose hash collides with another one's, if ever
+        number[i] = taken.setdefault(buf[starts[i] : ends[i]].tobytes(), len(first) + len(taken))
+    return number.astype(np.int64)
+
+
+def paired(a: np.ndarray, b: np.ndarray) -> np.ndarray:
+    """A number for each pair (a, b) of numbers, equal if and only if the pairs are."""
+    return np.unique(a * (int(b.max(initial=0)) + 1) + b, return_inverse=True)[1].astype(np.int64)
 
 
 @dataclass
@@ -132,14 +194,7 @@ def run_bounds(mask: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.nd
 def scan_words(texts: Texts, folded: bool = False) -> Words:
     """All words with their hashes; `folded` makes A-Z equal a-z."""
     starts, ends = run_bounds(~IS_SPACE[texts.buf], texts.offsets)
-    hashes = np.empty(len(starts), np.uint64)
-    at = 0
-    while at < len(starts):
-        to = max(at + 1, int(np.searchsorted(ends, starts[at] + BLOCK, "right")))
-        low = starts[at]
-        hasher = RunHasher(texts.buf[low : ends[to - 1]], folded)
-        hashes[at:to] = hasher(starts[at:to] - low, ends[at:to] - low)
-        at = to
+    hashes = run_hashes(fold_case(texts.buf) if folded else texts.buf, starts, ends)
     return Words(starts, ends, hashes, np.searchsorted(starts, texts.offsets))
 
 
@@ -169,9 +224,8 @@ def shingles(words: Words, width: int) -> tuple[np.ndarray, np.ndarray]:
     return out, ptr
 
 
-def shingle_sets(texts: Texts, width: int, folded: bool = True) -> tuple[np.ndarray, np.ndarray]:
-    """Sorted distinct shingle hashes by row, and where each row's set begins."""
-    grams, ptr = shingles(scan_words(texts, folded), width)
+def _sets(grams: np.ndarray, ptr: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """The distinct values of each row, sorted, and where each row's begin."""
     if not len(grams):
         return grams, ptr
     row = np.repeat(np.arange(len(ptr) - 1), np.diff(ptr))
@@ -182,6 +236,48 @@ def shingle_sets(texts: Texts, width: int, folded: bool = True) -> tuple[np.ndar
     return grams[first], np.searchsorted(row[first], np.arange(len(ptr)))
 
 
+def shingle_sets(words: Words, width: int) -> tuple[np.ndarray, np.ndarray]:
+    """Sorted distinct shingle hashes by row, and where each row's set begins."""
+    return _sets(*shingles(words, width))
+
+
+def window_numbers(number: np.ndarray, ptr: np.ndarray, index: np.ndarray, width: int) -> np.ndarray:
+    """Numbers of the word windows that begin at `index`, equal if and only if their words are.
+
+    `number` says which word each is; a window ends with its row.
+    """
+    end = ptr[1:][np.searchsorted(ptr, index, "right") - 1]
+    out = np.zeros(len(index), np.int64)
+    for k in range(width):
+        out = paired(out, np.where(index + k < end, number[np.minimum(index + k, len(number) - 1)] + 1, 0))
+    return out
+
+
+def exact_shingle_sets(texts: Texts, width: int, folded: bool = True) -> tuple[np.ndarray, np.ndarray]:
+    """As `shingle_sets`, with numbers that are equal in these texts if and only if the shingles' bytes are."""
+    words = scan_words(texts, folded)
+    sizes = np.where(words.counts == 0, 0, np.maximum(words.counts - width + 1, 1))
+    ptr = np.concatenate([[0], np.cumsum(sizes)])
+    if not ptr[-1]:
+        return np.zeros(0, np.int64), ptr
+    number = numbered_runs(fold_case(texts.buf) if folded else texts.buf, words.starts, words.ends, words.hashes)
+    index = np.arange(ptr[-1]) - np.repeat(ptr[:-1], sizes) + np.repeat(words.ptr[:-1], sizes)
+    return _sets(window_numbers(number, words.ptr, index, width), ptr)
+
+
+def word_digests(texts: Texts, words: Words, folded: bool = True) -> list[bytes]:
+    """SHA-256 of each row's sequence of words."""
+    buf = fold_case(texts.buf) if folded else texts.buf
+    size = words.ends - words.starts + 1
+    total = np.concatenate([[0], np.cumsum(size)])
+    at = np.arange(total[-1]) + np.repeat(words.starts - total[:-1], size)
+    joined = np.append(buf, np.uint8(32))[np.minimum(at, len(buf))]
+    joined[total[1:] - 1] = 32
+    bounds = total[words.ptr].tolist()
+    view = memoryview(joined)
+    return [sha256(view[a:b]).digest() for a, b in zip(bounds, bounds[1:])]
+
+
 def code_points(buf: np.ndarray) -> np.ndarray:
     """For each byte position, and the end, how many code points begin before it."""
     out = np.zeros(len(buf) + 1, np.int64)
