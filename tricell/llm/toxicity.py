@@ -1,19 +1,20 @@
 """Toxicity by the nearest labelled examples, under exact TF-IDF cosine.
 
 Fitting takes a bounded sample of labelled rows (`per_class` of each label, by
-least hash of the id).  Terms are runs of letters and digits, lower-cased, and their beginnings of 4
-to 8 bytes; the vocabulary is every term of the sample, none is left out.
-Document frequencies of that vocabulary are counted over all documents; a
-term's idf is scaled up, never down, by how firmly the sample ties it to either
-label, so that a few telling terms are not lost in a long text.
-
-A document is scored against the examples exactly.  Terms of many examples are
-left to bounds: blocks of alike examples hold each such term's greatest weight,
-and a block is visited only if these, with what the other terms' postings give
-its examples, can reach the k-th best similarity.  Visited blocks are multiplied
-out for many documents at once in single precision; whatever comes within its
-error of the k-th best is summed again in double precision, over the examples'
-weights as they are held (single precision).  The neighbours
+least hash of the id).  Terms are runs of letters and digits, A-Z as a-z; the
+vocabulary is every term of the sample, none is left out.  Document
+frequencies of that vocabulary are counted over all documents.  A term's idf
+is raised, never lowered, by how firmly the sample ties it to toxic documents,
+so that a few telling terms are not lost in a long text; `sharpness` 0 gives
+plain TF-IDF.
+
+A document is scored against the examples exactly.  Blocks of alike examples
+hold each common term's greatest weight; a block's weights of these terms are
+read only if its bounds, with what the postings of the other terms give its
+examples, can reach the k-th best similarity.  Blocks that are read are
+multiplied out for many documents at once in single precision; whatever comes
+within its error of the k-th best is summed again in double precision, over
+the examples' weights as they are held (single precision).  The neighbours
 vote by 1 / (distance + softening), weighted so that the sample stands for the
 classes' true shares; a monotone calibration, fitted on the examples with each
 left out in turn, turns votes into scores.
@@ -22,8 +23,11 @@ The model (at most 2 * per_class sparse vectors) is all that is sent to the
 executors; texts are never shuffled.
 
 Defined results: a null, empty or unrelated text has no term and gets the rate
-of such examples, or of all labels if there are none; labels with a null id or value are passed over; of several
-labels of one id the greatest counts; without any example every score is 0.
+of such examples, or of all labels if there are none; labels with a null id or
+value are passed over; of several labels of one id the greatest counts, of
+several texts of one labelled id the least; without any example every score is
+0; repeated rows get equal scores; an empty table gives no rows.  A text is
+scanned whole by one task, at about 100 bytes of memory for each of its own.
 """
 
 from __future__ import annotations
@@ -48,39 +52,24 @@ from .storage import materialise
 class ToxicityConfig:
     """`per_class` bounds the labelled rows that are fitted; `threshold` is where a document counts as toxic."""
 
-    per_class: int = 10_000
-    neighbours: int = 15
+    per_class: int = 2_000
+    neighbours: int = 31
     softening: float = 0.1
+    sharpness: float = 1.5
     block: int = 64
     threshold: float = 0.3
     seed: int = 5
 
 
-# Lengths in bytes of the word beginnings that are terms of their own.
-_BEGINNINGS = (4, 5, 6, 7, 8)
 _LETTER = np.zeros(256, bool)
 _LETTER[[*range(48, 58), *range(65, 91), *range(97, 123), *range(128, 256)]] = True
 
 
 def term_hashes(texts: ts.Texts) -> tuple[np.ndarray, np.ndarray]:
-    """(row, term) of every term occurrence: runs of letters and digits, and beginnings of longer ones."""
+    """(row, term) of every term occurrence: the runs of letters and digits."""
     starts, ends = ts.run_bounds(_LETTER[texts.buf], texts.offsets)
     row = np.repeat(np.arange(texts.rows), np.diff(np.searchsorted(starts, texts.offsets)))
-    rows, terms = [], []
-    at = 0
-    while at < len(starts):
-        to = max(at + 1, int(np.searchsorted(ends, starts[at] + ts.BLOCK, "right")))
-        low = starts[at]
-        hasher = ts.RunHasher(texts.buf[low : ends[to - 1]], folded=True)
-        terms.append(hasher(starts[at:to] - low, ends[at:to] - low))
-        rows.append(row[at:to])
-        for n in _BEGINNINGS:
-            long = np.flatnonzero(ends[at:to] - starts[at:to] > n)
-            first = starts[at:to][long] - low
-            terms.append(ts.mix(hasher(first, first + n) + np.uint64(n)))
-            rows.append(row[at:to][long])
-        at = to
-    return np.concatenate(rows or [row]), np.concatenate(terms or [np.zeros(0, np.uint64)])
+    return row, ts.run_hashes(ts.fold_case(texts.buf), starts, ends)
 
 
 class Vocabulary:
@@ -126,19 +115,22 @@ def _slices(starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
 
 
 class BlockMaxIndex:
-    """Unit vectors of examples by term, with the greatest weight of each common term in each block of examples."""
+    """Unit vectors of examples by term, with the greatest weight of each common term in each block of examples.
+
+    `read` counts the blocks whose common weights were read for a document, `skipped` those that bounds ruled out.
+    """
 
     #: terms of the most examples, which are bounded by blocks and held densely
-    common = 1024
+    common = 512
     #: blocks that are visited before any bound is compared
-    first = 8
+    first = 4
     #: documents that are searched at once
     batch = 128
     #: more than the rounding errors of single precision
     slack = 1e-5
 
     def __init__(self, n_terms: int, example: np.ndarray, term: np.ndarray, weight: np.ndarray, block: int):
-        self.block = block
+        self.block, self.read, self.skipped = block, 0, 0
         self.n = int(example.max()) + 1 if len(example) else 0
         self.n_terms = n_terms
         if ((example[1:] < example[:-1]) | ((example[1:] == example[:-1]) & (term[1:] <= term[:-1]))).any():
@@ -227,6 +219,8 @@ class BlockMaxIndex:
             least = np.partition(seen, -k, 1)[:, -k] if width >= k else np.zeros(docs, np.float32)
             if not last:
                 new = ~visited & (bound >= least[:, None] - self.slack) & (bound > 0)
+        self.read += int(visited.sum())
+        self.skipped += int((~visited).sum())
         out = []
         for d in range(docs):
             at = np.flatnonzero((seen[d] >= least[d] - self.slack) & (seen[d] > 0))
@@ -321,7 +315,7 @@ def monotone(raw: np.ndarray, truth: np.ndarray, weight: np.ndarray) -> tuple[np
 
 def _distinct_terms(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
-        for texts in ts.text_blocks(batch.column("text"), 8 << 20):
+        for texts in ts.text_blocks(batch.column("text")):
             yield pa.RecordBatch.from_arrays([pa.array(np.unique(term_hashes(texts)[1]).view(np.int64))], ["term"])
 
 
@@ -386,8 +380,9 @@ def fit(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: st
     none = np.zeros(0, np.int64)
     if not picked:
         return ToxicityModel(config, none.view(np.uint64), np.zeros(0), none, np.zeros(0), np.zeros(0), np.zeros(1, np.int64), none, none, 0.0)
-    # at most 2 * per_class rows of two numbers, and as many texts
-    sample = materialise(texts.join(F.broadcast(spark.createDataFrame([(r.id, r.label) for r in picked], "id long, label int")), "id"), "examples")
+    # at most 2 * per_class rows of two numbers, and one text of each id
+    chosen = F.broadcast(spark.createDataFrame([(r.id, r.label) for r in picked], "id long, label int"))
+    sample = materialise(texts.join(chosen, "id").groupBy("id", "label").agg(F.min("text").alias("text")), "examples")
     taken = {v: sum(r.label == v for r in picked) for v in (0, 1)}
     share_of = {v: sizes.get(v, 0) / max(taken[v], 1) for v in (0, 1)}
     terms = np.sort(sample.mapInArrow(_distinct_terms, "term long").distinct().toArrow().column("term").to_numpy().view(np.uint64))
@@ -408,7 +403,7 @@ def fit(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: st
     ids = rows.column("id").to_numpy()
     del rows
     sent.destroy()
-    scale = (np.log((held[-1] + 1) / (held[:-1] + 1)) + 1) * (1 + np.abs(firmness(term, np.repeat(label, size), len(terms), label)))
+    scale = (np.log((held[-1] + 1) / (held[:-1] + 1)) + 1) * (1 + np.maximum(firmness(term, np.repeat(label, size), len(terms), label), 0)) ** config.sharpness
     model = ToxicityModel(config, terms, scale, ids[~plain], label[~plain], share[~plain], np.concatenate([[0], np.cumsum(size[~plain])]), term, count, rate)
     if len(model.ids):
         drawn = spark.range(len(model.ids)).select(F.col("id").alias("e")).repartition(-(-len(model.ids) // 512))
