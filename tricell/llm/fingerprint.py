@@ -9,7 +9,8 @@ seeds.  Rows with equal fingerprints are compared byte by byte, so two
 different canonical forms never share a group.
 
 Defined results: a null text reads as empty; an empty text has the fingerprint
-of the empty form; repeated rows share a group; an empty table gives no rows.
+of the empty form; repeated rows share a group; an empty table gives no rows;
+columns named like an output give way, other names never clash.
 """
 
 from __future__ import annotations
@@ -19,7 +20,8 @@ from collections.abc import Callable
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .storage import materialise
+from .ranges import id_cells
+from .storage import free_name, materialise
 
 # Fixed salts of the two halves of a fingerprint.
 _SALTS = ("first half", "second half")
@@ -60,35 +62,51 @@ def collisions(docs: DataFrame, digests: DataFrame, id_col: str, text_col: str)
     of its digest.  The result is empty unless the hash collides.
     """
     repeated = digests.groupBy("fingerprint").agg(F.count("*").alias("n"), F.min("id").alias("rep")).where("n > 1")
+    # stored, so that the join may split the members of a digest that many share
+    repeated = materialise(repeated.select("fingerprint", "rep"), "repeated")
     pairs = digests.join(repeated, "fingerprint").select("fingerprint", "id", "rep")
     texts = docs.select(F.col(id_col).alias("id"), F.coalesce(F.col(text_col), F.lit("")).alias("text"))
     members = texts.join(pairs.select("id", "fingerprint", "rep").distinct(), "id").withColumn("form", canonical(F.col("text")))
     # rows that share an id may differ in text, so the digest is checked again
     members = materialise(members.where(digest(F.col("form")) == F.col("fingerprint")).select("fingerprint", "form", (F.col("id") == F.col("rep")).alias("chosen")), "forms")
-    rep = members.where("chosen").groupBy("fingerprint").agg(F.min("form").alias("rep_form"))
+    rep = materialise(members.where("chosen").groupBy("fingerprint").agg(F.min("form").alias("rep_form")), "rep-forms")
     odd = members.join(rep, "fingerprint").where("form <> rep_form")
     order = Window.partitionBy("fingerprint").orderBy("form")
     return odd.select("fingerprint", "form").distinct().withColumn("variant", F.row_number().over(order))
 
 
+def colliding_forms(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame | None:
+    """The stored `collisions` among the texts of `docs`; None if there are none."""
+    text = F.coalesce(F.col(text_col), F.lit(""))
+    digests = materialise(docs.select(F.col(id_col).alias("id"), digest(canonical(text)).alias("fingerprint")), "digests")
+    clashes = materialise(collisions(docs, digests, id_col, text_col), "collisions")
+    return None if clashes.isEmpty() else clashes
+
+
+def with_fingerprint(docs: DataFrame, clashes: DataFrame | None, text_col: str = "text", name: str = "fingerprint") -> DataFrame:
+    """`docs` with the fingerprint of a text column; a form of `clashes` carries its variant after a colon.
+
+    A column of `docs` of that name gives way.
+    """
+    docs = docs.select([c for c in docs.columns if c.lower() != name.lower()])
+    text = F.coalesce(F.col(text_col), F.lit(""))
+    hashed = docs.withColumn(name, digest(canonical(text)))
+    if clashes is None:
+        return hashed
+    own, its_digest, its_form, variant = (free_name(hashed, x) for x in ("own_form", "clash_digest", "clash_form", "clash_variant"))
+    named = clashes.select(F.col("fingerprint").alias(its_digest), F.col("form").alias(its_form), F.col("variant").alias(variant))
+    joined = hashed.withColumn(own, canonical(text)).join(named, (F.col(name) == F.col(its_digest)) & (F.col(own) == F.col(its_form)), "left")
+    marked = F.when(F.col(variant).isNotNull(), F.concat(name, F.lit(":"), F.col(variant))).otherwise(F.col(name))
+    return joined.withColumn(name, marked).select(*docs.columns, name)
+
+
 def fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """`docs` with a column `fingerprint`; equal fingerprints mean equal canonical forms.
 
     A form that lost its digest to another one in the table carries its variant after a colon.
     A column of `docs` named fingerprint gives way to this one.
     """
-    docs = docs.select([c for c in docs.columns if c != "fingerprint"])
-    text = F.coalesce(F.col(text_col), F.lit(""))
-    digests = materialise(docs.select(F.col(id_col).alias("id"), digest(canonical(text)).alias("fingerprint")), "digests")
-    clashes = materialise(collisions(docs, digests, id_col, text_col), "collisions")
-    hashed = docs.withColumn("fingerprint", digest(canonical(text)))
-    if clashes.isEmpty():
-        return hashed
-    named = clashes.select(F.col("fingerprint").alias("_digest"), F.col("form").alias("_form"), "variant")
-    own = hashed.withColumn("_own", canonical(text))
-    joined = own.join(named, (F.col("fingerprint") == F.col("_digest")) & (F.col("_own") == F.col("_form")), "left")
-    variant = F.when(F.col("variant").isNotNull(), F.concat("fingerprint", F.lit(":"), F.col("variant"))).otherwise(F.col("fingerprint"))
-    return joined.withColumn("fingerprint", variant).select(*docs.columns, "fingerprint")
+    return with_fingerprint(docs, colliding_forms(docs, id_col, text_col), text_col)
 
 
 def duplicate_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -98,37 +116,28 @@ def duplicate_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "t
     return marked.join(groups, "fingerprint").select(id_col, "fingerprint", "group_id", "copies")
 
 
-def with_next(docs: DataFrame, id_col: str, payload: list[str], rows_per_bucket: int = 2000) -> DataFrame:
+def with_next(docs: DataFrame, id_col: str, payload: list[str], rows_per_bucket: int = 20_000) -> DataFrame:
     """`docs` with `next_<column>` of the following row by id; the last row is followed by the first.
 
-    Ids are dealt in buckets of equal width.  Inside a bucket the next row is
-    found by a window; the first row of each bucket, one row a bucket, is
-    also dealt to the end of the bucket before.
+    Ids are cut in runs of about `rows_per_bucket` rows by exact counts, so that
+    clustered ids do not meet in one task.  Inside a run the next row is found
+    by a window; the first row of each run, one row a run, is also dealt to the
+    end of the run before.  Null ids come first; rows that tie on id follow each
+    other by payload.  Columns of `docs` named next_<column> give way.
     """
-    bounds = docs.agg(F.min(id_col).alias("lo"), F.max(id_col).alias("hi"), F.count("*").alias("n")).first()
-    if not bounds.n:
-        return docs.select("*", *[F.col(c).alias(f"next_{c}") for c in payload])
-    lo = bounds.lo if bounds.lo is not None else 0
-    hi = bounds.hi if bounds.hi is not None else 0
-    width = max(1, (hi - lo + 1) * rows_per_bucket // bounds.n)
-    bucket = F.coalesce(F.floor((F.col(id_col) - F.lit(lo)) / F.lit(width)).cast("long"), F.lit(-1))
-    order = [F.col("_end"), F.col(id_col).asc_nulls_first(), *[F.col(c).asc_nulls_first() for c in payload]]
-    inside = Window.partitionBy("_bucket").orderBy(*order)
-    dealt = docs.withColumn("_bucket", bucket).withColumn("_end", F.lit(False))
-    first = F.min(F.struct(F.col(id_col).isNotNull().alias("named"), F.col(id_col).alias("id"), *payload))
-    heads = materialise(dealt.groupBy("_bucket").agg(first.alias("head")), "heads")
-    span = 4096
-    grouped = heads.select("_bucket").withColumn("_group", F.floor(F.col("_bucket") / span))
-    groups = grouped.groupBy("_group").agg(F.min("_bucket").alias("low"))
-    ring = groups.select("_group", F.lead("low").over(Window.orderBy("_group")).alias("after"), F.min("low").over(Window.partitionBy()).alias("least"))
-    before = (
-        grouped.withColumn("_inner", F.lead("_bucket").over(Window.partitionBy("_group").orderBy("_bucket")))
-        .join(ring, "_group")
-        .select(F.col("_bucket").alias("_before"), F.coalesce("_inner", "after", "least").alias("_bucket"))
-    )
-    empty = [F.lit(None).cast(docs.schema[c].dataType).alias(c) for c in docs.columns if c not in payload]
-    ends = before.join(heads, "_bucket").select(
-        *empty, *[F.col("head")[c].alias(c) for c in payload], F.col("_before").alias("_bucket"), F.lit(True).alias("_end")
+    docs = docs.select([c for c in docs.columns if c not in {f"next_{x}" for x in payload}])
+    slim = docs.select(F.col(id_col).cast("long").alias("id"), F.lit(1).alias("weight"))
+    deal, buckets = id_cells(slim, rows_per_bucket)
+    bucket, end = free_name(docs, "bucket"), free_name(docs, "end")
+    dealt = deal(docs, id_col, bucket).withColumn(end, F.lit(False))
+    order = [F.col(end), F.col(id_col).asc_nulls_first(), *[F.col(c).asc_nulls_first() for c in payload]]
+    inside = Window.partitionBy(bucket).orderBy(*order)
+    first = F.min(F.struct(F.col(id_col).isNotNull().alias("named"), F.col(id_col).alias("id"), *[F.col(c).alias(f"head_{i}") for i, c in enumerate(payload)]))
+    heads = dealt.groupBy(bucket).agg(first.alias("head"))
+    carried = {c: F.col("head")[f"head_{i}"] for i, c in enumerate(payload)}
+    ends = heads.select(
+        *[(carried[c] if c in carried else F.lit(None).cast(docs.schema[c].dataType)).alias(c) for c in docs.columns],
+        F.pmod(F.col(bucket) - 1, F.lit(buckets).cast("long")).alias(bucket), F.lit(True).alias(end),
     )
     following = [F.lead(c).over(inside).alias(f"next_{c}") for c in payload]
-    return dealt.unionByName(ends).select("*", *following).where("not _end").drop("_bucket", "_end")
+    return dealt.unionByName(ends).select("*", *following).where(~F.col(end)).drop(bucket, end)

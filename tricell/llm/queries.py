@@ -30,13 +30,13 @@ def op2_host_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
 def op3_canonical_fingerprint(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Fingerprints of documents and of their edited texts."""
     docs = _table(spark, sf_dir, "documents").select("doc_id", F.coalesce("text", F.lit("")).alias("text"))
-    marked = fingerprint.fingerprints(docs)
-    rows = fingerprint.with_next(marked, "doc_id", ["text", "fingerprint"])
+    clashes = fingerprint.colliding_forms(docs)
+    rows = fingerprint.with_next(fingerprint.with_fingerprint(docs, clashes), "doc_id", ["text", "fingerprint"])
     n = F.char_length("text")
     cut = F.floor(n / 4).cast("int")
     rows = rows.withColumn("n_chars", n.cast("long")).withColumn("edited", F.concat(F.substring("text", F.lit(1), n - cut), F.substring("next_text", F.lit(1), cut)))
     own, edited = fingerprint.canonical(F.col("text")), fingerprint.canonical(F.col("edited"))
-    rows = rows.withColumn("edited_fingerprint", fingerprint.digest(edited))
+    rows = fingerprint.with_fingerprint(rows, clashes, "edited", "edited_fingerprint")
     # the forms are compared only where the fingerprints agree
     same = F.when(F.col("fingerprint") != F.col("edited_fingerprint"), 0.0).when(own == edited, 1.0).otherwise(0.0)
     return rows.select(
@@ -59,7 +59,8 @@ def op5_warc_archive(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def _fold(modulus: int):
-    return F.crc32(F.col("doc_id").cast("string")) % modulus
+    """The remainder that deals documents to folds; -1, never held out, for a null id."""
+    return F.coalesce(F.crc32(F.col("doc_id").cast("string")) % modulus, F.lit(-1))
 
 
 def op6_quality_qda(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -1,7 +1,7 @@
 """A deterministic sharded WARC writer, and its reader.
 
 Records are dealt to shards that are ranges of ids, cut so that shards hold
-about equal bytes; the cuts come from exact sums over fixed buckets of ids, so
+about equal bytes; the cuts come from exact sums by the ids' leading bits, so
 the same table always gives the same shards, however it is partitioned.  In
 its shard each task writes records in id order, one gzip member each, and
 starts a new file once the compressed size reaches the limit.  A file is
@@ -15,7 +15,8 @@ Of the records with equal payloads (by SHA-256 and length) of at least
 
 Defined results: a null payload is empty; rows with a null id come first, are
 always responses, and are never referred to; rows that tie on the least id of
-a payload are all responses; an empty table gives a manifest without files.
+a payload are all responses; an empty table gives a manifest without files; no
+column of the table but id, address and payload is read, so none can clash.
 """
 
 from __future__ import annotations
@@ -32,13 +33,13 @@ import pyarrow.fs as pafs
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from .ranges import id_cells
 from .storage import fresh_path, materialise
 
 # Fixed values of the archive format.
 VERSION = b"WARC/1.1"
 REVISIT_PROFILE = "http://netpreserve.org/warc/1.1/revisit/identical-payload-digest"
 _NAMESPACE = uuid.UUID("6ba7b811-9dad-11d1-80b4-00c04fd430c8")
-_BUCKETS = 4096
 
 
 @dataclass(frozen=True)
@@ -156,28 +157,6 @@ def _writer(base: str, config: WarcConfig):
     return write
 
 
-def _shards(sizes: DataFrame, config: WarcConfig):
-    """A column expression that gives the shard of `page_id`, from exact sums of bytes by range of ids."""
-    bounds = sizes.agg(F.min("page_id").alias("lo"), F.max("page_id").alias("hi")).first()
-    if bounds.lo is None:
-        return lambda df: df.withColumn("shard", F.lit(0).cast("long"))
-    lo, width = bounds.lo, -(-(bounds.hi - bounds.lo + 1) // _BUCKETS)
-    bucket = F.coalesce(F.floor((F.col("page_id") - F.lit(lo)) / F.lit(width)).cast("long"), F.lit(-1).cast("long"))
-    sums = sizes.groupBy(bucket.alias("bucket")).agg(F.sum("bytes").alias("bytes")).collect()  # at most _BUCKETS + 1 rows
-    plan, shard, filled = [], -1, config.shard_bytes
-    for row in sorted(sums, key=lambda r: r.bucket):
-        parts = max(1, -(-row.bytes // config.shard_bytes))
-        if parts > 1 or filled + row.bytes > config.shard_bytes:
-            shard, filled = shard + 1, 0
-        plan.append((row.bucket, shard, parts))
-        filled += row.bytes
-        if parts > 1:
-            shard, filled = shard + parts - 1, config.shard_bytes
-    table = sizes.sparkSession.createDataFrame(plan, "bucket long, base long, parts long")
-    offset = F.floor(((F.col("page_id") - F.lit(lo)) % F.lit(width)) * F.col("parts") / F.lit(width)).cast("long")
-    return lambda df: df.withColumn("bucket", bucket).join(F.broadcast(table), "bucket").withColumn("shard", F.col("base") + F.coalesce(offset, F.lit(0)))
-
-
 def write_archive(pages: DataFrame, base: str | None = None, id_col: str = "page_id", url_col: str = "url", payload_col: str = "html", config: WarcConfig = WarcConfig()) -> str:
     """Write one record for each row of `pages`; returns the archive's folder.
 
@@ -196,8 +175,9 @@ def write_archive(pages: DataFrame, base: str | None = None, id_col: str = "page
     dealt = rows.select("page_id", blank("binary").alias("mark"), "url", "payload", blank("long").alias("original")).unionByName(
         marks.select("page_id", "mark", blank("string").alias("url"), blank("binary").alias("payload"), "original")
     )
+    shards, _ = id_cells(slim, config.shard_bytes, "page_id", "bytes")
     ordered = (
-        _shards(slim, config)(dealt)
+        shards(dealt, "page_id", "shard")
         .repartition("shard")
         .sortWithinPartitions("shard", F.col("page_id").asc_nulls_first(), F.col("mark").asc_nulls_last(), "url", "payload")
         .select("shard", "page_id", "mark", "url", "payload", "original")
