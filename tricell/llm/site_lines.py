@@ -8,12 +8,14 @@ its lines into boilerplate.
 
 Lines are compared without the blanks at their ends; blank lines are neither
 counted nor dropped.  What crosses the network is a pair of hashes for each
-line and page.  A host has at most (lines a page) / ratio boilerplate lines, so
-their hashes go back to the pages as one bounded array a host.
+line and page; the lines whose hashes are frequent are then counted once more by
+themselves.  A host has at most (lines a page) / ratio boilerplate lines, so
+they go back to the pages as one bounded array a host.
 
 Defined results: a null text has no lines and stays null; rows with a null
 host form one host; repeated rows count as one page and lose the same lines;
-a page whose lines all go has an empty text; an empty table gives no rows.
+a page whose lines all go has an empty text; an empty table gives no rows;
+columns named n_lines or n_dropped give way, other names never clash.
 """
 
 from __future__ import annotations
@@ -23,7 +25,7 @@ from dataclasses import dataclass
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .storage import materialise
+from .storage import free_name, materialise
 
 _BLANKS = " \t\r"
 
@@ -34,26 +36,35 @@ class LineRules:
     min_pages: int = 4
 
 
-def _key(line: Column) -> Column:
-    return F.xxhash64(F.trim(line, F.lit(_BLANKS)))
+def _trimmed(line: Column) -> Column:
+    return F.trim(line, F.lit(_BLANKS))
+
+
+def _lines(text: Column) -> Column:
+    """The lines of a text that are not blank, trimmed."""
+    return F.filter(F.transform(F.split(text, "\n", -1), _trimmed), lambda line: line != "")
 
 
 def boilerplate(docs: DataFrame, text_col: str = "text", host_col: str = "source", rules: LineRules = LineRules()) -> DataFrame:
-    """(host, line_key, pages, host_pages) of each boilerplate line."""
-    rows = docs.select(F.col(host_col).alias("host"), F.col(text_col).alias("text"))
-    lines = F.filter(F.split("text", "\n", -1), lambda line: F.trim(line, F.lit(_BLANKS)) != "")
-    pages = rows.select("host", F.xxhash64("text").alias("page"), F.array_distinct(F.transform(lines, _key)).alias("keys"))
-    pages = pages.where("keys is not null")
+    """(host, line, pages, host_pages) of each boilerplate line."""
+    rows = docs.select(F.col(host_col).cast("string").alias("host"), F.col(text_col).alias("text")).where("text is not null")
+    page = F.unhex(F.md5("text")).alias("page")
+    pages = rows.select("host", page, F.array_distinct(F.transform(_lines(F.col("text")), lambda x: F.xxhash64(x))).alias("keys"))
     # copies collapse to one page; (host, page) pairs also give the host's page total
     distinct = materialise(pages.select("host", "page", F.explode_outer("keys").alias("line_key")).distinct(), "lines")
-    totals = distinct.select("host", "page").distinct().groupBy("host").agg(F.count("*").alias("host_pages"))
-    counts = distinct.where("line_key is not null").groupBy("host", "line_key").agg(F.count("*").alias("pages"))
-    counts = counts.where(F.col("pages") >= rules.min_pages)
-    return (
-        counts.join(totals.withColumnRenamed("host", "named"), F.col("host").eqNullSafe(F.col("named")))
-        .where(F.col("pages") > F.lit(rules.ratio) * F.col("host_pages"))
-        .select("host", "line_key", "pages", "host_pages")
-    )
+    totals = materialise(distinct.select("host", "page").distinct().groupBy("host").agg(F.count("*").alias("host_pages")).withColumnRenamed("host", "named"), "hosts")
+
+    def over(counts: DataFrame) -> DataFrame:
+        frequent = counts.where(F.col("pages") >= rules.min_pages).join(totals, F.col("host").eqNullSafe(F.col("named")))
+        return frequent.where(F.col("pages") > F.lit(rules.ratio) * F.col("host_pages")).drop("named")
+
+    keys = over(distinct.where("line_key is not null").groupBy("host", "line_key").agg(F.count("*").alias("pages")))
+    # lines that share a hash are counted together above, so every boilerplate line is among these; now each by itself
+    by_host = materialise(keys.groupBy("host").agg(F.collect_set("line_key").alias("held")).withColumnRenamed("host", "named"), "line-keys")
+    again = rows.join(by_host, F.col("host").eqNullSafe(F.col("named")))
+    lines = F.array_distinct(F.filter(_lines(F.col("text")), lambda x: F.array_contains("held", F.xxhash64(x))))
+    counted = again.select("host", page, F.explode(lines).alias("line")).distinct().groupBy("host", "line").agg(F.count("*").alias("pages"))
+    return over(counted).select("host", "line", "pages", "host_pages")
 
 
 def drop_boilerplate(docs: DataFrame, text_col: str = "text", host_col: str = "source", rules: LineRules = LineRules()) -> DataFrame:
@@ -61,17 +72,16 @@ def drop_boilerplate(docs: DataFrame, text_col: str = "text", host_col: str = "s
 
     Columns of `docs` named n_lines or n_dropped give way to these.
     """
-    columns = [c for c in docs.columns if c not in ("n_lines", "n_dropped")]
-    docs = docs.select(columns)
+    docs = docs.select([c for c in docs.columns if c not in ("n_lines", "n_dropped")])
     found = boilerplate(docs, text_col, host_col, rules)
-    by_host = materialise(found.groupBy("host").agg(F.sort_array(F.collect_set("line_key")).alias("_drop")), "boilerplate")
-    joined = docs.join(by_host.withColumnRenamed("host", "_host"), F.col(host_col).eqNullSafe(F.col("_host")), "left")
+    drop, host, left = (free_name(docs, f"line_{x}") for x in ("drop", "host", "left"))
+    by_host = materialise(found.groupBy("host").agg(F.sort_array(F.collect_set("line")).alias("dropped")), "boilerplate").toDF(host, drop)
+    joined = docs.join(by_host, F.col(host_col).cast("string").eqNullSafe(F.col(host)), "left")
     parts = F.split(F.col(text_col), "\n", -1)
-    is_line = lambda line: F.trim(line, F.lit(_BLANKS)) != ""
-    stays = lambda line: ~(is_line(line) & F.array_contains(F.col("_drop"), _key(line)))
-    left = F.when(F.col("_drop").isNull(), parts).otherwise(F.filter(parts, stays))
-    lines = F.coalesce(F.size(F.filter(parts, is_line)), F.lit(0)).cast("long")
-    lines = F.when(F.col(text_col).isNull(), F.lit(0).cast("long")).otherwise(lines)
-    dropped = F.when(F.col(text_col).isNull(), F.lit(0)).otherwise(F.size(parts) - F.size("_left")).cast("long")
-    cut = joined.withColumn("_left", left).withColumn("n_lines", lines).withColumn("n_dropped", dropped)
-    return cut.withColumn(text_col, F.array_join("_left", "\n")).select(*columns, "n_lines", "n_dropped")
+    stays = lambda line: ~F.array_contains(F.col(drop), _trimmed(line))
+    kept = F.when(F.col(drop).isNull(), parts).otherwise(F.filter(parts, stays))
+    no_text = F.col(text_col).isNull()
+    lines = F.when(no_text, 0).otherwise(F.size(F.filter(parts, lambda line: _trimmed(line) != ""))).cast("long")
+    dropped = F.when(no_text, 0).otherwise(F.size(parts) - F.size(left)).cast("long")
+    cut = joined.withColumn(left, kept).withColumn("n_lines", lines).withColumn("n_dropped", dropped)
+    return cut.withColumn(text_col, F.array_join(left, "\n")).select(*docs.columns, "n_lines", "n_dropped")
