@@ -13,14 +13,15 @@ holds its size; the rest of the target is met by choosing documents:
 * of each size, the documents with the least seeded hashes are taken.
 
 Only histograms are gathered, one source's at a time, and their length is
-bounded by the number of different sizes.  Choosing by rank is split over 64
-ranges of the hash, so documents of one source and size need not meet in one
-task.
+bounded by the number of different sizes.  Choosing by rank is split over
+ranges of the hash, as many as leave about `rows_per_range` documents of the
+most frequent source and size in each, so these need not meet in one task.
 
 Defined results: a null text has size 0 and is taken for free, as its words
 count nothing; rows with a null source form one source, the last; rows that
 tie on hash and id are interchangeable; sources of size 0 have target 0; an
-empty table gives no rows.
+empty table gives no rows; columns named source_size, target or copies give
+way, other names never clash.
 """
 
 from __future__ import annotations
@@ -32,10 +33,9 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .storage import materialise
+from .storage import free_name, materialise
 
 WORD = r"[^\x20\x09-\x0D]+"
-_RANGES = 64
 
 
 @dataclass(frozen=True)
@@ -46,6 +46,7 @@ class MixConfig:
     budget: float = 1.5
     max_copies: int = 2
     window: int = 1 << 16
+    rows_per_range: int = 20_000
     seed: int = 11
 
 
@@ -159,29 +160,30 @@ def mix(docs: DataFrame, id_col: str = "doc_id", source_col: str = "source", siz
     """
     made = ("source_size", "target", "copies")
     docs = docs.select([c for c in docs.columns if c not in made])
-    keyed = docs.withColumn("source_key", source_key(source_col))
-    slim = keyed.select("source_key", F.col(size_col).alias("size"), F.col(id_col).alias("id"))
+    slim = docs.select(source_key(source_col).alias("source_key"), F.col(size_col).alias("size"), F.col(id_col).alias("id"))
     targets = materialise(source_targets(slim.select("source_key", "size"), config), "targets")
-    hashed = F.xxhash64(F.lit(config.seed), F.col("id"))
-    ranges = slim.select("source_key", "size", F.shiftrightunsigned(hashed, 58).alias("_range")).groupBy("source_key", "size", "_range").agg(F.count("*").alias("n"))
-    ranges = materialise(ranges, "ranges")
-    hist = ranges.groupBy("source_key", "size").agg(F.sum("n").alias("n")).join(targets, "source_key")
-    plan = hist.groupBy("source_key").applyInArrow(_solver(config.window), "source_key string, size long, whole long, chosen long")
-    by_size = Window.partitionBy("source_key", "size").orderBy("_range")
-    before = ranges.withColumn("_before", F.sum("n").over(by_size) - F.col("n"))
+    kinds = materialise(slim.groupBy("source_key", "size").agg(F.count("*").alias("n")), "kinds")
+    most = kinds.agg(F.max("n")).first()[0] or 1
+    bits = max(1, (-(-most // config.rows_per_range) - 1).bit_length())
+    in_range = lambda id_: F.shiftrightunsigned(F.xxhash64(F.lit(config.seed), F.col(id_)), 64 - bits)
+    ranges = materialise(slim.groupBy("source_key", "size", in_range("id").alias("range")).agg(F.count("*").alias("n")), "ranges")
+    plan = kinds.join(targets, "source_key").groupBy("source_key").applyInArrow(_solver(config.window), "source_key string, size long, whole long, chosen long")
+    by_size = Window.partitionBy("source_key", "size").orderBy("range")
+    before = ranges.withColumn("before", F.sum("n").over(by_size) - F.col("n"))
     quota = before.join(plan, ["source_key", "size"]).join(targets.select("source_key", "source_size", "target"), "source_key")
-    quota = quota.select("source_key", F.col("size").alias("_size"), "_range", "whole", F.col("chosen") - F.col("_before"), "source_size", "target").toDF("source_key", "_size", "_range", "_whole", "_quota", "source_size", "target")
+    key, size, at, hashed, whole, left = (free_name(docs, f"mix_{x}") for x in ("key", "size", "range", "hash", "whole", "quota"))
+    quota = quota.select("source_key", "size", "range", "whole", F.col("chosen") - F.col("before"), "source_size", "target").toDF(key, size, at, whole, left, "source_size", "target")
     quota = materialise(quota, "quota")
-    own = F.xxhash64(F.lit(config.seed), F.col(id_col))
-    rows = keyed.withColumn("_size", F.col(size_col)).withColumn("_hash", own).withColumn("_range", F.shiftrightunsigned(own, 58))
-    rows = rows.join(quota, ["source_key", "_size", "_range"])
-    rank = F.row_number().over(Window.partitionBy("source_key", "_size", "_range").orderBy("_hash", id_col))
-    copies = F.col("_whole") + (rank <= F.col("_quota")).cast("long")
-    return rows.withColumn("copies", copies).select(*docs.columns, *made)
+    rows = docs.select("*", source_key(source_col).alias(key), F.col(size_col).alias(size), F.xxhash64(F.lit(config.seed), F.col(id_col)).alias(hashed), in_range(id_col).alias(at))
+    rows = rows.join(quota, [key, size, at])
+    rank = F.row_number().over(Window.partitionBy(key, size, at).orderBy(hashed, id_col))
+    return rows.withColumn("copies", F.col(whole) + (rank <= F.col(left)).cast("long")).select(*docs.columns, *made)
 
 
 def emit_mixture(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source", config: MixConfig = MixConfig()) -> DataFrame:
     """The rows of `docs` as often as the mix takes them."""
-    columns = docs.columns
-    mixed = mix(docs.withColumn("_words", word_count(text_col)), id_col, source_col, "_words", config)
-    return mixed.where("copies > 0").withColumn("_copy", F.explode(F.sequence(F.lit(1), F.col("copies").cast("int")))).select(columns)
+    columns, words, copy = docs.columns, free_name(docs, "mix_words"), free_name(docs, "mix_copy")
+    # the table's own columns travel as one, so that none gives way to the mix's
+    whole = docs.select(F.struct(*columns).alias("row"), F.col(id_col).alias("id"), F.col(source_col).alias("source"), word_count(text_col).alias(words))
+    mixed = mix(whole, "id", "source", words, config)
+    return mixed.where("copies > 0").withColumn(copy, F.explode(F.sequence(F.lit(1), F.col("copies").cast("int")))).select("row.*")

@@ -10,7 +10,8 @@ the end each sequence shrinks to the shortest permitted length that holds it.
 
 Documents are dealt by hash to groups of about `group_rows`, each packed by one
 task in memory that the group's size bounds; a group wastes at most a few
-sequences.  Equal rows travel as one row with a count.
+sequences.  Equal rows travel as one row with a count, at most `group_rows` of
+them; no column of the table but id and size is read, so none can clash.
 
 Defined results: a document without words has one row without a sequence; a
 null id is an id like any other; repeated rows are packed each; ties go to the
@@ -113,8 +114,8 @@ def _packer(config: PackConfig):
     def pack(table: pa.Table) -> pa.Table:
         group = table.column("_group")[0].as_py()
         items, rows, next_bin = [], [], 0
-        for id_, size, copies in zip(table.column("id").to_pylist(), table.column("size").to_pylist(), table.column("copies").to_pylist(), strict=True):
-            for copy in range(copies):
+        for id_, size, copies, first in zip(*[table.column(c).to_pylist() for c in ("id", "size", "copies", "first")], strict=True):
+            for copy in range(first, first + copies):
                 if not size:
                     rows.append((id_, copy, 0, 0, 0, None, None, None, None))
                 for piece in range(-(-size // longest)):
@@ -145,8 +146,12 @@ def pack(docs: DataFrame, id_col: str = "doc_id", size_col: str = "size", config
     """One row a piece: doc_id, copy, piece, start, length, bin_id, bin_offset, capacity, used."""
     rows = docs.select(F.col(id_col).cast("long").alias("id"), F.coalesce(F.col(size_col), F.lit(0)).cast("long").alias("size"))
     rows = materialise(rows.groupBy("id", "size").agg(F.count("*").alias("copies")), "sizes")
-    groups = max(1, -(-rows.count() // config.group_rows))
-    dealt = rows.withColumn("_group", F.pmod(F.xxhash64("id", "size"), F.lit(groups)))
+    groups = max(1, -(-(rows.agg(F.sum("copies")).first()[0] or 0) // config.group_rows))
+    # a row of many copies is dealt in lots
+    lots = F.sequence(F.lit(0), F.floor((F.col("copies") - 1) / config.group_rows))
+    rows = rows.withColumn("first", F.explode(lots)).withColumn("first", F.col("first") * config.group_rows)
+    rows = rows.withColumn("copies", F.least(F.col("copies") - F.col("first"), F.lit(config.group_rows)))
+    dealt = rows.withColumn("_group", F.pmod(F.xxhash64("id", "size", "first"), F.lit(groups)))
     return dealt.groupBy("_group").applyInArrow(_packer(config), ", ".join(f"{n} long" for n in _NAMES))
 
 
