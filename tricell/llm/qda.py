@@ -35,6 +35,10 @@ FEATURES = (
 )
 
 
+#: statistics are whole multiples of 1 / _UNIT, so that sums over rows are exact in any order
+_UNIT = 4096
+
+
 def _member(chars: str) -> np.ndarray:
     out = np.zeros(256, bool)
     out[[ord(c) for c in chars]] = True
@@ -112,7 +116,7 @@ def _statistics(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     d = len(FEATURES)
     for batch in batches:
         for texts in ts.text_blocks(batch.column("text")):
-            x = document_statistics(texts)
+            x = np.round(document_statistics(texts) * _UNIT) / _UNIT
             ptr = np.arange(0, texts.rows * d + 1, d, dtype=np.int32)
             yield pa.RecordBatch.from_arrays([batch.column("id").slice(texts.first, texts.rows), pa.ListArray.from_arrays(ptr, x.ravel())], ["id", "x"])
 
@@ -123,9 +127,9 @@ def _matrix(column: pa.Array) -> np.ndarray:
 
 def _moments(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     d = len(FEATURES)
-    n, s, q = np.zeros(2), np.zeros((2, d)), np.zeros((2, d, d))
+    n, s, q = np.zeros(2, np.int64), np.zeros((2, d), np.int64), np.zeros((2, d, d), np.int64)
     for batch in batches:
-        x, y = _matrix(batch.column("x")), batch.column("y").to_numpy()
+        x, y = np.round(_matrix(batch.column("x")) * _UNIT).astype(np.int64), batch.column("y").to_numpy()
         for k in (0, 1):
             own = x[y == k]
             n[k] += len(own)
@@ -219,8 +223,8 @@ def fit(table: DataFrame, labels: DataFrame, id_col: str = "doc_id", label_col:
     usable = usable.groupBy("id").agg(F.max("y").alias("y"))
     known = table.join(usable, "id").select("x", "y")
     flat = np.zeros((2, 1 + d + d * d))
-    for r in known.mapInArrow(_moments, "y long, slot long, v double").groupBy("y", "slot").agg(F.sum("v").alias("v")).collect():
-        flat[r.y, r.slot] = r.v
+    for r in known.mapInArrow(_moments, "y long, slot long, v long").groupBy("y", "slot").agg(F.sum(F.col("v").cast("decimal(38,0)")).alias("v")).collect():
+        flat[r.y, r.slot] = int(r.v) / _UNIT ** min(2, 0 if r.slot == 0 else 1 if r.slot <= d else 2)
     model = model_from_moments(flat[:, 0], flat[:, 1 : d + 1], flat[:, d + 1 :].reshape(2, d, d), config)
     if model.constant is None:
         step = 120 / config.bins

@@ -346,8 +346,8 @@ def fit(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", config:
         if value and not own:
             return None
         ids += [(r.id,) for r in own]
-    # at most positives + negatives ids
-    sample = rows.join(F.broadcast(spark.createDataFrame(sorted(set(ids)), "id long")), "id")
+    # at most positives + negatives ids, and one text of each
+    sample = rows.join(F.broadcast(spark.createDataFrame(sorted(set(ids)), "id long")), "id").groupBy("id").agg(F.min("text").alias("text"))
     found = sample.mapInArrow(_windows(config), "features array<int>, tags array<int>").collect()
     found = sorted((tuple(r.tags), tuple(r.features)) for r in found)
     return train([(np.array(f, np.int32).reshape(len(t), -1), np.array(t)) for t, f in found], config)
