@@ -581,3 +581,97 @@ def test_vectors_equal_a_plain_tf_idf(spark):
         weight = sorted((1 + np.log(n)) * idf(w) for w, n in counts[i].items())
         got = model.units(np.array([0, model.ptr[e + 1] - model.ptr[e]]), model.term[model.ptr[e] : model.ptr[e + 1]], model.count[model.ptr[e] : model.ptr[e + 1]])
         assert np.allclose(np.sort(got), np.array(weight) / np.sqrt(np.sum(np.square(weight))))
+
+
+CLASHING = ["source_key", "mix_size", "mix_hash", "mix_range", "mix_key", "_words", "mix_words", "_turn", "turn", "line_drop", "line_host", "line_left", "bucket", "end", "cell_0", "head_0", "size", "host"]
+
+
+def clashing(spark, rows):
+    """Documents with a column for every name that an operator might use, all 77."""
+    schema = "doc_id long, text string, source string, " + ", ".join(f"`{c}` long" for c in CLASHING)
+    return spark.createDataFrame([(i, t, s, *[77] * len(CLASHING)) for i, t, s in rows], schema)
+
+
+def test_no_column_of_the_table_changes(spark):
+    rows = [(i, f"menu\n{prose(i // 2, 30)}", "h") for i in range(12)] + [(None, None, None), (3, "again", "h")]
+    docs = clashing(spark, rows)
+    outs = [
+        near_dup.keep_one_of_each(docs), mixing.emit_mixture(docs), mixing.mix(docs), site_lines.drop_boilerplate(docs),
+        fingerprint.fingerprints(docs), fingerprint.with_next(docs.where("doc_id is not null"), "doc_id", ["text"], 3),
+    ]
+    for out in outs:
+        found = out.collect()
+        assert set(docs.columns) <= set(out.columns) and found
+        assert all(r[c] == 77 for r in found for c in CLASHING)
+
+
+@pytest.mark.parametrize("ids", [[-(1 << 63), -5, 0, 7, (1 << 63) - 1], [*range(1 << 40, (1 << 40) + 50), 1 << 62], [9] * 30 + [10, 11]])
+def test_cells_of_any_ids_hold_bounded_weight(spark, ids):
+    from tricell.llm.ranges import id_cells
+
+    df = spark.createDataFrame([(i, 3) for i in ids], "id long, weight long")
+    deal, cells = id_cells(df, 10)
+    got = {}
+    for r in deal(df, "id", "cell").collect():
+        got.setdefault(r.cell, []).append(r.id)
+    assert sorted(got) == list(range(cells))
+    order = [i for c in sorted(got) for i in sorted(got[c])]
+    assert order == sorted(ids)
+    assert all(3 * len(v) <= 10 or len(set(v)) == 1 for v in got.values())
+
+
+def test_ids_over_the_whole_range(spark, tmp_path):
+    ids = [-(1 << 63), -1, 0, 5, (1 << 63) - 1]
+    df = spark.createDataFrame([(i, f"t{i}") for i in ids], "doc_id long, text string")
+    got = {r.doc_id: r.next_text for r in fingerprint.with_next(df, "doc_id", ["text"], 2).collect()}
+    assert got == {i: f"t{ids[(k + 1) % 5]}" for k, i in enumerate(ids)}
+    pages = spark.createDataFrame([(i, "u", "x" * 50 + str(i % 3)) for i in ids], "page_id long, url string, html string")
+    base = warc.write_archive(pages, f"file://{tmp_path}/wide", config=warc.WarcConfig(shard_bytes=60))
+    assert sorted(r.page_id for r in warc.read_archive(spark, base).collect()) == ids
+    assert len(list((tmp_path / "wide").glob("shard-*"))) == 5, "shards are cut by bytes"
+
+
+def test_copies_of_one_row_are_packed_in_lots(spark):
+    docs = make(spark, [(5, "a b c", "s")] * 100 + [(6, "d", "s")])
+    got = packing.pack_texts(docs, config=packing.PackConfig(lengths=(8, 16), group_rows=10)).collect()
+    assert sorted(r.copy for r in got if r.doc_id == 5) == list(range(100))
+    assert len({r.bin_id >> 32 for r in got}) > 1
+
+
+def test_the_choice_of_one_size_is_split_by_hash(spark):
+    docs = spark.createDataFrame([(i, "s" if i % 3 else "t", 7) for i in range(900)], "doc_id long, source string, size long")
+    whole, split = (sorted(map(tuple, mixing.mix(docs, config=mixing.MixConfig(rows_per_range=n)).collect())) for n in (20_000, 20))
+    assert whole == split
+
+
+def test_sums_of_statistics_do_not_depend_on_order(spark):
+    rows = [(i, prose(i, 40) + "!" * (i % 5), "a") for i in range(60)]
+    labels = toy_labels(spark, [(i, i % 2) for i in range(50)]).toDF("doc_id", "quality")
+    found = []
+    for n in (1, 7):
+        table = qda.statistics_table(make(spark, rows).repartition(n))
+        found.append(sorted(map(tuple, qda.score(table, qda.fit(table, labels)).collect())))
+    assert found[0] == found[1]
+
+
+def test_lines_are_told_apart_by_their_bytes(spark):
+    """With a hash that takes all lines for one, only the frequent line goes."""
+    rows = [(i, f"menu\nbody {i} {prose(i, 5)}", "h") for i in range(20)]
+    original, site_lines.F.xxhash64 = site_lines.F.xxhash64, lambda *x: site_lines.F.lit(1).cast("long")
+    try:
+        got = [r.text for r in site_lines.drop_boilerplate(make(spark, rows)).orderBy("doc_id").collect()]
+    finally:
+        site_lines.F.xxhash64 = original
+    assert got == [t.split("\n")[1] for _, t, _ in rows]
+
+
+def test_edited_texts_share_the_variant_of_a_collided_form(spark):
+    docs = spark.createDataFrame([(1, "a"), (2, "b")], "doc_id long, text string")
+    original, fingerprint.digest = fingerprint.digest, lambda form: fingerprint.F.lit("same")
+    try:
+        clashes = fingerprint.colliding_forms(docs)
+        edited = docs.selectExpr("doc_id", "text", "'B ' as edited")
+        got = fingerprint.with_fingerprint(fingerprint.with_fingerprint(edited, clashes), clashes, "edited", "other").collect()
+    finally:
+        fingerprint.digest = original
+    assert {r.doc_id: (r.fingerprint, r.other) for r in got} == {1: ("same", "same:1"), 2: ("same:1", "same:1")}
