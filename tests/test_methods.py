@@ -226,3 +226,61 @@ def test_stream_reports_each_triangle_when_its_last_edge_comes(spark, tmp_path):
     query = incremental.run_incremental(stream_edges(spark, f"{tmp_path}/in"), f"{tmp_path}/store", f"{tmp_path}/ck", lambda df, n: seen.extend(tuple(r) for r in df.collect()))
     query.awaitTermination(120)
     assert len(seen) == len(set(seen)) and set(seen) == brute([(r.u, r.v) for r in rows])
+
+
+@pytest.mark.parametrize("shift", [0, 1 << 62, -(1 << 62), 10**12, (1 << 31) - 20])
+def test_ids_of_any_size(spark, messy, shift):
+    """The same graph under other ids: negative, far apart, and on both sides of the small field."""
+    raw, expected = messy
+    moved = raw.select((F.col("u") + shift).alias("u"), (F.col("v") + shift).alias("v"))
+    r = canonical.orient(canonical.canonical_edges(moved), keep_degrees=True).cache()
+    wanted = {tuple(x + shift for x in t) for t in expected}
+    mm = MemoryModel.for_colours(r.count(), 4)
+    assert triples(cells.enumerate_cells(r, mm)) == wanted
+    assert triples(recursive.enumerate_recursive(r, base_size=16)) == wanted
+    assert triples(cells.enumerate_cells(r, mm, family="wide")) == wanted
+
+
+def test_colours_of_wide_ids_are_balanced(spark):
+    ids = spark.range(20_000).select((F.col("id") * 7_919_000_011 + (1 << 40)).alias("id"))
+    n = [r.n for r in ids.groupBy(colour(F.col("id"), 4, 1).alias("k")).agg(F.count("*").alias("n")).collect()]
+    assert len(n) == 4 and max(n) - min(n) < 600
+
+
+def test_steering_scores_equal_a_plain_count(spark):
+    """Pairs of edges in one new class, and those at one vertex, counted edge by edge."""
+    from collections import Counter
+
+    space = SmallBiasSpace(5, 0.5)
+    edges = [(a, b) for a, b in combinations(range(24), 2) if (a * 7 + b * 5) % 3 == 0]
+    x = {v: v % 2 + 1 for v in range(24)}
+    df = spark.createDataFrame([(a, b, x[a], x[b], space.column(a), space.column(b)) for a, b in edges], "lo long, hi long, x_lo int, x_hi int, y_lo long, y_hi long")
+    members = [0, 1, 5, 9, 40]
+    got = {r.member: (int(r.total), int(r.adjacent)) for r in steered.scores(df, space, members).collect()}
+    for j in members:
+        bit = lambda v: (space.column(v) & space.vector(j)).bit_count() & 1  # noqa: E731, B023
+        new = {v: 2 * x[v] - bit(v) for v in range(24)}
+        classes, at = Counter(), Counter()
+        for a, b in edges:
+            k = (new[a], new[b])
+            classes[k] += 1
+            at[k, a] += 1
+            at[k, b] += 1
+        assert got[j] == (sum(comb(n, 2) for n in classes.values()), sum(comb(n, 2) for n in at.values()))
+
+
+def test_field_columns_of_many_ids_equal_those_of_one():
+    import numpy as np
+
+    for bits in (1, 2, 5, 13, 31):
+        space = SmallBiasSpace(bits, 0.5)
+        ids = np.unique(np.random.default_rng(bits).integers(0, 1 << bits, 200))
+        assert space.columns(ids).tolist() == [space.column(int(v)) for v in ids]
+
+
+def test_many_batches_make_one_plan(spark, messy):
+    raw, expected = messy
+    e = canonical.orient(canonical.canonical_edges(raw))
+    df = base.triangles_by_base(e, e, MemoryModel(4), alpha=1.0)
+    assert triples(df) == expected
+    assert "Union" not in df._jdf.queryExecution().optimizedPlan().toString()

@@ -144,33 +144,33 @@ def _(spark, d):
     return at.select("lo", "hi", F.lit(True).alias("at_hub")).unionByName(rest.select("lo", "hi", F.lit(False).alias("at_hub")))
 
 
-def _third(df: DataFrame) -> DataFrame:
-    """A given set of base edges: those whose lower end has an even id."""
-    return df.where("lo % 2 = 0")
+def _colour_class(df: DataFrame) -> DataFrame:
+    """The base edges of one cell: those of the colour class (1, 2)."""
+    return df.where((colour(F.col("lo"), 2, 1) == 1) & (colour(F.col("hi"), 2, 1) == 2))
 
 
-_BASE_SQL = sql.triangles("cbt", "select a, b, c from t where b % 2 = 0")
+_CLASS_SQL = f"select a, b, c from t where {sql.colour('b', 2, 1)} = 1 and {sql.colour('c', 2, 1)} = 2"
 
 
-def _by_base(mode: str) -> Query:
+def _by_base(mode: str, whole: bool) -> Query:
     def query(spark, d):
         r, n, mm = ranked_with(spark, d, "cbt", 2)
         e = r.select("lo", "hi")
-        return base.triangles_by_base(e, _third(e), mm, mode=mode)
+        return base.triangles_by_base(e, e if whole else _colour_class(e), mm, mode=mode)
 
     return query
 
 
-add("base_edge_triangles", _BASE_SQL)(_by_base("scan"))
-add("base_edge_scan", _BASE_SQL)(_by_base("scan"))
-add("base_edge_keyed", _BASE_SQL)(_by_base("keyed"))
+add("base_edge_triangles", sql.triangles("cbt", _CLASS_SQL))(_by_base("scan", False))
+add("base_edge_scan", sql.triangles("cbt"))(_by_base("scan", True))
+add("base_edge_keyed", sql.triangles("cbt"))(_by_base("keyed", True))
 
 
-@add("base_edge_tip_filter", sql.triangles("cbt", "select a, b, c from t where b % 2 = 0 and a % 2 = 1"))
+@add("base_edge_tip_filter", sql.triangles("cbt", f"{_CLASS_SQL} and {sql.colour('a', 2, 1)} = 1"))
 def _(spark, d):
     r, n, mm = ranked_with(spark, d, "cbt", 2)
     e = r.select("lo", "hi")
-    return base.triangles_by_base(e, _third(e), mm, tip_filter=F.col("a") % 2 == 1)
+    return base.triangles_by_base(e, _colour_class(e), mm, tip_filter=colour(F.col("a"), 2, 1) == 1)
 
 
 # ---- colours --------------------------------------------------------------------------------------------------------
@@ -421,7 +421,8 @@ def _(spark, d):
     r, deg, mm, n = _steered(spark, d, "cbt", 8)
     columned, space = steered.with_columns(r, deg, steered.default_alpha(8))
     start = columned.withColumn("x_lo", F.lit(1)).withColumn("x_hi", F.lit(1))
-    return steered.scores(start, space, list(range(32)))
+    found = steered.scores(start, space, list(range(32)))
+    return found.select("member", F.col("total").cast("long").alias("total"), F.col("adjacent").cast("long").alias("adjacent"))
 
 
 @add("potential_levels")

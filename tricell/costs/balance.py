@@ -9,7 +9,7 @@ from ..operators.cells import routed_once
 
 def pairs(n: str) -> Column:
     """n(n - 1)/2 in whole numbers."""
-    return F.floor(F.col(n) * (F.col(n) - 1) / 2).cast("long")
+    return F.shiftright(F.col(n) * (F.col(n) - 1), 1)
 
 
 def class_sizes(classed: DataFrame) -> DataFrame:

@@ -11,24 +11,25 @@ PRIME = 2**31 - 1
 WIDE_PRIME = 2**61 - 1
 
 
-def coefficients(seed: int, degree: int = 3, prime: int = PRIME, level: int | None = None) -> list[int]:
+def coefficients(seed: int, degree: int = 3, prime: int = PRIME, level: int | str | None = None) -> list[int]:
     """Leading coefficient first; uniform over the whole field, zero included, as independence asks."""
     draw = random.Random(seed if level is None else f"{seed}/{level}")
     return [draw.randrange(prime) for _ in range(degree + 1)]
 
 
 def polynomial(x: Column, ks: list[int]) -> Column:
-    """Value modulo 2^31 - 1; ids must lie in the field, which the caller checks or ensures."""
+    """Value modulo 2^31 - 1 of ids that are taken into the field."""
+    inside = F.pmod(x, F.lit(PRIME))
     h = F.lit(ks[0]).cast("long")
     for k in ks[1:]:
-        h = F.pmod(h * x + F.lit(k), F.lit(PRIME))
+        h = F.pmod(h * inside + F.lit(k), F.lit(PRIME))
     return h
 
 
 def wide_polynomial(x: Column, ks: list[int]) -> Column:
-    """Value modulo 2^61 - 1, for ids of up to 61 bits, in exact decimals."""
+    """Value modulo 2^61 - 1 of ids that are taken into the field, in exact decimals."""
     p = F.lit(WIDE_PRIME).cast("decimal(19,0)")
-    d = x.cast("decimal(19,0)")
+    d = F.pmod(x, F.lit(WIDE_PRIME)).cast("decimal(19,0)")
     h = F.lit(ks[0]).cast("decimal(19,0)")
     for k in ks[1:]:
         product = (h * d).cast("decimal(38,0)") % p
@@ -36,14 +37,26 @@ def wide_polynomial(x: Column, ks: list[int]) -> Column:
     return h.cast("long")
 
 
+def independent(x: Column, seed: int, degree: int = 3, level: int | None = None) -> Column:
+    """A random polynomial of the id, over the small field for ids inside it and over the wide one for all others.
+
+    The two polynomials are drawn independently, so any four ids of 0..2^61 - 2
+    get independent values, whichever side each lies on.  Ids outside that range
+    get a value too, shared by those that are equal modulo 2^61 - 1.
+    """
+    small = polynomial(x, coefficients(seed, degree, level=level))
+    wide = wide_polynomial(x, coefficients(seed, degree, WIDE_PRIME, f"wide/{level}"))
+    return F.when((x >= 0) & (x < PRIME), small).otherwise(wide)
+
+
 def colour(x: Column, c: int, seed: int, family: str = "poly4") -> Column:
-    """A colour from 1 to c.  `poly4` is four-wise independent; the others serve comparisons."""
+    """A colour from 1 to c, for any id.  `poly4` is four-wise independent; the others serve comparisons."""
     if c == 1 or family == "constant":
         return F.lit(1).cast("int")
     if family == "poly4":
-        h = polynomial(x, coefficients(seed))
+        h = independent(x, seed)
     elif family == "poly2":
-        h = polynomial(x, coefficients(seed, 1))
+        h = independent(x, seed, 1)
     elif family == "wide":
         h = wide_polynomial(x, coefficients(seed, prime=WIDE_PRIME))
     elif family == "xxhash":
@@ -57,7 +70,7 @@ def colour(x: Column, c: int, seed: int, family: str = "poly4") -> Column:
 
 def bit(x: Column, level: int, seed: int) -> Column:
     """One random bit a vertex, of a four-wise independent function for each level."""
-    return F.pmod(polynomial(x, coefficients(seed, level=level)), F.lit(2)).cast("int")
+    return F.pmod(independent(x, seed, level=level), F.lit(2)).cast("int")
 
 
 def refined(x: Column, level: int, seed: int) -> Column:

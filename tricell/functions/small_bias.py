@@ -13,6 +13,7 @@ from collections.abc import Iterator
 from dataclasses import dataclass
 from math import ceil, log2
 
+import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
@@ -95,6 +96,20 @@ class SmallBiasSpace:
         cube = multiply(multiply(x, x, p), x, p)
         return 1 | x << 1 | cube << (self.bits + 1)
 
+    def columns(self, x: np.ndarray) -> np.ndarray:
+        """`column` of many ids at once."""
+        p, m = modulus(self.bits), self.bits
+
+        def times(a: np.ndarray, b: np.ndarray) -> np.ndarray:
+            out = np.zeros_like(a)
+            for i in range(m):
+                out ^= np.where(b >> i & 1, a, 0)
+                a = a << 1
+                a = np.where(a >> m & 1, a ^ p, a)
+            return out
+
+        return 1 | x << 1 | times(times(x, x), x) << (m + 1)
+
     def bit(self, column: Column, j: int) -> Column:
         """Bit of member j for vertices whose `column` value is given."""
         return F.bit_count(column.bitwiseAND(F.lit(self.vector(j)))).cast("int").bitwiseAND(F.lit(1))
@@ -107,7 +122,7 @@ def field_columns(ranks: DataFrame, space: SmallBiasSpace, rank: str = "rank", n
 
     def add(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            values = pa.array([space.column(x) for x in batch.column(at).to_pylist()], pa.int64())
+            values = pa.array(space.columns(batch.column(at).to_numpy(zero_copy_only=False).astype(np.int64)))
             yield pa.RecordBatch.from_arrays([*batch.columns, values], [*batch.schema.names, name])
 
     fields = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in schema)

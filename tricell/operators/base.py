@@ -16,6 +16,8 @@ from ..tables import with_position
 
 #: A batch is broadcast only up to this many edges; larger ones are joined by key.
 BROADCAST_EDGES = 4_000_000
+#: Batches that are scanned each in a plan of its own.
+SCANS = 16
 
 
 def base_batches(bases: DataFrame, mm: MemoryModel, alpha: float = 0.5) -> tuple[DataFrame, int]:
@@ -39,16 +41,21 @@ def triangles_by_base(edges: DataFrame, bases: DataFrame, mm: MemoryModel, alpha
     """Triangles of `edges` (lo, hi) whose base lies in `bases` (lo, hi).
 
     `scan` reads the edges once a batch, in as many plans as there are
-    batches; `keyed` has one plan in which the batch is part of the key.
+    batches; `keyed` has one plan in which edges are dealt to the batches that
+    need them and the batch is part of both joins' keys.  Beyond `SCANS`
+    batches a scan is done as `keyed`, so that the plan does not grow.
     """
     batches, size = base_batches(bases, mm, alpha)
-    if mode == "keyed":
-        wedges = edges.select(F.col("lo").alias("a"), F.col("hi").alias("mid"))
+    n = batches.agg(F.max("batch")).first()[0]
+    if mode == "keyed" or (n or 0) >= SCANS:
+        low = edges.select(F.col("lo").alias("a"), F.col("hi").alias("mid"))
         high = edges.select(F.col("lo").alias("a"), F.col("hi").alias("top"))
         if tip_filter is not None:
-            wedges, high = wedges.where(tip_filter), high.where(tip_filter)
-        return wedges.join(batches, "mid").join(high, ["a", "top"]).select("a", F.col("mid").alias("b"), F.col("top").alias("c"))
-    n = batches.agg(F.max("batch")).first()[0]
+            low, high = low.where(tip_filter), high.where(tip_filter)
+        low = low.join(batches.select("batch", "mid").distinct(), "mid")
+        high = high.join(batches.select("batch", "top").distinct(), "top")
+        wedges = low.join(batches, ["batch", "mid"])
+        return wedges.join(high, ["batch", "a", "top"]).select("a", F.col("mid").alias("b"), F.col("top").alias("c"))
     if n is None:
         return edges.select(F.col("lo").alias("a"), F.col("hi").alias("b"), F.col("hi").alias("c")).where("false")
     small = size <= BROADCAST_EDGES

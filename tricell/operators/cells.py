@@ -13,7 +13,7 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..functions.colours import colour, role_cell
@@ -53,13 +53,38 @@ def routed(classed: DataFrame, c: int, role: str) -> DataFrame:
     return spread.select(role_cell(role, F.col("k_lo"), F.col("k_hi"), F.col("free"), c).alias("cell"), "lo", "hi")
 
 
-def join_kernel(classed: DataFrame, c: int, partitions: int | None = None) -> DataFrame:
-    """Role-tagged joins inside cells: three exchanges on the cell, none after them."""
+#: edges of one side that a task may hold as a hash table
+HASHED_EDGES = 4_000_000
+
+
+def partitions_for(spark: SparkSession, edges: int, c: int) -> int | None:
+    """Partitions in which each side of the joins can be hashed; None if not even a cell alone is that small."""
+    own = int(spark.conf.get("spark.sql.shuffle.partitions", "200"))
+    # each role holds c copies of the edges; four times the bound's room, as cells differ in size
+    wanted = -(-4 * c * edges // HASHED_EDGES)
+    if wanted > max(own, c**3):
+        return None
+    # some cells a task, so that no task waits for one that holds the largest ones
+    return max(wanted, min(own, 2 * c**3))
+
+
+def join_kernel(classed: DataFrame, c: int, partitions: int | None = None, edges: int | None = None) -> DataFrame:
+    """Role-tagged joins inside cells: three exchanges on the cell, none after them.
+
+    Paths a - b - c are met at b and closed by the edge a - c.  In rank order
+    few edges leave a vertex that many enter, so these are fewer than the pairs
+    of edges at the lowest vertex.  With the number of edges known, sides that
+    fit in a task's memory are hashed, so that paths are never sorted; larger
+    ones are merged.
+    """
+    hashed = partitions is None and edges is not None and (partitions := partitions_for(classed.sparkSession, edges, c)) is not None
     co_partitioned(classed.sparkSession)
     deal = lambda df: df.repartition(partitions, "cell") if partitions else df.repartition("cell")
     names = {"tip_mid": ("a", "b"), "tip_top": ("a", "c"), "base": ("b", "c")}
     mid, top, base = (deal(routed(classed, c, r).toDF("cell", *names[r])) for r in ROLES)
-    return mid.join(top, ["cell", "a"]).join(base, ["cell", "b", "c"]).select("a", "b", "c")
+    if hashed:
+        base, top = base.hint("shuffle_hash"), top.hint("shuffle_hash")
+    return mid.join(base, ["cell", "b"]).join(top, ["cell", "a", "c"]).select("a", "b", "c")
 
 
 def _intersect(lo: np.ndarray, hi: np.ndarray, chunk: int = 1 << 20) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray]]:
@@ -97,10 +122,13 @@ def arrow_kernel(classed: DataFrame, c: int) -> DataFrame:
         cell = table.column("cell")[0].as_py()
         p, q, r = cell // (c * c) + 1, cell // c % c + 1, cell % c + 1
         lo, hi = table.column("lo").to_numpy(), table.column("hi").to_numpy()
-        shade = dict(zip(lo.tolist(), table.column("k_lo").to_pylist(), strict=True)) | dict(zip(hi.tolist(), table.column("k_hi").to_pylist(), strict=True))
+        ids, first = np.unique(np.concatenate([lo, hi]), return_index=True)
+        shade = np.concatenate([table.column("k_lo").to_numpy(), table.column("k_hi").to_numpy()])[first]
         out = [[], [], []]
         for found in _intersect(lo, hi):
-            keep = np.array([shade[x] == p and shade[y] == q and shade[z] == r for x, y, z in zip(*[v.tolist() for v in found], strict=True)], bool)
+            keep = np.ones(len(found[0]), bool)
+            for v, wanted in zip(found, (p, q, r), strict=True):
+                keep &= shade[np.searchsorted(ids, v)] == wanted
             for k in range(3):
                 out[k].append(found[k][keep])
         return pa.table({n: pa.array(np.concatenate(v) if v else [], pa.int64()) for n, v in zip("abc", out, strict=True)})
@@ -138,5 +166,5 @@ def enumerate_cells(
         parts.append(triangles_at_set(marked, exactly_once=exactly_once))
         low = marked.where(~touches_hub())
     classed = coloured(low.select("lo", "hi"), plan)
-    parts.append(join_kernel(classed, plan.colours) if kernel == "join" else arrow_kernel(classed, plan.colours))
+    parts.append(join_kernel(classed, plan.colours, edges=n) if kernel == "join" else arrow_kernel(classed, plan.colours))
     return parts[0] if len(parts) == 1 else parts[0].unionByName(parts[1])

@@ -43,7 +43,7 @@ def clustering(tri: DataFrame, deg: DataFrame) -> DataFrame:
 
 def transitivity(tri: DataFrame, deg: DataFrame) -> DataFrame:
     """One row: triangles, wedges and 3 * triangles / wedges."""
-    wedges = deg.agg(F.sum(F.floor(F.col("deg") * (F.col("deg") - 1) / 2).cast("long")).alias("wedges"))
+    wedges = deg.agg(F.sum(F.shiftright(F.col("deg") * (F.col("deg") - 1), 1)).alias("wedges"))
     both = tri.agg(F.count("*").alias("triangles")).crossJoin(wedges)
     return both.select("triangles", "wedges", F.round(3 * F.col("triangles") / F.col("wedges"), 6).alias("transitivity"))
 

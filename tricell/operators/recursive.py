@@ -31,14 +31,24 @@ def root_level(ranked: DataFrame) -> DataFrame:
     return ranked.select(*[one(z) for z in Z], "lo", "hi", "deg_lo", "deg_hi", one("x_lo"), one("x_hi"))
 
 
-def local_hubs(level: DataFrame) -> DataFrame:
-    """(z0, z1, z2, id, sub_deg, sub_edges): vertices with an eighth of their subproblem's edges or more."""
-    sizes = level.groupBy(*Z).agg(F.count("*").alias("sub_edges"))
+def local_hubs(level: DataFrame, sizes: DataFrame | None = None) -> DataFrame:
+    """(z0, z1, z2, id, sub_deg, sub_edges): vertices with an eighth of their subproblem's edges or more.
+
+    `sizes` has z0, z1, z2 and sub_edges, if they are known.
+    """
+    sizes = level.groupBy(*Z).agg(F.count("*").alias("sub_edges")) if sizes is None else sizes
     ends = level.select(*Z, F.explode(F.array("lo", "hi")).alias("id"))
     deg = ends.groupBy(*Z, "id").agg(F.count("*").alias("sub_deg"))
     return deg.join(sizes, Z).where(F.col("sub_deg") * HUB_SHARE >= F.col("sub_edges"))
 
 
+def level_sizes(level: DataFrame) -> DataFrame:
+    """Stored (z0, z1, z2, sub_edges) of the subproblems in which all three roles have an edge."""
+    roles = [F.max(fits("x_lo", "x_hi", p).cast("int")) for p in PLACES]
+    sizes = level.groupBy(*Z).agg(F.count("*").alias("sub_edges"), (roles[0] + roles[1] + roles[2]).alias("roles"))
+    return stored(sizes.where("roles = 3").select(*Z, "sub_edges"), "sizes")
+
+
 def mark_local_hubs(level: DataFrame, hubs: DataFrame) -> DataFrame:
     """The level's edges with hub_lo and hub_hi."""
     mark = lambda end: hubs.select(*Z, F.col("id").alias(end), F.lit(True).alias(f"hub_{end}"))
@@ -107,30 +117,37 @@ def enumerate_recursive(ranked: DataFrame, seed: int = 1, base_size: int = 64, d
     """Every triangle (a, b, c) once.
 
     Subproblems of at most `base_size` edges, a constant, and those of the
-    last level are solved by sorting; each level is stored, so that later ones
-    and the final union read it instead of computing it anew.
+    last level are solved by sorting.  A level is stored, and one pass over it
+    gives the size of each subproblem and the roles that it has edges for; the
+    hub step is passed over where a level has no local hub.  What each level
+    finds is computed when the result is.
     """
     level = stored(root_level(ranked), "level")
-    edges = level.count()
-    last = max_depth(edges) if depth is None else depth
+    last = max_depth(level.count()) if depth is None else depth
     parts: list[DataFrame] = []
     for i in range(last + 1):
+        if i < last:
+            sizes = level_sizes(level)
+            counts = sizes.agg(F.count("*").alias("live"), F.count_if(F.col("sub_edges") > base_size).alias("large"), F.sum("sub_edges").alias("rows")).first()
+            found, large = (counts.live, counts.rows or 0), counts.large
+            small = level if not large else level.join(sizes.where(F.col("sub_edges") <= base_size).select(*Z), Z, "left_semi")
+        else:
+            found, large, small = None, 0, level
         if trace is not None:
-            trace.rows.append(level.count())
-            trace.subproblems.append(level.select(*Z).distinct().count())
-        sizes = level.groupBy(*Z).agg(F.count("*").alias("_n"))
-        small = sizes.where(F.col("_n") <= base_size if i < last else F.lit(True)).select(*Z)
-        parts.append(stored(keyed_triangles(level.join(small, Z, "left_semi")).select("a", "b", "c"), "found"))
-        if i == last:
+            found = found or tuple(level_sizes(level).agg(F.count("*"), F.coalesce(F.sum("sub_edges"), F.lit(0))).first())
+            trace.rows.append(found[1])
+            trace.subproblems.append(found[0])
+        parts.append(keyed_triangles(small).select("a", "b", "c"))
+        if not large:
             break
-        level = level.join(small, Z, "left_anti")
-        if local_hub_step:
-            marked = stored(mark_local_hubs(level, local_hubs(level)), "marked")
-            parts.append(stored(local_hub_triangles(marked, i, seed).select("a", "b", "c"), "found"))
+        wide = sizes.where(F.col("sub_edges") > base_size)
+        level = level.join(wide.select(*Z), Z, "left_semi")
+        hubs = stored(local_hubs(level, wide.select(*Z, "sub_edges")), "local-hubs") if local_hub_step else None
+        if hubs is not None and not hubs.isEmpty():
+            marked = stored(mark_local_hubs(level, hubs), "marked")
+            parts.append(local_hub_triangles(marked, i, seed).select("a", "b", "c"))
             level = marked.where("not hub_lo and not hub_hi").drop("hub_lo", "hub_hi")
-        level = stored(live_subproblems(split_children(refine(level, i + 1, seed))), "level")
-        if level.isEmpty():
-            break
+        level = stored(split_children(refine(level, i + 1, seed)), "level")
     return reduce(DataFrame.unionByName, parts)
 
 

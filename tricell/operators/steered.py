@@ -1,8 +1,9 @@
 """Deterministic enumeration: a colouring built bit by bit, each bit steered by a potential.
 
 At every level all candidate bits of a chunk are scored in one pass over the
-edges: each edge counts once for each candidate in its new class, and in its
-new class at both ends.  The least potential is taken, ties by least number;
+edges.  A candidate splits a class in four; three sums of bits over the class
+give the four sizes, and two over a vertex's edges in it give what the vertex
+has in each, so no edge is copied for a candidate.  The least potential is taken, ties by least number;
 no chance is involved, so two runs agree to the row.
 """
 
@@ -60,15 +61,35 @@ def with_columns(low: DataFrame, degrees: DataFrame, alpha: float) -> tuple[Data
 
 def scores(edges: DataFrame, space: SmallBiasSpace, members: list[int]) -> DataFrame:
     """(member, total, adjacent): pairs of edges in one class, and those that share a vertex, under each candidate."""
-    new = lambda x, y, j: (2 * F.col(x) - space.bit(F.col(y), j)).cast("int")
-    options = F.array(*[F.struct(F.lit(j).alias("member"), new("x_lo", "y_lo", j).alias("k_lo"), new("x_hi", "y_hi", j).alias("k_hi")) for j in members])
-    spread = edges.select("lo", "hi", F.explode(options).alias("o")).select("lo", "hi", "o.*")
-    classes = spread.groupBy("member", "k_lo", "k_hi").agg(F.count("*").alias("n"))
-    pairs = lambda n: F.sum(F.floor(F.col(n) * (F.col(n) - 1) / 2).cast("long"))
-    total = classes.groupBy("member").agg(pairs("n").alias("total"))
-    ends = spread.select("member", "k_lo", "k_hi", F.explode(F.array("lo", "hi")).alias("v")).groupBy("member", "k_lo", "k_hi", "v").agg(F.count("*").alias("d"))
-    adjacent = ends.groupBy("member").agg(pairs("d").alias("adjacent"))
-    return total.join(adjacent, "member")
+    two = lambda n: F.shiftright(n * (n - 1), 1).cast("decimal(38,0)")
+    bit = lambda y, j: space.bit(F.col(y), j).cast("long")
+
+    def by_member(sizes: DataFrame, name: str, pairs) -> DataFrame:
+        """Sums over the groups of `pairs(i)`, the candidate's pairs in one group, as a row a candidate."""
+        sums = sizes.agg(*[F.coalesce(F.sum(pairs(i)), F.lit(0)).cast("decimal(38,0)").alias(f"s{i}") for i in range(len(members))])
+        rows = F.array(*[F.struct(F.lit(j).alias("member"), F.col(f"s{i}").alias(name)) for i, j in enumerate(members)])
+        return sums.select(F.explode(rows).alias("row")).select("row.*")
+
+    per_class = [F.sum(e).alias(f"{n}{i}") for i, j in enumerate(members) for n, e in (("lo", bit("y_lo", j)), ("hi", bit("y_hi", j)), ("both", bit("y_lo", j) * bit("y_hi", j)))]
+    classes = edges.groupBy("x_lo", "x_hi").agg(F.count("*").alias("n"), *per_class)
+
+    def split_class(i: int) -> Column:
+        lo, hi, both = (F.col(f"{x}{i}") for x in ("lo", "hi", "both"))
+        return two(both) + two(lo - both) + two(hi - both) + two(F.col("n") - lo - hi + both)
+
+    end = lambda v, other, low: F.struct(F.col(v).alias("v"), F.col(f"y_{v}").alias("y"), F.col(f"y_{other}").alias("y_other"), F.lit(low).alias("low"))
+    ends = edges.select("x_lo", "x_hi", F.explode(F.array(end("lo", "hi", 1), end("hi", "lo", 0))).alias("end")).select("x_lo", "x_hi", "end.*")
+    per_vertex = [F.sum(e * bit("y_other", j)).alias(f"{n}{i}") for i, j in enumerate(members) for n, e in (("low", F.col("low")), ("high", 1 - F.col("low")))]
+    vertices = ends.groupBy("x_lo", "x_hi", "v").agg(F.max("y").alias("y"), F.sum("low").alias("n_low"), F.sum(1 - F.col("low")).alias("n_high"), *per_vertex)
+
+    def split_vertex(i: int) -> Column:
+        own = bit("y", members[i]) == 1
+        low, high = F.col(f"low{i}"), F.col(f"high{i}")
+        # its edges whose other end has the same bit meet in one class, whichever end is lower; the rest do not
+        same_low, same_high = F.when(own, low).otherwise(F.col("n_low") - low), F.when(own, high).otherwise(F.col("n_high") - high)
+        return two(same_low + same_high) + two(F.col("n_low") - same_low) + two(F.col("n_high") - same_high)
+
+    return by_member(classes, "total", split_class).join(by_member(vertices, "adjacent", split_vertex), "member")
 
 
 def scaled_potential(level: int, c: int, apart: int, adjacent: int) -> int:
@@ -80,29 +101,33 @@ def scaled_cap(level: int, c: int, edges: int, m: int, alpha: float) -> Fraction
     return (1 + Fraction(alpha).limit_denominator(10**6)) ** level * edges * m * c * c
 
 
-def choose_colouring(edges: DataFrame, space: SmallBiasSpace, c: int, total_edges: int, m: int, alpha: float, chunk: int = 32, accept: str = "first_chunk", most: int = 4096) -> SteeredColouring:
+def choose_colouring(edges: DataFrame, space: SmallBiasSpace, c: int, total_edges: int, m: int, alpha: float, chunk: int = 8, accept: str = "first_chunk") -> SteeredColouring:
     """Pick a member for each of log2 c levels.
 
     `first_chunk` stops at the first chunk whose best candidate keeps the
     potential under its cap; `exhaustive` scores the whole family; `first`
-    takes the first candidate unscored, for comparison.  At most `most`
-    candidates are tried if none qualifies, then the best one is taken.
+    takes the first candidate unscored, for comparison.  Some member keeps the
+    potential under its cap if the space meets its bias, so the search goes on
+    through the whole family; should none qualify, it raises.
     """
     out = SteeredColouring(space, c)
     state = stored(edges.withColumn("x_lo", F.lit(1)).withColumn("x_hi", F.lit(1)), "steered")
     for level in range(1, c.bit_length()):
         cap = scaled_cap(level, c, total_edges, m, alpha)
         best: tuple[int, int, int, int] | None = None
-        limit = space.size if accept == "exhaustive" else min(space.size, most)
+        limit = space.size
         for at in range(0, 1 if accept == "first" else limit, 1 if accept == "first" else chunk):
             members = [at] if accept == "first" else list(range(at, min(at + chunk, limit)))
             for r in scores(state, space, members).collect():
-                value = scaled_potential(level, c, r.total - r.adjacent, r.adjacent)
-                best = min(x for x in (best, (value, r.member, r.total - r.adjacent, r.adjacent)) if x is not None)
+                total, adjacent = int(r.total), int(r.adjacent)
+                value = scaled_potential(level, c, total - adjacent, adjacent)
+                best = min(x for x in (best, (value, r.member, total - adjacent, adjacent)) if x is not None)
             if accept != "exhaustive" and best is not None and best[0] <= cap:
                 break
         if best is None:  # no edges
             best = (0, 0, 0, 0)
+        if accept == "first_chunk" and best[0] > cap:
+            raise ValueError(f"no member of the family keeps the potential of level {level} under its cap")
         out.members.append(best[1])
         out.potentials.append(best[0])
         out.caps.append(cap)
@@ -130,5 +155,5 @@ def steered_classes(ranked: DataFrame, degrees: DataFrame, mm: MemoryModel, alph
 def enumerate_steered(ranked: DataFrame, degrees: DataFrame, mm: MemoryModel, alpha: float | None = None, accept: str = "first_chunk", edges: int | None = None) -> DataFrame:
     """Every triangle (a, b, c) once, by a colouring that no chance went into."""
     marked, classed, chosen = steered_classes(ranked, degrees, mm, alpha, accept, edges)
-    inner = join_kernel(classed, chosen.colours)
+    inner = join_kernel(classed, chosen.colours, edges=ranked.count() if edges is None else edges)
     return inner if chosen.colours == 1 else triangles_at_set(marked).unionByName(inner)

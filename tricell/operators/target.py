@@ -27,7 +27,7 @@ def keyed_triangles(level: DataFrame, merge: bool = True) -> DataFrame:
     base = roles[2].select(*z, F.col("lo").alias("b"), F.col("hi").alias("c"))
     if merge:
         top, base = top.hint("merge"), base.hint("merge")
-    return mid.join(top, [*z, "a"]).join(base, [*z, "b", "c"]).select(*z, "a", "b", "c")
+    return mid.join(base, [*z, "b"]).join(top, [*z, "a", "c"]).select(*z, "a", "b", "c")
 
 
 def enumerate_target(painted: DataFrame, triple: tuple[int, int, int]) -> DataFrame:
