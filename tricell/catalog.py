@@ -17,7 +17,7 @@ from pyspark.sql import functions as F
 from . import oracle as sql
 from .costs import balance, formulas, profile
 from .functions.colours import bit, colour, refined
-from .functions.small_bias import SmallBiasSpace, field_columns
+from .functions.small_bias import SmallBiasSpace, field_columns, modulus
 from .model import MemoryModel
 from .operators import base, baselines, canonical, cells, cliques, cone, consume, hubs, recursive, relational, steered, target
 from .plans import choose
@@ -408,7 +408,14 @@ def _(spark, d):
     return steered.enumerate_steered(r, deg, mm, edges=n, accept="first")
 
 
-@add("small_bias_bits")
+def _small_bias_sql() -> str:
+    ranks = "(select cast(row_number() over (order by deg, id) - 1 as bigint) as rank from d)"
+    sides = {m: sql.small_bias_rows(m, modulus(m), [SmallBiasSpace(m, 0.5).vector(j) for j in range(4)], ranks) for m in (8, 16)}
+    small = "(select count(*) <= 256 from d)"
+    return sql.edges("sells", f"select * from ({sides[8]}) where {small} union all select * from ({sides[16]}) where not {small}")
+
+
+@add("small_bias_bits", _small_bias_sql())
 def _(spark, d):
     ranks = canonical.dense_rank_ids(canonical.degrees(edges(spark, d, "sells")))
     space = SmallBiasSpace(8, 0.5) if ranks.count() <= 256 else SmallBiasSpace(16, 0.5)
@@ -729,7 +736,21 @@ add("edge_support", sql.triangles("cbt", "select o.lo, o.hi, coalesce(sp.n, 0) a
 add("truss_round", sql.triangles("cbt", "select lo, hi from sp where n >= 10", _SUPPORT))(lambda spark, d: consume.truss_round(_cells("cbt", 4)(spark, d), _oriented(spark, d, "cbt"), 12))
 
 
-@add("method_plan")
+def _plan_sql(graph: str) -> str:
+    """The planner's choice for each number of colours, from counts of edges and paths."""
+    counts = "ends as (select id, count(*) filter (where lo = id) as leave, count(*) filter (where hi = id) as enter from (select lo as id, lo, hi from o union all select hi, lo, hi from o) group by id), sizes as (select (select count(*) from o) as e, (select cast(sum(leave * enter) as bigint) from ends) as w)"
+    model = "models as (select k, e, w, cast(greatest(1, -(-e // (k * k))) as bigint) as m, cast(floor(0.3::double * w) as bigint) as inside from sizes, (select unnest([2, 4, 8, 16]) as k))"
+    colours = "painted as (select *, case when e <= m then 1 else cast(ceil(sqrt(ceil(e / m::double))) as bigint) end as c from models)"
+    depth = "deep as (select *, cast(ceil(log2(c)) as bigint) as depth, cast(ceil(e / greatest(1, m // 2)::double) as bigint) as batches from painted)"
+    volume = """costs as (select k, e, w, unnest([
+        {'method': 'plain', 'v': 3 * e + w}, {'method': 'sort_wedge', 'v': 3 * e + w + inside}, {'method': 'base_scan', 'v': batches * e + inside},
+        {'method': 'cells', 'v': 3 * c * e + inside}, {'method': 'steered', 'v': 3 * c * e + 128 * depth * e + inside},
+        {'method': 'recursive', 'v': cast(list_sum(list_transform(range(0, depth + 1), lambda i: (3 * (1 << i) - 2) * e)) as bigint) + inside}]) as x from deep)"""
+    tail = f"select '{graph}' as graph, cast(k as bigint) as colours, arg_min(x.method, (x.v, x.method)) as method, any_value(e) as edges, any_value(w) as wedges from costs group by k"
+    return sql.edges(graph, tail, ", ".join([counts, model, colours, depth, volume]))
+
+
+@add("method_plan", " union all ".join(f"select * from ({_plan_sql(g)})" for g in ("cps", "copurchase", "hub", "cbt")))
 def _(spark, d):
     rows = []
     for graph in ("cps", "copurchase", "hub", "cbt"):

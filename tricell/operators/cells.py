@@ -65,7 +65,7 @@ def partitions_for(spark: SparkSession, edges: int, c: int) -> int | None:
     if wanted > max(own, c**3):
         return None
     # some cells a task, so that no task waits for one that holds the largest ones
-    return max(wanted, min(own, 2 * c**3))
+    return max(wanted, min(4 * own, 2 * c**3))
 
 
 def join_kernel(classed: DataFrame, c: int, partitions: int | None = None, edges: int | None = None) -> DataFrame:

@@ -42,12 +42,14 @@ def hub_neighbours(edges: DataFrame, keys: list[str]) -> DataFrame:
     return touching.select(*keys, "e.h", "e.deg_h", "e.x")
 
 
-def triangles_at_set(marked: DataFrame, keys: list[str] | None = None, exactly_once: bool = True, extra: list[str] | None = None) -> DataFrame:
+def triangles_at_set(marked: DataFrame, keys: list[str] | None = None, exactly_once: bool = True, extra: list[str] | None = None, fits: Column | None = None) -> DataFrame:
     """Triangles with a hub; `marked` edges say in hub_lo and hub_hi which ends are hubs.
 
     A triangle of several hubs is credited to the highest-ranked one, so it
     appears once; without `exactly_once` it appears once for each of its hubs.
-    With `keys`, each value of the keys is a graph of its own.
+    With `keys`, each value of the keys is a graph of its own.  `fits` tells which
+    edges and hubs may make a triangle, before it is closed: over the edges'
+    columns and over the points `hub_point`, `lo_point` and `hi_point` (deg, id).
     """
     keys, extra = keys or [], extra or []
     near = hub_neighbours(marked, keys)
@@ -60,5 +62,7 @@ def triangles_at_set(marked: DataFrame, keys: list[str] | None = None, exactly_o
     at_low = near.withColumnRenamed("x", "lo")
     joined = first.join(at_low, [*keys, "lo"]).where("h <> hi")
     joined = joined.where(F.coalesce(F.col("low_hub") < h, F.lit(True)) & F.coalesce(F.col("high_hub") < h, F.lit(True)))
+    if fits is not None:
+        joined = joined.withColumns({"hub_point": h, "lo_point": lo, "hi_point": hi}).where(fits).drop("hub_point", "lo_point", "hi_point")
     closed = joined.join(near.select(*keys, "h", F.col("x").alias("hi")), [*keys, "h", "hi"])
     return closed.select(*keys, *extra, *in_rank_order(h, lo, hi))

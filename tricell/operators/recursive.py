@@ -11,7 +11,7 @@ from __future__ import annotations
 from dataclasses import dataclass, field
 from functools import reduce
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.colours import bit, refined
@@ -56,14 +56,17 @@ def mark_local_hubs(level: DataFrame, hubs: DataFrame) -> DataFrame:
     return joined.withColumn("hub_lo", F.coalesce("hub_lo", F.lit(False))).withColumn("hub_hi", F.coalesce("hub_hi", F.lit(False)))
 
 
-def _colours_fit(tri: DataFrame, depth: int, seed: int) -> DataFrame:
-    wanted = [refined(F.col(v), depth, seed) == F.col(z) for v, z in zip("abc", Z, strict=True)]
-    return tri.where(wanted[0] & wanted[1] & wanted[2])
+def _colours_fit(depth: int, seed: int) -> Column:
+    """Whether a hub and an edge have the subproblem's colours in rank order."""
+    x_hub = refined(F.col("h"), depth, seed)
+    hub, lo, hi = (F.col(f"{p}_point") for p in ("hub", "lo", "hi"))
+    at = lambda z, edge: (x_hub == F.col(z)) & fits("x_lo", "x_hi", edge)
+    return F.when(hub < lo, at("z0", PLACES[2])).when(hub > hi, at("z2", PLACES[0])).otherwise(at("z1", PLACES[1]))
 
 
 def local_hub_triangles(marked: DataFrame, depth: int, seed: int) -> DataFrame:
     """Triangles with a local hub whose ordered colours are the subproblem's, each once."""
-    return _colours_fit(triangles_at_set(marked, Z), depth, seed)
+    return triangles_at_set(marked, Z, fits=_colours_fit(depth, seed))
 
 
 def refine(level: DataFrame, depth: int, seed: int) -> DataFrame:

@@ -63,9 +63,12 @@ PAIRS = {
 GRAPH = """
 e as (select distinct least(u, v)::bigint as u, greatest(u, v)::bigint as v from p where u <> v),
 d as (select id, count(*) as deg from (select u as id from e union all select v from e) group by id),
-o as (select case when (du.deg, u) < (dv.deg, v) then u else v end as lo, case when (du.deg, u) < (dv.deg, v) then v else u end as hi,
+o as materialized (select case when (du.deg, u) < (dv.deg, v) then u else v end as lo, case when (du.deg, u) < (dv.deg, v) then v else u end as hi,
     least(du.deg, dv.deg) as deg_lo, greatest(du.deg, dv.deg) as deg_hi from e join d du on du.id = u join d dv on dv.id = v)"""
-TRIANGLES = "t as (select x.lo as a, x.hi as b, y.hi as c from o x join o y on y.lo = x.hi join o z on z.lo = x.lo and z.hi = y.hi)"
+#: the paths first, then their closing edges: left to itself the engine may close pairs that no path joins
+TRIANGLES = """
+paths as materialized (select x.lo as a, x.hi as b, y.hi as c from o x join o y on y.lo = x.hi),
+t as (select a, b, c from paths semi join o z on z.lo = paths.a and z.hi = paths.c)"""
 
 
 def edges(graph: str, tail: str, extra: str = "") -> str:
@@ -89,6 +92,20 @@ def colour(x: str, c: int, seed: int) -> str:
     return "1" if c == 1 else f"cast({poly(x, coefficients(seed))} % {c} + 1 as integer)"
 
 
+def field_times(x: str, y: str, m: int, modulus: int) -> str:
+    """Product in the field of 2^m elements: shifted copies, then the modulus taken off from the top bit down."""
+    product = f"list_reduce(list_transform(range(0, {m}), lambda i: case when ({y} >> i) & 1 = 1 then {x} << i else 0::bigint end), lambda p, q: xor(p, q))"
+    return f"list_reduce(list_concat([{product}], range({2 * m - 2}, {m - 1}, -1)), lambda v, k: case when (v >> k) & 1 = 1 then xor(v, {modulus}::bigint << (k - {m})) else v end)"
+
+
+def small_bias_rows(m: int, modulus: int, masks: list[int], ranks: str) -> str:
+    """rank and the bits b0, b1, ... of members given by their masks over (1, x, x^3)."""
+    bits = ", ".join(f"cast(bit_count({mask}::bigint & y) & 1 as integer) as b{i}" for i, mask in enumerate(masks))
+    square = f"select rank, {field_times('rank', 'rank', m, modulus)} as sq from {ranks}"
+    cube = f"select rank, {field_times('sq', 'rank', m, modulus)} as cu from ({square})"
+    return f"select rank, {bits} from (select rank, 1 | (rank << 1) | (cu << {m + 1}) as y from ({cube}))"
+
+
 def bit(x: str, level: int, seed: int) -> str:
     return f"({poly(x, coefficients(seed, level=level))} % 2)"
 
