@@ -739,7 +739,7 @@ add("truss_round", sql.triangles("cbt", "select lo, hi from sp where n >= 10", _
 def _plan_sql(graph: str) -> str:
     """The planner's choice for each number of colours, from counts of edges and paths."""
     counts = "ends as (select id, count(*) filter (where lo = id) as leave, count(*) filter (where hi = id) as enter from (select lo as id, lo, hi from o union all select hi, lo, hi from o) group by id), sizes as (select (select count(*) from o) as e, (select cast(sum(leave * enter) as bigint) from ends) as w)"
-    model = "models as (select k, e, w, cast(greatest(1, -(-e // (k * k))) as bigint) as m, cast(floor(0.3::double * w) as bigint) as inside from sizes, (select unnest([2, 4, 8, 16]) as k))"
+    model = "models as (select k, e, w, cast(greatest(1, ceil(e / (k * k)::double)) as bigint) as m, cast(floor(0.3::double * w) as bigint) as inside from sizes, (select unnest([2, 4, 8, 16]) as k))"
     colours = "painted as (select *, case when e <= m then 1 else cast(ceil(sqrt(ceil(e / m::double))) as bigint) end as c from models)"
     depth = "deep as (select *, cast(ceil(log2(c)) as bigint) as depth, cast(ceil(e / greatest(1, m // 2)::double) as bigint) as batches from painted)"
     volume = """costs as (select k, e, w, unnest([
