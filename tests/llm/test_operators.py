@@ -319,6 +319,36 @@ def test_decoding_equals_exhaustive_search(field):
         assert [list(x) for x in zip(s.tolist(), e.tolist())] == spans
 
 
+def test_words_around_a_token_decide():
+    """Values of one shape are told apart by the word before or by the word after."""
+    r = random.Random(5)
+    value = lambda: "".join(r.choice("abcdefgh01234567") for _ in range(14))
+
+    def block(before, after):
+        return next(ts.text_blocks(pa.array([f"on {before} {value()} {after} it"])))
+
+    def spans(text, model):
+        return [text.buf[s:e].tobytes().decode() for _, s, e in zip(*secrets_crf.field_spans(text, model))]
+
+    for words in ([("my_vault", "is", True), ("my_horse", "is", False)], [("is", "vault-of", True), ("is", "horse-of", False)]):
+        windows = []
+        for _ in range(40):
+            for before, after, marked in words:
+                text = block(before, after)
+                tags = np.full(5, 2)
+                tags[2] = 0 if marked else 2
+                windows.append((secrets_crf.surroundings(text, secrets_crf.tokens_of(text), np.arange(5)), tags))
+        model = secrets_crf.train(windows, secrets_crf.CrfConfig(steps=80))
+        for before, after, marked in words:
+            text = block(before, after)
+            token = text.buf.tobytes().decode().split(" ")[2]
+            assert spans(text, model) == ([token] if marked else [])
+        # the part counts in words that were never seen whole, in either case
+        (before, after, _), _ = words
+        text = block(before.replace("my", "Our").upper(), after.replace("of", "at").upper())
+        assert len(spans(text, model)) == 1
+
+
 def slow_best_fit(sizes, config):
     """The packing rule, bin by bin, without bit sets."""
     bins, out = [], []

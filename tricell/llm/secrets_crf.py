@@ -1,16 +1,20 @@
 """Secret scan: fixed patterns, and a linear-chain conditional random field.
 
 Three patterns give the base spans.  The field tags tokens as begin, inside or
-outside of a secret, from each token's shape, its neighbours, the separators
-around it and a feature of the whole file.  It is trained on a bounded sample
+outside of a secret, from each token's shape, the words before and after it,
+the separators around it and a feature of the whole file.  Of the word before,
+the whole and its last part (`key` of `aws_access_key`) have learnt weights, of
+the word after, the whole and its first part; words share `WORD_BUCKETS` hashed
+weights and are compared without case.  The field is trained on a bounded sample
 of windows around the base spans of `positives` documents and of `negatives`
 others (by least hash of the id), so it learns what the patterns' secrets look
 like and finds others that stand in such a place without such a key.  Spans that overlap no base
 span are added; base spans stay as they are.
 
-Decoding is exact.  A token whose own shape speaks so firmly for outside that
-no neighbour and no transition could outweigh it is cut out beforehand; Viterbi
-runs over what lies between such tokens, all runs of a block in step.
+Decoding is exact.  A token that speaks so firmly for outside that no
+transition could outweigh it is cut out beforehand, by its shape alone where
+no surroundings could help, else by its whole score; Viterbi runs over what
+lies between such tokens, all runs of a block in step.
 
 Positions are code points, ends exclusive.  Defined results: a null or empty
 text has no span; without any base span in the table the field is untrained
@@ -39,8 +43,19 @@ _ACCESS = re.compile(rb"AKIA[A-Z0-9]+")
 LEAST = {"assign": 12, "access": 18, "hex": 16}
 
 
+#: Hashed words have so many weights.
+WORD_BUCKETS = 1 << 10
+
+
 @dataclass(frozen=True)
 class CrfConfig:
+    """Bounds of the training sample and settings of the training.
+
+    A sampled document gives at most `windows` windows of `reach` tokens to
+    either side: around its first `windows` - 4 base spans, its two longest
+    tokens and two evenly spread ones.  Scanning has no such bound.
+    """
+
     positives: int = 1500
     negatives: int = 500
     windows: int = 8
@@ -65,7 +80,6 @@ _JOINT = _member("+/_.-")
 _WIDE = np.arange(256) >= 128
 _TOKEN = _DIGITS | _UPPER | _LOWER | _JOINT | _WIDE
 _ASSIGNS, _QUOTES, _BREAK = _member("=:"), _member("\"'"), _member("\n")
-_KEYWORDS = ("password", "passwd", "secret", "token", "api_key", "apikey", "key", "pwd", "auth", "bearer", "credential", "private_key", "access_key")
 
 
 def base_spans(texts: ts.Texts) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
@@ -102,7 +116,8 @@ def base_spans(texts: ts.Texts) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.
 # Sizes of the feature groups; the first are a token's own, the rest its surroundings'.
 _LENGTHS, _CHARSETS, _SHARES, _SWITCHES = 10, 10, 5, 5
 _OWN = (_LENGTHS, _CHARSETS, _SHARES, _SWITCHES, _LENGTHS * _CHARSETS)
-_AROUND = (16, 2, _CHARSETS + 1, _CHARSETS + 1, 2, 4)
+# a word that is missing has the last bucket
+_AROUND = (16, _CHARSETS + 1, _CHARSETS + 1, 2, 4, *[WORD_BUCKETS + 1] * 4)
 _GROUPS = _OWN + _AROUND
 _BASE = np.concatenate([[0], np.cumsum(_GROUPS)])
 
@@ -174,18 +189,28 @@ def surroundings(texts: ts.Texts, t: Tokens, which: np.ndarray) -> np.ndarray:
     charset = _parts(t.shape)[1]
     left = np.where(has_before, charset[np.maximum(before, 0)], _CHARSETS)
     right = np.where(has_after, charset[np.minimum(after, n - 1)], _CHARSETS)
-    words = ts.run_hashes(ts.fold_case(texts.buf), t.starts[np.maximum(before, 0)], t.ends[np.maximum(before, 0)]) if n else np.zeros(0, np.uint64)
-    key = np.isin(words, _keyword_hashes()) & has_before
     digits = (np.bincount(t.row, weights=_parts(t.shape)[2] > 0, minlength=texts.rows) / np.maximum(np.bincount(t.row, minlength=texts.rows), 1))[t.row[which]]
     firm = np.searchsorted([0.02, 0.1, 0.3], digits, "right")
-    groups = [*_parts(t.shape[which]), gap, key.astype(int), left, right, (~has_after).astype(int), firm]
+    words = _words(texts, t, np.maximum(before, 0), has_before, np.minimum(after, n - 1), has_after) if n else [np.zeros(0, np.int64)] * 4
+    groups = [*_parts(t.shape[which]), gap, left, right, (~has_after).astype(int), firm, *words]
     return np.stack([g + b for g, b in zip(groups, _BASE[:-1], strict=True)], 1).astype(np.int32)
 
 
-def _keyword_hashes() -> np.ndarray:
-    data = "".join(_KEYWORDS).encode()
-    ends = np.cumsum([len(k) for k in _KEYWORDS])
-    return ts.run_hashes(np.frombuffer(data, np.uint8), np.concatenate([[0], ends[:-1]]), ends)
+def _words(texts: ts.Texts, t: Tokens, before: np.ndarray, has_before: np.ndarray, after: np.ndarray, has_after: np.ndarray) -> list[np.ndarray]:
+    """Buckets of the word before, its last part, the word after and its first part."""
+    folded = ts.fold_case(texts.buf)
+    joints = np.append(np.flatnonzero(_JOINT[texts.buf]), len(texts.buf))
+    passed = np.searchsorted(joints, t.ends[before])
+    tail = np.maximum(t.starts[before], np.where(passed > 0, joints[passed - 1] + 1, 0))
+    stop = np.minimum(t.ends[after], joints[np.searchsorted(joints, t.starts[after])])
+
+    def bucket(starts: np.ndarray, ends: np.ndarray, there: np.ndarray) -> np.ndarray:
+        return np.where(there, (ts.run_hashes(folded, starts, ends) % np.uint64(WORD_BUCKETS)).astype(np.int64), WORD_BUCKETS)
+
+    return [
+        bucket(t.starts[before], t.ends[before], has_before), bucket(tail, t.ends[before], has_before),
+        bucket(t.starts[after], t.ends[after], has_after), bucket(t.starts[after], stop, has_after),
+    ]
 
 
 @dataclass
@@ -202,12 +227,19 @@ class CrfModel:
         margin = own[:, 2] - np.maximum(own[:, 0], own[:, 1])
         for g in around:
             margin = margin + np.minimum(g[:, 2] - g[:, 0], g[:, 2] - g[:, 1]).min()
+        self.firm = 2 * (self.moves.max() - self.moves.min()) + 1e-9
         #: shapes that are outside whatever stands around them
-        self.outside = margin > 2 * (self.moves.max() - self.moves.min()) + 1e-9
+        self.outside = margin > self.firm
 
-    def decode(self, features: np.ndarray, heads: np.ndarray, sizes: np.ndarray, open_left: np.ndarray, open_right: np.ndarray) -> np.ndarray:
+    def scores(self, features: np.ndarray) -> np.ndarray:
+        """Scores of the three tags, group by group."""
+        out = np.zeros((len(features), 3))
+        for column in features.T:
+            out += self.weights[column]
+        return out
+
+    def decode(self, scores: np.ndarray, heads: np.ndarray, sizes: np.ndarray, open_left: np.ndarray, open_right: np.ndarray) -> np.ndarray:
         """Best tags of runs of tokens; `open_*` marks runs that begin or end a text rather than beside an outside token."""
-        scores = self.weights[features].sum(1)
         tags = np.full(len(scores), 2)
         if not len(heads):
             return tags
@@ -254,7 +286,9 @@ def train(windows: list[tuple[np.ndarray, np.ndarray]], config: CrfConfig = CrfC
     m = [np.zeros_like(weights), np.zeros_like(moves)]
     v = [np.zeros_like(weights), np.zeros_like(moves)]
     for turn in range(1, config.steps + 1):
-        score = weights[x].sum(2)
+        score = np.zeros((n, longest, 3))
+        for g in range(len(_GROUPS)):
+            score += weights[x[:, :, g]]
         ahead, behind = np.zeros_like(score), np.zeros_like(score)
         ahead[:, 0] = score[:, 0]
         for t in range(1, longest):
@@ -267,9 +301,9 @@ def train(windows: list[tuple[np.ndarray, np.ndarray]], config: CrfConfig = CrfC
         chance = np.exp(ahead + behind - total[:, None, None])
         gap = (truth - chance)[valid]
         grad = np.zeros_like(weights)
-        for g in range(len(_GROUPS)):
+        for g, (low, high) in enumerate(zip(_BASE[:-1], _BASE[1:], strict=True)):
             for k in range(3):
-                grad[:, k] += np.bincount(flat[:, g], weights=gap[:, k], minlength=len(weights))
+                grad[low:high, k] = np.bincount(flat[:, g] - low, weights=gap[:, k], minlength=high - low)
         both = ahead[:, :-1, :, None] + moves + (score + behind)[:, 1:, None, :] - total[:, None, None, None]
         moved = np.exp(np.where(pair[:, :, None, None], both, -np.inf)).sum((0, 1))
         grads = [grad / n - config.penalty * weights, (true_moves - moved) / n - config.penalty * moves]
@@ -357,6 +391,11 @@ def field_spans(texts: ts.Texts, model: CrfModel) -> tuple[np.ndarray, np.ndarra
     """(row, start, end) of the runs that the field tags as secrets, in byte positions."""
     t = tokens_of(texts)
     which = np.flatnonzero(~model.outside[t.shape])
+    if not len(which):
+        return which, which, which
+    scores = model.scores(surroundings(texts, t, which))
+    unsure = scores[:, 2] - np.maximum(scores[:, 0], scores[:, 1]) <= model.firm
+    which, scores = which[unsure], scores[unsure]
     if not len(which):
         return which, which, which
     n = len(t.starts)
@@ -367,7 +406,7 @@ def field_spans(texts: ts.Texts, model: CrfModel) -> tuple[np.ndarray, np.ndarra
     first, last = which[heads], which[heads + sizes - 1]
     open_left = (first == 0) | (t.row[np.maximum(first - 1, 0)] != t.row[first])
     open_right = (last == n - 1) | (t.row[np.minimum(last + 1, n - 1)] != t.row[last])
-    tags = model.decode(surroundings(texts, t, which), heads, sizes, open_left, open_right)
+    tags = model.decode(scores, heads, sizes, open_left, open_right)
     # a span begins at a begin tag, or at an inside tag that follows no other secret token
     secret = tags != 2
     starts = secret & (tags == 0)
