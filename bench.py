@@ -13,6 +13,7 @@ import time
 
 from pyspark.sql import DataFrame, SparkSession
 
+from tricell.costs.measured import spark_cost
 from tricell.model import MemoryModel
 from tricell.operators import baselines, canonical, cells, recursive, steered
 from tricell.plans import choose
@@ -40,11 +41,13 @@ def main() -> None:
     spark = session()
     times: dict[str, float] = {}
     counts: dict[str, int] = {}
+    moved: dict[str, dict] = {}
 
     def run(name: str, build) -> None:
         began = time.time()
-        counts[name] = build().count()
+        counts[name], cost = spark_cost(spark, lambda: build().count())
         times[name] = round(time.time() - began, 3)
+        moved[name] = {"shuffle_records": cost.shuffle_records, "shuffle_mb": round(cost.shuffle_bytes / 1e6, 1), "spilled_mb": round(cost.spilled_bytes / 1e6, 1), "tasks": cost.tasks}
         print(name, times[name], counts[name], file=sys.stderr, flush=True)
 
     began = time.time()
@@ -77,7 +80,7 @@ def main() -> None:
         own = {v for k, v in counts.items() if k.startswith(f"{g}_")}
         if len(own) > 1:
             raise SystemExit(f"methods disagree on {g}: {own}")
-    print(json.dumps({"metric": "triangle_methods_total", "value": round(sum(times.values()), 3), "unit": "sec", "queries": times, "sf": sf_dir.rstrip("/").rsplit("sf", 1)[-1], "setup": setup, "triangles": counts}))
+    print(json.dumps({"metric": "triangle_methods_total", "value": round(sum(times.values()), 3), "unit": "sec", "queries": times, "sf": sf_dir.rstrip("/").rsplit("sf", 1)[-1], "setup": setup, "triangles": counts, "moved": moved}))
 
 
 if __name__ == "__main__":

@@ -6,7 +6,8 @@ from math import comb
 import pytest
 from pyspark.sql import functions as F
 
-from tricell.costs import balance, formulas
+from tricell.costs import balance, formulas, profile
+from tricell.costs.measured import spark_cost
 from tricell.functions.colours import coefficients, colour
 from tricell.functions.small_bias import SmallBiasSpace, multiply, modulus
 from tricell.model import MemoryModel
@@ -197,6 +198,27 @@ def test_local_hubs_are_few_and_levels_grow_as_derived(spark):
     assert (worst or 0) <= 16
 
 
+def test_measured_transfers_grow_with_the_colours(spark):
+    r = ranked_of(generate.random_pairs(spark, 300, 9000, 8)).cache()
+    n = r.count()
+    cost = {}
+    for c in (2, 4, 8):
+        found, cost[c] = spark_cost(spark, lambda c=c: cells.enumerate_cells(r, MemoryModel(n), edges=n, colours=c, hub_step=False).count())
+        assert found == baselines.naive_triangles(r.select("lo", "hi")).count()
+        # three roles of c copies each, besides one row a task for the count
+        assert 3 * c * n <= cost[c].shuffle_records <= 3 * c * n + cost[c].tasks
+        assert cost[c].shuffle_bytes > 0 and cost[c].spilled_bytes == 0
+    _, nothing = spark_cost(spark, lambda: None)
+    assert nothing.tasks == 0 and spark.sparkContext.getLocalProperty("spark.jobGroup.id") is None
+
+
+def test_moments_of_a_role_class_over_seeds(spark):
+    r = ranked_of(generate.random_pairs(spark, 200, 3000, 6)).cache()
+    for row in profile.role_moments_over_seeds(r, 2, tuple(range(1, 41))).collect():
+        assert row.seeds == 40 and row.variance <= row.bound
+        assert abs(row.mean_size - row.expected) <= 4 * (row.bound / 40) ** 0.5
+
+
 def test_formulas():
     mm = MemoryModel(100, 4)
     assert formulas.replication(4) == 10

@@ -16,6 +16,7 @@ from pyspark.sql import functions as F
 
 from . import oracle as sql
 from .costs import balance, formulas, profile
+from .costs.measured import spark_cost
 from .functions.colours import bit, colour, refined
 from .functions.small_bias import SmallBiasSpace, field_columns, modulus
 from .model import MemoryModel
@@ -381,6 +382,38 @@ def _(spark, d):
     return out
 
 
+_SHIFTS = (0, 1, 2)
+
+
+@add("tail_share_shifted", _level_rows_sql(3, f"select level, cast(k as bigint) as k, count(*) as subproblems, cast(sum(cast(n * pow(4.0, level - k) >= 9.0 * (select count(*) from o) as integer)) as bigint) as oversized from lv, (select unnest({list(_SHIFTS)}) as k) group by 1, 2"))
+def _(spark, d):
+    lv = _three_levels(spark, d)
+    n = lv[0].count()
+    parts = [profile.tail_share(lv, n, k).withColumn("k", F.lit(k).cast("long")) for k in _SHIFTS]
+    out = parts[0]
+    for p in parts[1:]:
+        out = out.unionByName(p)
+    return out
+
+
+_SEEDS = tuple(range(1, 17))
+
+
+def _moments_over_seeds_sql(levels: int) -> str:
+    def held(i: int, seed: int) -> str:
+        return f"sum(case when {sql.refined('lo', i, seed)} = 1 and {sql.refined('hi', i, seed)} = 1 then 1 else 0 end)::double"
+
+    n = len(_SEEDS)
+    rows = " union all ".join(f"select {i} as level, unnest([{', '.join(held(i, s) for s in _SEEDS)}]) as x, count(*)::double as e from o" for i in range(1, levels + 1))
+    moments = f"round(sum(x) / {n}, 6) as mean_size, round(max(e) / pow(4.0, level), 6) as expected, round(sum(x * x) / {n} - pow(sum(x) / {n}, 2), 2) as variance, round(3 * pow(max(e), 2) / pow(16.0, level), 2) as bound"
+    return sql.edges("cps", f"select level, cast(count(*) as bigint) as seeds, {moments} from seeded group by level", f"seeded as ({rows})")
+
+
+@add("role_moments_over_seeds", _moments_over_seeds_sql(2))
+def _(spark, d):
+    return profile.role_moments_over_seeds(ranked(spark, d, "cps"), 2, _SEEDS)
+
+
 @add("local_hub_cap")
 def _(spark, d):
     return profile.local_hub_cap(recursive.levels(ranked(spark, d, "cbt"), 1, 3))
@@ -623,8 +656,8 @@ def _(spark, d):
     return spark.createDataFrame([(c, round(formulas.lower_bound_io(t, memory(n, c)), 4)) for c in _MEMORIES], "colours long, lower_bound double")
 
 
-def _cells_ledger(spark: SparkSession, d: str, graph: str, c: int) -> formulas.IoLedger:
-    r, n, mm = ranked_with(spark, d, graph, c)
+def _cells_ledger(r: DataFrame, n: int, mm: MemoryModel) -> formulas.IoLedger:
+    c = mm.colours(n)
     marked = hubs.mark_hubs(r, hubs.least_hub_degree(n, mm.m))
     ends = F.array(F.when(F.col("hub_lo"), F.col("lo")), F.when(F.col("hub_hi"), F.col("hi")))
     n_hubs = marked.select(F.explode(F.array_compact(ends)).alias("h")).distinct().count()
@@ -641,11 +674,12 @@ def _cells_ledger(spark: SparkSession, d: str, graph: str, c: int) -> formulas.I
 
 @add("io_ledger_cells")
 def _(spark, d):
+    r = ranked(spark, d, "cps")
+    n = r.count()
     rows = []
     for c in (2, 4, 8):
-        ledger = _cells_ledger(spark, d, "cps", c)
+        ledger = _cells_ledger(r, n, memory(n, c))
         scan = formulas.IoLedger(ledger.mm)
-        n = edges(spark, d, "cps").count()
         scan.base_edges("all", n, n)
         rows.append((c, float(ledger.total()), float(scan.total()), float(formulas.predicted_io("cells", n, ledger.mm))))
     return spark.createDataFrame(rows, "colours long, cells_transfers double, base_scan_transfers double, predicted double")
@@ -667,11 +701,24 @@ def _(spark, d):
 
 @add("io_regularity")
 def _(spark, d):
-    n = edges(spark, d, "cps").count()
-    at = {m: formulas.predicted_io("cells", n, MemoryModel(m)) for m in (n // 64, 2 * (n // 64), 4 * (n // 64))}
+    r = ranked(spark, d, "cps")
+    n = r.count()
+    at = {m: _cells_ledger(r, n, MemoryModel(m)).total() for m in (max(1, n // 64) * k for k in (1, 2, 4))}
     return spark.createDataFrame([(m, round(q, 6)) for m, q in formulas.regularity(at).items()], "memory long, ratio double")
 
 
+@add("measured_transfers")
+def _(spark, d):
+    r = ranked(spark, d, "cps")
+    n = r.count()
+    rows = []
+    for c in (2, 4, 8, 16):
+        mm = memory(n, c)
+        found, cost = spark_cost(spark, lambda mm=mm: cells.enumerate_cells(r, mm, edges=n).count())
+        rows.append((c, found, cost.shuffle_records, cost.shuffle_bytes, cost.spilled_bytes, cost.tasks, float(formulas.predicted_io("cells", n, mm))))
+    return spark.createDataFrame(rows, "colours long, triangles long, shuffle_records long, shuffle_bytes long, spilled_bytes long, tasks long, predicted_io double")
+
+
 @add("work_rows", sql.triangles("cps", "select w.n as wedges, t.n as triangles, w.n <= pow(o.n, 1.5) as optimal from (select cast(sum(k * (k - 1) // 2) as bigint) as n from (select count(*) as k from o group by lo)) w, (select count(*) as n from t) t, (select count(*) as n from o) o"))
 def _(spark, d):
     r = ranked(spark, d, "cps")

@@ -7,6 +7,7 @@ from functools import reduce
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ..functions.colours import refined
 from ..operators.recursive import Z, local_hubs
 from ..operators.target import PLACES, fits
 
@@ -48,3 +49,23 @@ def role_class_sizes(level: DataFrame) -> DataFrame:
     """(z0, z1, z2, tip_mid, tip_top, base): how many edges each role has."""
     names = ("tip_mid", "tip_top", "base")
     return level.groupBy(*Z).agg(*[F.sum(fits("x_lo", "x_hi", p).cast("long")).alias(n) for n, p in zip(names, PLACES, strict=True)])
+
+
+def role_moments_over_seeds(edges: DataFrame, levels: int, seeds: tuple[int, ...]) -> DataFrame:
+    """(level, seeds, mean_size, expected, variance, bound) of one role class, over the seeds of the colouring.
+
+    The class is that of the first colour at both ends; by symmetry every other
+    one has the same moments.  All seeds are counted in one pass.
+    """
+    held = lambda i, s: F.sum(((refined(F.col("lo"), i, s) == 1) & (refined(F.col("hi"), i, s) == 1)).cast("long"))
+    named = [(i, s) for i in range(1, levels + 1) for s in seeds]
+    counts = edges.agg(F.count("*").alias("e"), *[F.coalesce(held(i, s), F.lit(0)).alias(f"n_{i}_{s}") for i, s in named])
+    rows = counts.select("e", F.inline(F.array(*[F.struct(F.lit(i).alias("level"), F.col(f"n_{i}_{s}").cast("double").alias("x")) for i, s in named])))
+    e, mean = F.max("e").cast("double"), F.sum("x") / F.count("*")
+    return rows.groupBy("level").agg(
+        F.count("*").alias("seeds"),
+        F.round(mean, 6).alias("mean_size"),
+        F.round(e / F.pow(F.lit(4.0), F.col("level")), 6).alias("expected"),
+        F.round(F.sum(F.col("x") * F.col("x")) / F.count("*") - F.pow(mean, F.lit(2)), 2).alias("variance"),
+        F.round(3 * e * e / F.pow(F.lit(16.0), F.col("level")), 2).alias("bound"),
+    )
