@@ -268,7 +268,7 @@ class ToxicityModel:
 
     def units(self, ptr: np.ndarray, terms: np.ndarray, counts: np.ndarray) -> np.ndarray:
         """Weights that give each document of one term or more a vector of length 1."""
-        w = (1 + np.log(counts)) * self.scale[terms]
+        w = (1 + np.log(counts, dtype=np.float64)) * self.scale[terms]
         row = np.repeat(np.arange(len(ptr) - 1), np.diff(ptr))
         return w / np.sqrt(np.bincount(row, weights=w * w, minlength=len(ptr) - 1))[row]
 
