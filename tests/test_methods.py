@@ -72,6 +72,7 @@ def test_other_methods_agree(spark, messy):
     assert triples(recursive.enumerate_recursive(r, base_size=8)) == expected
     assert triples(recursive.enumerate_recursive(r, base_size=8, local_hub_step=False)) == expected
     assert triples(recursive.level_cells(r, 2, 1)) == expected
+    assert triples(recursive.enumerate_shared(r, base_size=8)) == expected
     deg = canonical.degrees(e)
     assert triples(steered.enumerate_steered(r, deg, MemoryModel.for_colours(r.count(), 4))) == expected
 
@@ -122,6 +123,67 @@ def test_cliques_and_cycles(spark):
     assert cliques.enumerate_cliques(e, 5, colours=2).count() == comb(8, 5)
     assert cliques.cliques_by_growth(e, 4).count() == comb(8, 4)
     assert cliques.four_cycles(e).count() == 3 * comb(8, 4)
+    assert cliques.enumerate_pattern(e, cliques.DIAMOND, colours=2).count() == 6 * comb(8, 4)
+
+
+def test_patterns_equal_brute_force(spark, messy):
+    e = canonical.orient(canonical.canonical_edges(messy[0]))
+    near = {}
+    for r in e.collect():
+        near.setdefault(r.lo, set()).add(r.hi)
+        near.setdefault(r.hi, set()).add(r.lo)
+    cycles = {(a, b, c, d) for a in near for b in near[a] if a < b for c in near[b] if a < c for d in near[c] & near[a] if b < d}
+    diamonds = {(a, b, c, d) for a in near for b in near[a] if a < b for c, d in combinations(sorted(near[a] & near[b]), 2)}
+    for pattern, wanted in ((cliques.FOUR_CYCLE, cycles), (cliques.DIAMOND, diamonds)):
+        for c in (1, 3):
+            got = [tuple(r) for r in cliques.enumerate_pattern(e, pattern, colours=c).collect()]
+            assert len(got) == len(wanted) and set(got) == wanted
+
+
+def test_regrouping_changes_no_bit(spark, messy):
+    r = ranked_of(messy[0])
+    deg = canonical.degrees(r.select("lo", "hi"))
+    edges, space = steered.with_columns(r, deg, 0.5)
+    found = [steered.choose_colouring(edges, space, 8, r.count(), 8, 0.5, regroup=g) for g in (True, False)]
+    assert found[0].members == found[1].members and found[0].potentials == found[1].potentials
+
+
+def test_shared_subproblems_equal_stored_ones(spark, messy):
+    """The views of one copy of the edges hold what the stored levels hold."""
+    r = ranked_of(messy[0]).cache()
+    wanted = recursive.levels(r, 1, 2, prune=False)
+    live, removed = spark.createDataFrame([(1, 1, 1)], "z0 int, z1 int, z2 int"), []
+    for i in range(3):
+        view = recursive.shared_view(r, live, removed, i, 1)
+        key = [*recursive.Z, "lo", "hi", "x_lo", "x_hi"]
+        assert sorted(map(tuple, view.select(key).collect())) == sorted(map(tuple, wanted[i].select(key).collect()))
+        removed.append((i, recursive.local_hubs(view).select(*recursive.Z, "id")))
+        live = recursive.child_triples(live)
+
+
+def test_estimates_from_samples(spark, messy):
+    r = ranked_of(messy[0])
+    assert choose.sampled_estimate(r, 1.0) == len(messy[1])
+    seen = [choose.sampled_estimate(r, 0.5, seed) for seed in range(6)]
+    assert abs(sum(seen) / len(seen) - len(messy[1])) < 0.4 * len(messy[1])
+
+
+def test_interval_join_of_late_and_early_rows(spark, tmp_path):
+    """Two files of rows, in order of time, and rows beyond the watermark."""
+    from tricell.streaming import windows
+
+    schema = "k string, n long, ts timestamp"
+    batches = [["('a', 1, '2024-01-01 00:00:00')", "('a', 2, '2024-01-01 00:00:50')", "('b', 3, '2024-01-01 00:00:10')"], ["('a', 4, '2024-01-01 00:01:30')", "('b', 5, '2024-01-01 00:30:00')"]]
+    rows = [spark.sql(" union all ".join(f"select col1 as k, cast(col2 as long) as n, to_timestamp(col3) as ts from values {x}" for x in batch)) for batch in batches]
+    wanted = {(x.left_n, x.right_n) for x in windows.interval_join(rows[0].union(rows[1]), rows[0].union(rows[1]), ["k"], "ts", 60).collect()}
+    assert (1, 2) in wanted and (2, 4) in wanted and (1, 4) not in wanted and (3, 5) not in wanted
+    side = lambda: spark.readStream.schema(schema).option("maxFilesPerTrigger", 1).parquet(f"{tmp_path}/in")
+    for batch in rows:
+        batch.coalesce(1).write.mode("append").parquet(f"{tmp_path}/in")
+        joined = windows.interval_join(side(), side(), ["k"], "ts", 60, late="1 minute")
+        joined.writeStream.format("parquet").option("path", f"{tmp_path}/out").option("checkpointLocation", f"{tmp_path}/ck").trigger(availableNow=True).start().awaitTermination(120)
+    got = [(x.left_n, x.right_n) for x in spark.read.parquet(f"{tmp_path}/out").collect()]
+    assert len(got) == len(set(got)) and set(got) == wanted
 
 
 def test_three_way_join(spark):

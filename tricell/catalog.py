@@ -277,6 +277,11 @@ def _(spark, d):
     return recursive.enumerate_recursive(ranked(spark, d, "cbt"), base_size=4096)
 
 
+@add("recursive_shared", sql.triangles("cbt"))
+def _(spark, d):
+    return recursive.enumerate_shared(ranked(spark, d, "cbt"), base_size=4096)
+
+
 @add("recursive_base_case", sql.triangles("sells"))
 def _(spark, d):
     return recursive.enumerate_recursive(ranked(spark, d, "sells"), depth=0)
@@ -521,8 +526,12 @@ def _clique_sql(graph: str, k: int) -> str:
 add("four_cliques", _clique_sql("coact", 4))(lambda spark, d: cliques.enumerate_cliques(_oriented(spark, d, "coact"), 4, colours=2))
 add("five_cliques", _clique_sql("coact", 5))(lambda spark, d: cliques.enumerate_cliques(_oriented(spark, d, "coact"), 5, colours=2))
 add("clique_by_growth", _clique_sql("coact", 4))(lambda spark, d: cliques.cliques_by_growth(_oriented(spark, d, "coact"), 4))
-add("four_cycles", sql.edges("vec", "select x.u as a, x.v as b, z.u as c, w.v as d from s x join s z on z.v = x.v and z.u > x.u join s y on y.u = z.u and y.v > x.v join s w on w.u = x.u and w.v = y.v where x.u < x.v and w.u < w.v", "s as (select lo as u, hi as v from o union all select hi, lo from o)"))(
-    lambda spark, d: cliques.four_cycles(_oriented(spark, d, "vec"))
+_BOTH = "s as (select lo as u, hi as v from o union all select hi, lo from o)"
+_FOUR_CYCLES = sql.edges("vec", "select x.u as a, x.v as b, z.u as c, w.v as d from s x join s z on z.v = x.v and z.u > x.u join s y on y.u = z.u and y.v > x.v join s w on w.u = x.u and w.v = y.v where x.u < x.v and w.u < w.v", _BOTH)
+add("four_cycles", _FOUR_CYCLES)(lambda spark, d: cliques.four_cycles(_oriented(spark, d, "vec")))
+add("four_cycles_cells", _FOUR_CYCLES)(lambda spark, d: cliques.enumerate_pattern(_oriented(spark, d, "vec"), cliques.FOUR_CYCLE, colours=2).toDF("a", "b", "c", "d"))
+add("diamonds_cells", sql.edges("vec", "select x.u as a, x.v as b, p.v as c, q.v as d from s x join s p on p.u = x.u join s r on r.u = x.v and r.v = p.v join s q on q.u = x.u and q.v > p.v join s w on w.u = x.v and w.v = q.v where x.u < x.v", _BOTH))(
+    lambda spark, d: cliques.enumerate_pattern(_oriented(spark, d, "vec"), cliques.DIAMOND, colours=2).toDF("a", "b", "c", "d")
 )
 
 # ---- three-table joins ----------------------------------------------------------------------------------------------
@@ -827,6 +836,63 @@ def _(spark, d):
     return incremental.replay(edges(spark, d, "vec").withColumn("n", (F.col("u") + F.col("v")) % 5), "n", 5)
 
 
+@add("stream_edge_triangles", sql.edges("vec", "select x.u as u, x.v as v, y.v as w from e x join e y on y.u = x.v join e z on z.u = x.u and z.v = y.v"))
+def _(spark, d):
+    """Files of edges arrive one by one; each triangle is reported once, when its last edge comes."""
+    folder = f"{shared_folder(spark)}/stream-{uuid.uuid4().hex}"
+    edges(spark, d, "vec").repartition(3).write.parquet(f"{folder}/in")
+    report = lambda tri, n: tri.write.mode("overwrite").parquet(f"{folder}/out/batch={n}")
+    incremental.run_incremental(files.stream_edges(spark, f"{folder}/in"), f"{folder}/store", f"{folder}/ck", report).awaitTermination()
+    return spark.read.parquet(f"{folder}/out").select("u", "v", "w")
+
+
+@add("stream_running_degrees", sql.edges("vec", "select id, cast(deg as bigint) as deg from d"))
+def _(spark, d):
+    """The last count that a stateful operator gives for each vertex, over files of edges."""
+    folder = f"{shared_folder(spark)}/stream-{uuid.uuid4().hex}"
+    edges(spark, d, "vec").repartition(3).write.parquet(f"{folder}/in")
+    report = lambda batch, n: batch.write.mode("overwrite").parquet(f"{folder}/out/batch={n}")
+    running = windows.running_degrees(files.stream_edges(spark, f"{folder}/in"))
+    running.writeStream.outputMode("update").foreachBatch(report).option("checkpointLocation", f"{folder}/ck").trigger(availableNow=True).start().awaitTermination()
+    return spark.read.parquet(f"{folder}/out").groupBy("id").agg(F.max_by("deg", "batch").alias("deg"))
+
+
+@add(
+    "stream_interval_join",
+    "select distinct x.user_id as u, y.user_id as v from events x join events y on x.event_type = y.event_type and x.user_id < y.user_id and x.ts between y.ts - interval 600 seconds and y.ts + interval 600 seconds",
+)
+def _(spark, d):
+    """Users with an event of one type within ten minutes, as a join of two streams."""
+    folder = f"{shared_folder(spark)}/stream-{uuid.uuid4().hex}"
+    _events(spark, d).withColumn("ts", F.col("ts").cast("timestamp")).write.parquet(f"{folder}/in")
+    side = lambda: spark.readStream.schema("user_id long, event_type string, ts timestamp").parquet(f"{folder}/in")
+    near = windows.interval_join(side(), side(), ["event_type"], "ts", 600, late="10 minutes").where("left_user_id < right_user_id")
+    out = near.select(F.col("left_user_id").alias("u"), F.col("right_user_id").alias("v"))
+    out.writeStream.format("parquet").option("path", f"{folder}/out").option("checkpointLocation", f"{folder}/ck").trigger(availableNow=True).start().awaitTermination()
+    return spark.read.schema("u long, v long").parquet(f"{folder}/out").distinct()
+
+
+@add("emit_callback", sql.triangles("sells", "select count(*) as calls, cast(sum(a) as bigint) as sum_a, cast(sum(b) as bigint) as sum_b, cast(sum(c) as bigint) as sum_c from t"))
+def _(spark, d):
+    """A callback for each triangle, on the executors, that adds to counters."""
+    r, n, mm = ranked_with(spark, d, "sells", 2)
+    totals = [spark.sparkContext.accumulator(0) for _ in range(4)]
+
+    def call(a, b, c):
+        for total, x in zip(totals, (1, a, b, c)):
+            total.add(x)
+
+    consume.emit(cells.enumerate_cells(r, mm, edges=n), call)
+    return spark.createDataFrame([tuple(int(t.value) for t in totals)], "calls long, sum_a long, sum_b long, sum_c long")
+
+
+@add("sampled_estimate")
+def _(spark, d):
+    """What samples of the edges say of the number of triangles, next to the number itself (rate 1)."""
+    r = ranked(spark, d, "cps")
+    return spark.createDataFrame([(p, float(choose.sampled_estimate(r, p))) for p in (0.25, 0.5, 1.0)], "rate double, triangles double")
+
+
 def _events(spark: SparkSession, d: str) -> DataFrame:
     return graphs.table(spark, d, "events").select("user_id", "event_type", "ts")
 

@@ -1,4 +1,4 @@
-"""Cliques of k vertices by the same colouring, and 4-cycles."""
+"""Cliques and other patterns of k vertices by the same colouring, and 4-cycles without it."""
 
 from __future__ import annotations
 
@@ -64,3 +64,43 @@ def four_cycles(edges: DataFrame) -> DataFrame:
     corner = both.toDF("a", "b").where("a < b").join(both.toDF("b", "c"), "b").where("a < c")
     other = corner.select("a", F.col("b").alias("d"), "c")
     return corner.join(other, ["a", "c"]).where("b < d").select("a", "b", "c", "d")
+
+
+#: 4-cycles 0-1-2-3, each once: 0 is its least id and 1 < 3.
+FOUR_CYCLE = (((0, 1), (0, 3), (1, 2), (2, 3)), ((0, 1), (0, 2), (0, 3), (1, 3)))
+#: Two triangles on the edge 0-1, with or without the edge 2-3, each once.
+DIAMOND = (((0, 1), (0, 2), (1, 2), (0, 3), (1, 3)), ((0, 1), (2, 3)))
+
+
+def enumerate_pattern(edges: DataFrame, pattern: tuple, mm: MemoryModel | None = None, seed: int = 1, colours: int | None = None) -> DataFrame:
+    """Every occurrence v0, ..., v(k-1) of a connected pattern, each in the cell of its colours.
+
+    A pattern has its edges, each of which but the first touches one before
+    it, and the pairs (i, j) with v(i) < v(j) that leave one of the
+    occurrences that are alike.  Vertices are distinct.  An edge is dealt both
+    ways, as a pattern's vertices have no rank order; inside a cell the joins
+    are on the cell and the known vertices, as for cliques.
+    """
+    sides, order = pattern
+    k = 1 + max(max(s) for s in sides)
+    c = colours or (mm.colours(edges.count()) if mm else 1)
+    co_partitioned(edges.sparkSession)
+    names = [f"v{i}" for i in range(k)]
+    both = edges.select("lo", "hi").unionByName(edges.select(F.col("hi").alias("lo"), F.col("lo").alias("hi")))
+
+    def dealt(i: int, j: int) -> DataFrame:
+        cell = _cells(colour(F.col("lo"), c, seed), colour(F.col("hi"), c, seed), i, j, k, c)
+        kept = both.where("lo < hi") if (i, j) in order else both.where("lo > hi") if (j, i) in order else both
+        return kept.select(cell.alias("cell"), F.col("lo").alias(names[i]), F.col("hi").alias(names[j])).repartition("cell")
+
+    grown, known = dealt(*sides[0]), set(sides[0])
+    for i, j in sides[1:]:
+        new = {i, j} - known
+        grown = grown.join(dealt(i, j), ["cell", *[names[v] for v in (i, j) if v in known]])
+        for v in new:
+            for w in known - {i, j} if len(new) == 1 else ():
+                less = (v, w) in order, (w, v) in order
+                x, y = F.col(names[v]), F.col(names[w])
+                grown = grown.where(x < y if less[0] else y < x if less[1] else x != y)
+        known |= new
+    return grown.select(*names)

@@ -75,12 +75,16 @@ def refine(level: DataFrame, depth: int, seed: int) -> DataFrame:
     return level.withColumn("x_lo", step("x_lo", "lo")).withColumn("x_hi", step("x_hi", "hi"))
 
 
-def split_children(level: DataFrame) -> DataFrame:
-    """Edges under refined colours, dealt to the children of their subproblem that they fit."""
+def child_triples(level: DataFrame) -> DataFrame:
+    """Each row once for each of the eight children of its triple."""
     options = [F.struct(*[(2 * F.col(z) - ((k >> s) & 1)).cast("int").alias(z) for s, z in enumerate(Z)]) for k in range(8)]
     rest = [c for c in level.columns if c not in Z]
-    spread = level.select(F.explode(F.array(*options)).alias("child"), *rest)
-    return spread.select("child.*", *rest).where(compatible())
+    return level.select(F.explode(F.array(*options)).alias("child"), *rest).select("child.*", *rest)
+
+
+def split_children(level: DataFrame) -> DataFrame:
+    """Edges under refined colours, dealt to the children of their subproblem that they fit."""
+    return child_triples(level).where(compatible())
 
 
 def live_subproblems(level: DataFrame) -> DataFrame:
@@ -154,6 +158,57 @@ def enumerate_recursive(ranked: DataFrame, seed: int = 1, base_size: int = 64, d
     return reduce(DataFrame.unionByName, parts)
 
 
+def shared_view(edges: DataFrame, live: DataFrame, removed: list[tuple[int, DataFrame]], depth: int, seed: int) -> DataFrame:
+    """A level's edges by subproblem, read off the one stored copy of the edges.
+
+    An edge belongs to the live subproblems that its colours fit, unless one of
+    its ends was a local hub of the subproblem or of one it descends from;
+    `removed` has the hubs (z0, z1, z2, id) of each level before.
+    """
+    painted = edges.withColumn("x_lo", refined(F.col("lo"), depth, seed)).withColumn("x_hi", refined(F.col("hi"), depth, seed))
+    asked = F.array_distinct(F.array(*[F.struct(F.col(p).alias("x_lo"), F.col(q).alias("x_hi")) for p, q in PLACES]))
+    view = painted.join(live.select(*Z, F.explode(asked).alias("asked")).select(*Z, "asked.*"), ["x_lo", "x_hi"])
+    for at, hubs in removed:
+        for end in ("lo", "hi"):
+            gone = hubs.toDF(*[f"up_{z}" for z in Z], "gone")
+            above = [F.shiftright(F.col(z) - 1, depth - at) + 1 == F.col(f"up_{z}") for z in Z]
+            view = view.join(gone, reduce(Column.__and__, above, F.col(end) == F.col("gone")), "left_anti")
+    return view.select(*Z, "lo", "hi", "deg_lo", "deg_hi", "x_lo", "x_hi")
+
+
+def enumerate_shared(ranked: DataFrame, seed: int = 1, base_size: int = 64, depth: int | None = None) -> DataFrame:
+    """Every triangle (a, b, c) once, with all subproblems on one copy of the edges.
+
+    The recursion of `enumerate_recursive`, hubs included, but no subproblem is
+    stored: a level keeps its live triples and its local hubs, at most sixteen
+    a subproblem, so storage stays at O(E) words where the other may need a
+    log E times that.  Each use of a level reads the edges again.  All branches
+    of a level run together.
+    """
+    edges = stored(ranked.select("lo", "hi", "deg_lo", "deg_hi"), "shared")
+    last = max_depth(edges.count()) if depth is None else depth
+    live = edges.sparkSession.createDataFrame([(1, 1, 1)], "z0 int, z1 int, z2 int")
+    removed: list[tuple[int, DataFrame]] = []
+    parts: list[DataFrame] = []
+    for i in range(last + 1):
+        level = shared_view(edges, live, removed, i, seed)
+        if i == last:
+            parts.append(keyed_triangles(level).select("a", "b", "c"))
+            break
+        sizes = level_sizes(level)
+        small, wide = (sizes.where(F.col("sub_edges") <= base_size), sizes.where(F.col("sub_edges") > base_size))
+        parts.append(keyed_triangles(level.join(small.select(*Z), Z, "left_semi")).select("a", "b", "c"))
+        if wide.isEmpty():
+            break
+        hubs = stored(local_hubs(level.join(wide.select(*Z), Z, "left_semi"), wide), "local-hubs")
+        if not hubs.isEmpty():
+            marked = mark_local_hubs(level.join(wide.select(*Z), Z, "left_semi"), hubs)
+            parts.append(local_hub_triangles(marked, i, seed).select("a", "b", "c"))
+            removed.append((i, hubs.select(*Z, "id")))
+        live = stored(child_triples(wide), "live")
+    return reduce(DataFrame.unionByName, parts)
+
+
 def level_cells(ranked: DataFrame, depth: int, seed: int) -> DataFrame:
     """Cells of one level straight from the edges: colours are a closed form, so no level before it is stored.
 

@@ -101,14 +101,25 @@ def scaled_cap(level: int, c: int, edges: int, m: int, alpha: float) -> Fraction
     return (1 + Fraction(alpha).limit_denominator(10**6)) ** level * edges * m * c * c
 
 
-def choose_colouring(edges: DataFrame, space: SmallBiasSpace, c: int, total_edges: int, m: int, alpha: float, chunk: int = 8, accept: str = "first_chunk") -> SteeredColouring:
+def regrouped(state: DataFrame) -> DataFrame:
+    """The edges stored in order of class and lower end.
+
+    Ranges split a class over as many tasks as its edges ask for, and a task
+    that scores the next level meets few classes, so it sends on few sums.
+    """
+    order = ("x_lo", "x_hi", "lo", "hi")
+    return stored(state.repartitionByRange(*order).sortWithinPartitions(*order), "steered")
+
+
+def choose_colouring(edges: DataFrame, space: SmallBiasSpace, c: int, total_edges: int, m: int, alpha: float, chunk: int = 8, accept: str = "first_chunk", regroup: bool = True) -> SteeredColouring:
     """Pick a member for each of log2 c levels.
 
     `first_chunk` stops at the first chunk whose best candidate keeps the
     potential under its cap; `exhaustive` scores the whole family; `first`
     takes the first candidate unscored, for comparison.  Some member keeps the
     potential under its cap if the space meets its bias, so the search goes on
-    through the whole family; should none qualify, it raises.
+    through the whole family; should none qualify, it raises.  `regroup` stores
+    the edges by class after each bit; the bits chosen are the same without.
     """
     out = SteeredColouring(space, c)
     state = stored(edges.withColumn("x_lo", F.lit(1)).withColumn("x_hi", F.lit(1)), "steered")
@@ -135,6 +146,8 @@ def choose_colouring(edges: DataFrame, space: SmallBiasSpace, c: int, total_edge
         out.adjacent.append(best[3])
         step = lambda x, y: (2 * F.col(x) - space.bit(F.col(y), best[1])).cast("int")  # noqa: B023, E731
         state = state.withColumn("x_lo", step("x_lo", "y_lo")).withColumn("x_hi", step("x_hi", "y_hi"))
+        if regroup and 2 << level <= c:
+            state = regrouped(state)
     return out
 
 

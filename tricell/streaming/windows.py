@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -24,3 +25,33 @@ def sessions(events: DataFrame, ts: str, gap: str, key: str) -> DataFrame:
 def watermarked(events: DataFrame, ts: str, late: str, keys: list[str]) -> DataFrame:
     """Events without repeats; rows later than the watermark are dropped (streams only)."""
     return events.withWatermark(ts, late).dropDuplicatesWithinWatermark(keys)
+
+
+def interval_join(left: DataFrame, right: DataFrame, keys: list[str], ts: str, seconds: int, late: str | None = None) -> DataFrame:
+    """Pairs of rows with equal keys at most so many seconds apart; columns but the keys get the prefixes left_ and right_.
+
+    For streams give `late`: both sides then carry a watermark, so that the
+    state that the join holds ends `seconds` and `late` after a row.
+    """
+    named = lambda df, side: (df.withWatermark(ts, late) if late else df).select(*[F.col(c).alias(f"{side}_{c}") for c in df.columns])
+    near = f"right_{ts} between left_{ts} - interval {seconds} seconds and left_{ts} + interval {seconds} seconds"
+    on = " and ".join([*[f"left_{k} = right_{k}" for k in keys], near])
+    out = named(left, "left").join(named(right, "right"), F.expr(on))
+    return out.drop(*[f"right_{k}" for k in keys]).withColumnsRenamed({f"left_{k}": k for k in keys})
+
+
+def running_degrees(edges: DataFrame) -> DataFrame:
+    """(id, deg) of each vertex that an edge of the micro-batch touches; the state is one counter a vertex (streams only, mode update).
+
+    Edges are counted as they come, so they have to be canonical and without repeats.
+    """
+
+    def count(key, chunks, state):
+        n = state.get[0] if state.exists else 0
+        for chunk in chunks:
+            n += int(chunk["n"].sum())
+        state.update((n,))
+        yield pd.DataFrame({"id": [key[0]], "deg": [n]})
+
+    ends = edges.select(F.explode(F.array("u", "v")).alias("id"), F.lit(1).cast("long").alias("n"))
+    return ends.groupBy("id").applyInPandasWithState(count, "id long, deg long", "n long", "update", "NoTimeout")
