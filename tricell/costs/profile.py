@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from functools import reduce
+from math import copysign, floor, pow
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -51,6 +52,33 @@ def role_class_sizes(level: DataFrame) -> DataFrame:
     return level.groupBy(*Z).agg(*[F.sum(fits("x_lo", "x_hi", p).cast("long")).alias(n) for n, p in zip(names, PLACES, strict=True)])
 
 
+def _rounded(x: float, places: int) -> float:
+    """As the SQL's round: the product with the power of ten, halves away from zero."""
+    scaled = abs(x) * 10.0**places
+    whole = floor(scaled)
+    return copysign((whole + (scaled - whole >= 0.5)) / 10.0**places, x)
+
+
+def role_class_moments(roles: list[DataFrame], edges: int) -> list[tuple[int, float, float, float]]:
+    """(level, mean_size, expected, variance) of the role classes of each level, from the tables of `role_class_sizes`.
+
+    The sums are exact.  The difference of squares that follows loses digits
+    once E * E passes 2^53, so it is made of the operations of the SQL, the C
+    library's `pow` among them: that of the JVM rounds otherwise.
+    """
+    names = ("tip_mid", "tip_top", "base")
+    total = F.sum(F.col("tip_mid") + F.col("tip_top") + F.col("base")).cast("decimal(38,0)")
+    square = F.sum(sum((F.col(x).cast("decimal(19,0)") * F.col(x) for x in names), F.lit(0).cast("decimal(38,0)")))
+    sums = [r.agg(F.lit(i).alias("level"), total.alias("total"), square.cast("decimal(38,0)").alias("square")) for i, r in enumerate(roles)]
+    out = []
+    for x in reduce(DataFrame.unionByName, sums).where("total is not null").collect():  # one row a level
+        cells = 3.0 * 8**x.level
+        mean = float(int(x.total)) / cells
+        variance = float(int(x.square)) / cells - pow(mean, 2.0)
+        out.append((x.level, _rounded(mean, 6), _rounded(edges / 4.0**x.level, 6), _rounded(variance, 2)))
+    return out
+
+
 def role_moments_over_seeds(edges: DataFrame, levels: int, seeds: tuple[int, ...]) -> DataFrame:
     """(level, seeds, mean_size, expected, variance, bound) of one role class, over the seeds of the colouring.
 
