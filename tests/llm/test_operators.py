@@ -111,6 +111,40 @@ def test_near_duplicates_equal_brute_force(spark, awkward, width):
         assert ids.count(None) == 1 and kept.columns == df.columns
 
 
+def test_late_candidates_grow_with_the_rows_of_a_group():
+    """Members that resemble each other without a link are named once a block, not once for each other group."""
+    config = near_dup.NearDupConfig()
+    n, r = 120, random.Random(4)
+    base = [r.randrange(1 << 16) for _ in range(config.positions)]
+    low = np.array([[x if p < config.rows or r.random() < 0.9 else r.randrange(1 << 16) for p, x in enumerate(base)] for _ in range(n)], np.uint16)
+    keys = near_dup._band_keys(low, config)
+    assert len(set(keys[:, 0].tolist())) == 1
+    assert (keys % config.bands == np.arange(config.bands)).all()
+
+    def block(band, members):
+        rows = [(int(keys[m, band].view(np.int64)), m, m, outside, 0, 0, low[m].tobytes()) for outside in (True, False) for m in members]
+        columns = [pa.array(c) for c in zip(*rows, strict=True)]
+        return pa.RecordBatch.from_arrays(columns, ["key", "rep", "label", "outside", "i", "j", "sig"])
+
+    touch = near_dup._touching(config)
+    found = [x for b in touch(iter([block(0, range(n))])) for x in b.to_pylist()]
+    assert sorted((x["rep"], x["outside"]) for x in found) == sorted((m, o) for m in range(n) for o in (True, False))
+    later = next(b for b in range(1, config.bands) if keys[0, b] == keys[1, b])
+    assert list(touch(iter([block(later, [0, 1])]))) == []  # the pair has met in band 0
+
+
+def test_an_id_with_an_empty_and_a_late_text(spark):
+    """Texts that only a later block compares, one of an id that an empty text shares."""
+    words = [f"w{k}" for k in range(100)]
+    rows = [(k, " ".join([*words[: 90 - k], *[f"x{k}-{i}" for i in range(k)], *words[90:]]), "a") for k in range(12)]
+    rows.append((5, "", "a"))
+    got = {(r.doc_id, r.n_shingles > 0): r.component_id for r in near_dup.near_duplicates(make(spark, rows), config=near_dup.NearDupConfig(width=2)).collect()}
+    sets = {i: shingles_of(t, 2) for i, t, _ in rows if t}
+    links = [(a, b) for a, b in itertools.combinations(sets, 2) if 100 * len(sets[a] & sets[b]) >= 80 * len(sets[a] | sets[b])]
+    expected = components_of(sets, links)
+    assert {i: got[i, True] for i in sets} == expected
+
+
 def test_pruning_keeps_pairs_at_the_threshold():
     config = near_dup.NearDupConfig()
     steps = near_dup.least_matches(config)

@@ -11,9 +11,10 @@
    Survivors are compared on their full sets.
 4. In buckets that still hold several groups, the members outside the largest
    one are compared with all members, in blocks of bounded size: first by
-   signature, which says what groups a member might belong to; then each such
-   group with its outsiders on full sets.  A block holds a bounded number of
-   shingles and yields a forest of links, never all pairs.
+   signature, each pair in the first bucket that it shares, which leaves the
+   members that are in a pair not ruled out; then those members of a bucket on
+   full sets.  A block holds a bounded number of shingles, names a member once
+   and yields a forest of links, never all pairs.
 5. Components of all links that the full sets confirm.
 
 Signatures are made of shingle hashes; a link is made of equal bytes only.
@@ -115,6 +116,15 @@ def _low_bits(minima: np.ndarray) -> np.ndarray:
     return (ts.mix(minima) & np.uint64(0xFFFF)).astype(np.uint16)
 
 
+def _band_keys(low: np.ndarray, config: NearDupConfig) -> np.ndarray:
+    """One key for each band of each signature, alike where the signatures are; a key's remainder by the bands is its band."""
+    bands = np.arange(config.bands, dtype=np.uint64)
+    keys = np.zeros((len(low), config.bands), np.uint64)
+    for k in range(config.rows):
+        keys = ts.mix(keys * np.uint64(3) + low[:, k :: config.rows] + bands)
+    return (keys >> np.uint64(8)) * np.uint64(config.bands) + bands
+
+
 def _signer(config: NearDupConfig) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]:
     def sign(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         factors, masks = _permutations(config)
@@ -127,10 +137,8 @@ def _signer(config: NearDupConfig) -> Callable[[Iterator[pa.RecordBatch]], Itera
                 minima = np.zeros((texts.rows, config.positions), np.uint64)
                 if len(full):
                     minima[full] = _minima(grams, ptr[:-1][full], factors, masks)
-                keys = np.zeros((texts.rows, config.bands), np.uint64)
-                for k in range(config.rows):
-                    keys = ts.mix(keys * np.uint64(3) + minima[:, k :: config.rows] + np.arange(config.bands, dtype=np.uint64))
                 low = _low_bits(minima)
+                keys = _band_keys(low, config)
                 yield pa.RecordBatch.from_arrays(
                     [
                         batch.column("id").slice(texts.first, texts.rows),
@@ -192,33 +200,42 @@ def grouped(batches: Iterator[pa.RecordBatch], keys: tuple[str, ...]) -> Iterato
 
 
 def _touching(config: NearDupConfig):
-    """For the outsiders of each block, the components that hold a member which no batch rules out."""
+    """The rows of each block that are in a pair, of different labels, which no batch rules out.
+
+    A pair counts in the first of the buckets that it shares, so a row comes
+    back for few of its buckets, and once a block however many pairs it is in.
+    """
     steps = least_matches(config)
 
     def touch(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for block in grouped(batches, ("key", "i", "j")):
-            ids, labels = block.column("rep").to_numpy(), block.column("label").to_numpy()
+            labels = block.column("label").to_numpy()
             outside = block.column("outside").to_numpy(zero_copy_only=False).astype(bool)
             sigs = _signatures(block.column("sig").combine_chunks(), config)
+            banded = sigs.reshape(len(sigs), config.bands, config.rows)
+            band = int(block.column("key")[0].as_py()) % (1 << 64) % config.bands
             members = np.flatnonzero(~outside)
-            found: list[tuple[int, int]] = []
+            near = np.zeros(len(labels), bool)
             for x in np.flatnonzero(outside):
                 rest = members[labels[members] != labels[x]]
                 kept, _ = surviving(np.broadcast_to(sigs[x], (len(rest), sigs.shape[1])), sigs[rest], steps)
-                found += [(int(ids[x]), int(c)) for c in np.unique(labels[rest[kept]])]
-            if found:
-                yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in zip(*found, strict=True)], ["rep", "target"])
+                rest = rest[kept]
+                rest = rest[~(banded[rest, :band] == banded[x, :band]).all(2).any(1)]
+                near[rest] = True
+                near[x] |= len(rest) > 0
+            if near.any():
+                yield block.select(["key", "rep", "label", "outside"]).filter(pa.array(near)).combine_chunks().to_batches()[0]
 
     return touch
 
 
 def _linker(config: NearDupConfig):
-    """Links between components of each block, confirmed on full sets; no more than connect what is connected."""
+    """Links between labels of each block, confirmed on full sets; no more than connect what is connected."""
     steps = least_matches(config)
     factors, masks = _permutations(config)
 
     def link(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for block in grouped(batches, ("target", "i", "j")):
+        for block in grouped(batches, ("key", "i", "j")):
             ids, labels = block.column("rep").to_numpy(), block.column("label").to_numpy()
             outside = block.column("outside").to_numpy(zero_copy_only=False).astype(bool)
             whole = block.column("text").combine_chunks()
@@ -226,7 +243,11 @@ def _linker(config: NearDupConfig):
             for texts in ts.text_blocks(whole):
                 grams, ptr = ts.shingle_sets(ts.scan_words(texts, folded=True), config.width)
                 sets += [grams[ptr[r] : ptr[r + 1]] for r in range(texts.rows)]
-            sigs = np.stack([_low_bits(_minima(x, np.zeros(1, np.int64), factors, masks))[0] for x in sets])
+            n = np.array([len(x) for x in sets])
+            full = np.flatnonzero(n)
+            minima = np.zeros((len(sets), config.positions), np.uint64)
+            minima[full] = _minima(np.concatenate(sets), (np.cumsum(n) - n)[full], factors, masks)
+            sigs = _low_bits(minima)
             root = {int(c): int(c) for c in labels}
 
             def find(c: int, root: dict[int, int] = root) -> int:
@@ -342,18 +363,14 @@ def _late_links(sized: DataFrame, links: DataFrame, sigs: DataFrame, sizes: Data
     outside = rows.where("label <> largest").select("key", "rep", "label", F.lit(True).alias("outside"))
     rows = outside.unionByName(rows.select("key", "rep", "label", F.lit(False).alias("outside")))
     dealt = _deal(rows.withColumn("size", F.lit(1)), "key", config.block)
-    touching = _in_blocks(dealt.join(sigs.toDF("rep", "sig"), "rep"), "key").mapInArrow(_touching(config), "rep long, target long").distinct()
+    near = "key long, rep long, label long, outside boolean"
+    touching = _in_blocks(dealt.join(sigs.toDF("rep", "sig"), "rep"), "key").mapInArrow(_touching(config), near).distinct()
     touching = materialise(touching, "touching")
     if touching.isEmpty():
         return links.select("a", "b").where("false")
-    own = labels.toDF("rep", "own")
-    outside = touching.join(own, "rep", "left").select("target", "rep", F.coalesce("own", "rep").alias("label"), F.lit(True).alias("outside"))
-    targets = touching.select("target").distinct()
-    members = targets.join(labels.toDF("rep", "target"), "target").unionByName(targets.select("target", F.col("target").alias("rep"))).distinct()
-    members = members.select("target", "rep", F.col("target").alias("label"), F.lit(False).alias("outside"))
     heavy = sizes.select(F.col("id").alias("rep"), F.greatest("n_shingles", F.lit(config.shingles_a_block // config.block)).alias("size"))
-    dealt = _deal(outside.unionByName(members).join(heavy, "rep"), "target", config.shingles_a_block)
-    return _in_blocks(dealt.join(texts.toDF("rep", "text"), "rep"), "target").mapInArrow(_linker(config), "a long, b long")
+    dealt = _deal(touching.join(heavy, "rep"), "key", config.shingles_a_block)
+    return _in_blocks(dealt.join(texts.toDF("rep", "text"), "rep"), "key").mapInArrow(_linker(config), "a long, b long")
 
 
 def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", config: NearDupConfig = NearDupConfig()) -> DataFrame:
