@@ -111,6 +111,17 @@ def test_near_duplicates_equal_brute_force(spark, awkward, width):
         assert ids.count(None) == 1 and kept.columns == df.columns
 
 
+def test_workers_return_what_they_have_freed(monkeypatch):
+    """Spark's workers outlive their tasks: texts are signed after memory of the stage before went back."""
+    calls = []
+    monkeypatch.setattr(ts, "give_back_memory", lambda: calls.append(1))
+    assert list(near_dup._signer(near_dup.NearDupConfig())(iter([]))) == [] and calls == [1]
+    monkeypatch.undo()
+    held = [np.ones(1 << 12) for _ in range(1 << 10)]
+    del held
+    ts.give_back_memory()
+
+
 def test_late_candidates_grow_with_the_rows_of_a_group():
     """Members that resemble each other without a link are named once a block, not once for each other group."""
     config = near_dup.NearDupConfig()

@@ -127,6 +127,7 @@ def _band_keys(low: np.ndarray, config: NearDupConfig) -> np.ndarray:
 
 def _signer(config: NearDupConfig) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]:
     def sign(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        ts.give_back_memory()
         factors, masks = _permutations(config)
         for batch in batches:
             for texts in ts.text_blocks(batch.column("text")):

@@ -10,6 +10,7 @@ result, `numbered_runs` compares the bytes of runs with equal hashes.
 
 from __future__ import annotations
 
+import ctypes
 from collections.abc import Iterator
 from dataclasses import dataclass
 from hashlib import sha256
@@ -29,6 +30,13 @@ _PIECE = 64
 _LANE_BITS = np.array([(1 << 8 * n) - 1 for n in range(9)], np.uint64)
 
 
+def give_back_memory() -> None:
+    """Return what is free to the system: Spark's workers live on after a task, and what they keep counts for the executor."""
+    pa.default_memory_pool().release_unused()
+    if trim := getattr(ctypes.CDLL(None), "malloc_trim", None):
+        trim(0)
+
+
 def mix(x: np.ndarray) -> np.ndarray:
     """Bijective finaliser that spreads every input bit over the word."""
     x = x ^ (x >> U64(30))

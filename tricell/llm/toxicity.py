@@ -429,13 +429,17 @@ def _scorer(sent: Broadcast, steps: tuple[np.ndarray, np.ndarray], text_col: str
                 new = {key: r for r, key in keys.items() if key not in known}
                 rows = np.array([*new.values()], int)
                 at = _slices(ptr[rows], ptr[rows + 1])
-                known |= zip(new, model.score(np.concatenate([[0], np.cumsum(ptr[rows + 1] - ptr[rows])]), term[at], count[at]), strict=True)
+                found = model.score(np.concatenate([[0], np.cumsum(ptr[rows + 1] - ptr[rows])]), term[at], count[at])
+                known |= zip(new, found if evidence else [(s, ()) for s, _ in found], strict=True)
+                del found
                 for r, key in keys.items():
                     scores[r], near[r] = known[key]
                 columns = [batch.column(c).slice(texts.first, texts.rows) for c in kept] + [pa.array(scores)]
                 if evidence:
                     columns.append(pa.array([[{"example": int(model.ids[e]), "similarity": s, "toxic": int(model.toxic[e])} for s, e in x] for x in near], _EVIDENCE))
                 yield pa.RecordBatch.from_arrays(columns, [*kept, "toxicity"] + ["evidence"] * evidence)
+        known.clear()
+        ts.give_back_memory()
 
     return score
 
