@@ -43,7 +43,7 @@ def test_cliques_equal_brute_force_and_move_edges_alone(spark, dense, monkeypatc
     # with few edges a task, cells get more colours than asked for
     monkeypatch.setattr(cliques, "HELD_EDGES", held)
     wanted = brute(pairs, k)
-    for df in (cliques.enumerate_cliques(edges, k, colours=2),):
+    for df in (cliques.enumerate_cliques(edges, k, colours=2), cliques.cliques_by_growth(edges, k)):
         found = [tuple(sorted(r)) for r in df.collect()]
         assert len(found) == len(set(found)) and set(found) == wanted
         # nothing is joined or dealt anew after cliques are found
