@@ -6,7 +6,7 @@ from math import comb
 import numpy as np
 import pytest
 
-from tricell.operators import canonical, cliques
+from tricell.operators import baselines, canonical, cliques
 from tricell.sources import generate
 
 
@@ -49,3 +49,15 @@ def test_cliques_equal_brute_force_and_move_edges_alone(spark, dense, monkeypatc
         # nothing is joined or dealt anew after cliques are found
         assert df._jdf.queryExecution().optimizedPlan().toString().startswith("FlatMapGroupsInArrow")
 
+
+
+@pytest.mark.parametrize("block", [2_000_000, 40])
+def test_nested_loops_compare_no_two_edges_without_need(spark, dense, monkeypatch, block):
+    edges, pairs = dense
+    monkeypatch.setattr(baselines, "BLOCK_EDGES", block)
+    monkeypatch.setattr(baselines, "OUTER_PIECES", 2)
+    df = baselines.nested_loop_triangles(edges)
+    found = [tuple(sorted(r)) for r in df.collect()]
+    assert len(found) == len(set(found)) and set(found) == brute(pairs, 3)
+    # no join of all edges with all edges
+    assert "Join Inner" not in df._jdf.queryExecution().optimizedPlan().toString().split("Union")[0]
